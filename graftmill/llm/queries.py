@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, mixing, quality
+from . import common, html_text, langid, mixing, quality
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -10,7 +10,9 @@ def op2_mix_sources(spark, sf_dir):
 
 QUERIES = {
     "op2_mix_sources": op2_mix_sources,
+    "op4_language_id": langid.op4_language_id,
     "op6_quality_cascade": quality.op6_quality_cascade,
+    "op10_html_text": html_text.op10_html_text,
 }
 
 ORACLE_SQL = {
