@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, html_text, langid, mixing, packing, quality
+from . import common, html_text, langid, mixing, packing, quality, repair
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -13,6 +13,7 @@ QUERIES = {
     "op4_language_id": langid.op4_language_id,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
     "op6_quality_cascade": quality.op6_quality_cascade,
+    "op7_repair_ids": repair.op7_repair_ids,
     "op10_html_text": html_text.op10_html_text,
 }
 
