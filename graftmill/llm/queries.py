@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, html_text, langid, mixing, packing, quality, repair
+from . import common, html_text, langid, mixing, near_dup, packing, quality, repair
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -9,6 +9,7 @@ def op2_mix_sources(spark, sf_dir):
 
 
 QUERIES = {
+    "op1_ngram_jaccard_join": near_dup.op1_ngram_jaccard_join,
     "op2_mix_sources": op2_mix_sources,
     "op4_language_id": langid.op4_language_id,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
