@@ -141,7 +141,8 @@ def pack(made: DataFrame, *, capacity: int = CAPACITY, group_pieces: int = GROUP
     """Pieces with sequence_id (long) and offset (long): place each piece in a sequence, gapless from 0."""
     made = common.stored(made, "pieces")  # tokenize once: the number of groups needs the number of pieces
     groups = max(1, -(-made.count() // group_pieces))
-    made = made.withColumn("grp", F.pmod(F.xxhash64("doc_id", "piece", "ids_crc32", F.lit("group")), F.lit(groups)))
+    # The stored files fix the row numbers, so a rerun deals alike, and repeated rows are spread.
+    made = made.withColumn("grp", F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.lit("group")), F.lit(groups)))
 
     def one(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["doc_id", "piece", "start", "length", "ids_crc32"], kind="stable", ignore_index=True)

@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, html_text, langid, mixing, near_dup, packing, quality, repair
+from . import common, html_text, langid, mixing, near_dup, packing, quality, repair, suffix_dedup
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -15,6 +15,7 @@ QUERIES = {
     "op5_best_fit_packing": packing.op5_best_fit_packing,
     "op6_quality_cascade": quality.op6_quality_cascade,
     "op7_repair_ids": repair.op7_repair_ids,
+    "op8_suffix_dedup": suffix_dedup.op8_suffix_dedup,
     "op10_html_text": html_text.op10_html_text,
 }
 
