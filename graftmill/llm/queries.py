@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, html_text, langid, mixing, near_dup, packing, quality, repair, suffix_dedup
+from . import common, html_text, langid, lm_score, mixing, near_dup, packing, quality, repair, suffix_dedup
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -16,6 +16,7 @@ QUERIES = {
     "op6_quality_cascade": quality.op6_quality_cascade,
     "op7_repair_ids": repair.op7_repair_ids,
     "op8_suffix_dedup": suffix_dedup.op8_suffix_dedup,
+    "op9_stupid_backoff": lm_score.op9_stupid_backoff,
     "op10_html_text": html_text.op10_html_text,
 }
 
@@ -32,6 +33,20 @@ n AS (SELECT u.doc_id, count(*) AS copies FROM u JOIN c ON u.source IS NOT DISTI
 SELECT d.doc_id, d.text, d.lang, d.source, d.n_chars, g.copy::INT AS copy,
        ('0x' || substr(md5('order17|' || d.doc_id || '|' || g.copy), 1, 15))::UBIGINT::BIGINT AS shuffle_key
 FROM documents d JOIN n USING (doc_id), range(1, n.copies + 1) g(copy)
+""",
+    "op9_stupid_backoff": r"""
+WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(lower(coalesce(text, '')), '\s+'), lambda x: x <> '') AS w FROM documents),
+p AS (SELECT doc_id, i, w[i] AS a, CASE WHEN i > 1 THEN w[i-1] || ' ' || w[i] END AS b, CASE WHEN i > 2 THEN w[i-2] || ' ' || w[i-1] || ' ' || w[i] END AS c FROM d, range(1, len(w) + 1) r(i)),
+n AS (SELECT *, count(*) OVER (PARTITION BY a) - count(*) OVER (PARTITION BY a, doc_id) AS c1,
+             CASE WHEN b IS NULL THEN 0 ELSE count(*) OVER (PARTITION BY b) - count(*) OVER (PARTITION BY b, doc_id) END AS c2,
+             CASE WHEN c IS NULL THEN 0 ELSE count(*) OVER (PARTITION BY c) - count(*) OVER (PARTITION BY c, doc_id) END AS c3,
+             count(*) OVER () - count(*) OVER (PARTITION BY doc_id) AS others FROM p),
+l AS (SELECT *, lag(c1) OVER (PARTITION BY doc_id ORDER BY i) AS p1, lag(c2) OVER (PARTITION BY doc_id ORDER BY i) AS p2 FROM n),
+s AS (SELECT doc_id, CASE WHEN c3 > 0 THEN ln(c3) - ln(p2)
+                          WHEN c2 > 0 THEN ln(c2) - ln(p1) + least(i - 2, 1) * ln(0.4)
+                          ELSE ln(greatest(c1, 1)) - ln(greatest(others, 1)) + (least(i - 1, 2) + (c1 = 0)::INT) * ln(0.4) END AS v FROM l)
+SELECT d.doc_id, len(d.w)::BIGINT AS n_words, round(m.v, 6) AS mean_log
+FROM d LEFT JOIN (SELECT doc_id, sum(v) / count(*) AS v FROM s GROUP BY doc_id) m USING (doc_id)
 """,
     "op6_quality_cascade": r"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
