@@ -1,6 +1,6 @@
 """The registered queries of this subpackage and their SQL twins."""
 
-from . import common, html_text, langid, lm_score, mixing, near_dup, packing, quality, repair, suffix_dedup
+from . import common, html_text, langid, lm_score, mixing, near_dup, packing, quality, repair, search, suffix_dedup
 
 
 def op2_mix_sources(spark, sf_dir):
@@ -11,6 +11,7 @@ def op2_mix_sources(spark, sf_dir):
 QUERIES = {
     "op1_ngram_jaccard_join": near_dup.op1_ngram_jaccard_join,
     "op2_mix_sources": op2_mix_sources,
+    "op3_bm25_search": search.op3_bm25_search,
     "op4_language_id": langid.op4_language_id,
     "op5_best_fit_packing": packing.op5_best_fit_packing,
     "op6_quality_cascade": quality.op6_quality_cascade,
@@ -47,6 +48,17 @@ s AS (SELECT doc_id, CASE WHEN c3 > 0 THEN ln(c3) - ln(p2)
                           ELSE ln(greatest(c1, 1)) - ln(greatest(others, 1)) + (least(i - 1, 2) + (c1 = 0)::INT) * ln(0.4) END AS v FROM l)
 SELECT d.doc_id, len(d.w)::BIGINT AS n_words, round(m.v, 6) AS mean_log
 FROM d LEFT JOIN (SELECT doc_id, sum(v) / count(*) AS v FROM s GROUP BY doc_id) m USING (doc_id)
+""",
+    "op3_bm25_search": r"""
+WITH t AS (SELECT doc_id, unnest(regexp_extract_all(lower(text), '[\p{L}\p{N}]+')) AS w FROM documents),
+n AS (SELECT doc_id, w, count(*) AS tf FROM t GROUP BY ALL),
+l AS (SELECT d.doc_id, coalesce(x.dl, 0) AS dl FROM documents d LEFT JOIN (SELECT doc_id, sum(tf) AS dl FROM n GROUP BY doc_id) x USING (doc_id)),
+g AS (SELECT count(*) AS docs, avg(dl) AS mean FROM l),
+f AS (SELECT w, count(*) AS df FROM n GROUP BY w),
+s AS (SELECT q.doc_id AS query_id, n.doc_id, round(sum(q.tf * ln(1 + (docs - df + 0.5) / (df + 0.5)) * (n.tf * 2.2 / (n.tf + 1.2 * (0.25 + 0.75 * dl / mean)))), 6) AS score
+      FROM n q JOIN n ON q.w = n.w JOIN f ON f.w = n.w JOIN l ON l.doc_id = n.doc_id, g WHERE q.doc_id % 50 = 0 GROUP BY ALL),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id) AS rank FROM s WHERE score > 0)
+SELECT query_id, rank::INT AS rank, doc_id, score FROM r WHERE rank <= 10
 """,
     "op6_quality_cascade": r"""
 WITH d AS (SELECT doc_id, coalesce(text, '') AS t FROM documents),
