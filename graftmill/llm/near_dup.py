@@ -165,7 +165,7 @@ def links_within(sets: list, nodes: list, copies: list, side: list | None, thres
 
 
 def verified(members: DataFrame, n: int, threshold: float) -> DataFrame:
-    """node, root, links, split for each node and task. members: grp, lo, hi, blk, node, copies, text."""
+    """node, root, links, split for each node and task. members: grp, nb, lo, hi, blk, node, copies, text."""
     schema = "node long, root long, links long, split boolean"
     dealt = members.repartition("grp", "lo", "hi").sortWithinPartitions("grp", "lo", "hi", "blk", "node")
 
@@ -178,7 +178,7 @@ def verified(members: DataFrame, n: int, threshold: float) -> DataFrame:
             sets = [rows[x][0] for x in nodes]
             side = None if lo == hi else [0 if rows[x][2] == lo else 1 for x in nodes]
             links, roots = links_within(sets, nodes, [rows[x][1] for x in nodes], side, threshold)
-            out.extend(zip(nodes, roots, links, [hi > 0] * len(nodes), strict=True))
+            out.extend(zip(nodes, roots, links, [key[3] > 1] * len(nodes), strict=True))
 
         def batch_of():
             cols = list(zip(*out, strict=True))
@@ -186,12 +186,12 @@ def verified(members: DataFrame, n: int, threshold: float) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.bool_()), strict=True)], names=["node", "root", "links", "split"])
 
         for batch in batches:
-            cols = [common.column_of(batch, c).to_pylist() for c in ("grp", "lo", "hi", "blk", "node", "copies", "text")]
-            for grp, lo, hi, blk, node, copies, text in zip(*cols, strict=True):
-                if key != (grp, lo, hi):
+            cols = [common.column_of(batch, c).to_pylist() for c in ("grp", "nb", "lo", "hi", "blk", "node", "copies", "text")]
+            for grp, nb, lo, hi, blk, node, copies, text in zip(*cols, strict=True):
+                if key != (grp, lo, hi, nb):
                     if rows:
                         close()
-                    key, rows = (grp, lo, hi), {}
+                    key, rows = (grp, lo, hi, nb), {}
                 if node not in rows:
                     s = shingles(text, n)
                     if node_of(s) == node:
@@ -221,7 +221,7 @@ def jaccard_join(docs: DataFrame, *, n: int = WORDS, threshold: float = THRESHOL
     placed = placed.withColumn("blk", F.pmod(F.xxhash64("node"), F.col("nb")).cast("int"))
     texts = placed.join(docs, placed["copy_class"].eqNullSafe(docs["doc_id"])).select("grp", "nb", "blk", "node", "copies", "text")
     other = F.explode(F.sequence(F.lit(0), F.col("nb") - 1))
-    members = texts.withColumn("o", other).select("grp", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "blk", "node", "copies", "text")
+    members = texts.withColumn("o", other).select("grp", "nb", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "blk", "node", "copies", "text")
     found = common.stored(verified(members, n, threshold), "links")
     links = found.groupBy("node").agg(F.sum("links").alias("links"))
     whole = found.filter("not split").select("node", F.col("root").alias("comp"))
