@@ -12,3 +12,10 @@ llm         training-data operators; nothing else in the package imports it
 """
 
 __version__ = "0.1.0"
+
+import sys as _sys
+
+from pyspark import cloudpickle as _cloudpickle
+
+# Functions for Python workers travel by value: executors need no copy of the package.
+_cloudpickle.register_pickle_by_value(_sys.modules[__name__])
