@@ -38,24 +38,36 @@ NULL_ID = -(2**63)
 SHARD_IDS = 1 << 20
 #: A pair must occur this often in its shard to become a rule.
 LEAST = 8
-ROUNDS = 14
+#: A round takes pairs down to a quarter of the count of the one before.
+ROUNDS = 8
+CELL_BITS = 20
 
 
 def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
-    """Codes of pairs that occur at least ``least`` times, most frequent first, and the code at each place (-1: rare)."""
+    """Codes of pairs that occur at least ``least`` times, most frequent first, and the rank at each place (-1: rare).
+
+    Counting goes by a hashed table: a cell stands for one of its pairs, the others wait for a later round.
+    """
     code = (seq[:-1].astype(np.int64) << 32) | seq[1:]
-    free = open_[:-1] & open_[1:]
-    mixed = ((code.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(44)).astype(np.int32)
-    often = np.bincount(mixed[free], minlength=1 << 20) >= least  # an upper bound of each count
-    some = np.flatnonzero(free & often[mixed])
-    codes, inverse, counts = np.unique(code[some], return_inverse=True, return_counts=True)
+    cell = ((code.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - CELL_BITS)).astype(np.int32)
+    free = np.flatnonzero(open_[:-1] & open_[1:])
+    cell = cell[free]
+    often = np.bincount(cell, minlength=1 << CELL_BITS) >= least  # an upper bound of each count
+    hit = often[cell]
+    some, cell = free[hit], cell[hit]
+    own = code[some]
+    of_cell = np.zeros(1 << CELL_BITS, np.int64)
+    of_cell[cell] = own
+    same = of_cell[cell] == own
+    some, cell = some[same], cell[same]
+    counts = np.bincount(cell, minlength=1 << CELL_BITS)
     good = np.flatnonzero(counts >= least)
     good = good[np.argsort(-counts[good], kind="stable")]
-    rank = np.full(len(codes), -1, np.int64)
+    rank = np.full(1 << CELL_BITS, -1, np.int64)
     rank[good] = np.arange(len(good))
     at = np.full(len(code), -1, np.int64)
-    at[some] = rank[inverse]
-    return codes[good], at
+    at[some] = rank[cell]
+    return of_cell[good], at
 
 
 def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST, rounds: int = ROUNDS):
@@ -69,9 +81,9 @@ def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST, rounds
     for r in range(rounds):
         if len(seq) < 2:
             break
-        codes, at = frequent_pairs(seq, open_, max(least, len(seq) >> (8 + r)))
+        codes, at = frequent_pairs(seq, open_, max(least, len(seq) >> (6 + 2 * r)))
         if not len(codes):
-            if max(least, len(seq) >> (8 + r)) == least:
+            if max(least, len(seq) >> (6 + 2 * r)) == least:
                 break
             continue
         rank = np.where(at < 0, np.iinfo(np.int64).max, at)
@@ -153,24 +165,31 @@ class Shard:
             plane = np.unpackbits(take("u1", -(-symbols // 8)), count=symbols)
             self.seq |= plane.astype(np.uint32) << np.uint32(b)
 
+        # All expansions one after another: a run of symbols is then read with one gather.
+        size = np.concatenate((np.ones(self.base, np.int64), self.expansions))
+        self.size, self.place = size, np.cumsum(size) - size
+        tops = np.arange(self.base, self.base + rules, dtype=np.uint32)
+        self.flat = np.concatenate((np.arange(self.base, dtype=np.uint32), expand(tops, self.rules, self.base)))
+
+    def read(self, run: np.ndarray) -> np.ndarray:
+        size = self.size[run]
+        return self.flat[np.repeat(self.place[run] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))]
+
     def document(self, i: int) -> np.ndarray:
         end = self.first[i + 1] if i + 1 < len(self.first) else len(self.seq)
-        return expand(self.seq[self.first[i]:end], self.rules, self.base)
+        return self.read(self.seq[self.first[i]:end])
 
     def ids_at(self, i: int, start: int, stop: int) -> np.ndarray:
         """Ids start..stop of a document: only the symbols that reach into the range are expanded."""
         end = self.first[i + 1] if i + 1 < len(self.first) else len(self.seq)
         run = self.seq[self.first[i]:end]
-        size = np.ones(len(run), np.int64)
-        big = run >= self.base
-        size[big] = self.expansions[run[big] - self.base]
-        stops = np.cumsum(size)
+        stops = np.cumsum(self.size[run])
         lo, hi = np.searchsorted(stops, start, side="right"), np.searchsorted(stops, stop, side="left") + 1
         before = int(stops[lo - 1]) if lo else 0
-        return expand(run[lo:hi], self.rules, self.base)[start - before:stop - before] if lo < len(run) else run[:0]
+        return self.read(run[lo:hi])[start - before:stop - before] if lo < len(run) else run[:0]
 
     def all_ids(self) -> np.ndarray:
-        return expand(self.seq, self.rules, self.base)
+        return self.read(self.seq)
 
 
 def write_ids(docs: DataFrame, vocabulary: str, path: str, *, end_id: int = 2, shard_ids: int = SHARD_IDS) -> None:
@@ -205,8 +224,8 @@ def write_ids(docs: DataFrame, vocabulary: str, path: str, *, end_id: int = 2, s
     ordered.mapInArrow(run, schema).write.parquet(path)
 
 
-def read_ids(spark, path: str) -> DataFrame:
-    """doc_id, start, n_tokens, ids (binary, little-endian unsigned 32-bit) and ids_crc32 of every document, from the files."""
+def read_ids(spark, path: str, *, with_ids: bool = True) -> DataFrame:
+    """doc_id, start, n_tokens, ids_crc32 and (with_ids) ids (binary, little-endian unsigned 32-bit) of every document, from the files."""
     files = spark.read.schema("part long, shard_no long, first_doc long, n_docs long, n_ids long, shard binary").parquet(path)
     # One number for each written partition reaches the driver; the order within a partition is a window of its few shards.
     sums = sorted((r["part"], r["n"]) for r in files.groupBy("part").agg(F.sum("n_ids").alias("n")).collect())
@@ -227,13 +246,15 @@ def read_ids(spark, path: str) -> DataFrame:
             ends = np.cumsum(shard.lengths.astype(np.int64))
             begin = ends - shard.lengths
             parts = [ids[4 * a:4 * b] for a, b in zip(begin.tolist(), ends.tolist(), strict=True)]
-            out.append({"doc_id": shard.doc_ids, "start": at + begin, "n_tokens": shard.lengths.astype(np.int64), "ids": parts, "ids_crc32": [zlib.crc32(x) for x in parts]})
+            out.append({"doc_id": shard.doc_ids, "start": at + begin, "n_tokens": shard.lengths.astype(np.int64), "ids_crc32": [zlib.crc32(x) for x in parts]} | ({"ids": parts} if with_ids else {}))
         return out
 
-    return common.arrow_map(files.join(places, ["part", "shard_no"]).select("shard", "shard_start"), decode, "doc_id long, start long, n_tokens long, ids binary, ids_crc32 long")
+    schema = "doc_id long, start long, n_tokens long, ids_crc32 long" + (", ids binary" if with_ids else "")
+
+    return common.arrow_map(files.join(places, ["part", "shard_no"]).select("shard", "shard_start"), decode, schema)
 
 
 def op7_repair_ids(spark, sf_dir):
     path = common.shared_folder(spark, "ids")
     write_ids(common.documents(spark, sf_dir), tokens.vocabulary("byte_bpe_50k.json"), path)
-    return read_ids(spark, path).drop("ids")
+    return read_ids(spark, path, with_ids=False)
