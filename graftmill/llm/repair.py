@@ -38,13 +38,14 @@ NULL_ID = -(2**63)
 SHARD_IDS = 1 << 20
 #: A pair must occur this often in its shard to become a rule.
 LEAST = 8
-#: A round takes pairs down to a quarter of the count of the one before.
-ROUNDS = 8
+#: A round takes pairs down to an eighth of the count of the one before.
+ROUNDS = 6
 CELL_BITS = 20
+RARE = np.iinfo(np.int32).max
 
 
 def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
-    """Codes of pairs that occur at least ``least`` times, most frequent first, and the rank at each place (-1: rare).
+    """Codes of pairs that occur at least ``least`` times, most frequent first, and the rank at each place (RARE: none).
 
     Counting goes by a hashed table: a cell stands for one of its pairs, the others wait for a later round.
     """
@@ -63,9 +64,9 @@ def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
     counts = np.bincount(cell, minlength=1 << CELL_BITS)
     good = np.flatnonzero(counts >= least)
     good = good[np.argsort(-counts[good], kind="stable")]
-    rank = np.full(1 << CELL_BITS, -1, np.int64)
-    rank[good] = np.arange(len(good))
-    at = np.full(len(code), -1, np.int64)
+    rank = np.full(1 << CELL_BITS, RARE, np.int32)
+    rank[good] = np.arange(len(good), dtype=np.int32)
+    at = np.full(len(code), RARE, np.int32)
     at[some] = rank[cell]
     return of_cell[good], at
 
@@ -81,15 +82,15 @@ def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST, rounds
     for r in range(rounds):
         if len(seq) < 2:
             break
-        codes, at = frequent_pairs(seq, open_, max(least, len(seq) >> (6 + 2 * r)))
+        codes, at = frequent_pairs(seq, open_, max(least, len(seq) >> (6 + 3 * r)))
         if not len(codes):
-            if max(least, len(seq) >> (6 + 2 * r)) == least:
+            if max(least, len(seq) >> (6 + 3 * r)) == least:
                 break
             continue
-        rank = np.where(at < 0, np.iinfo(np.int64).max, at)
-        before = np.concatenate(([np.iinfo(np.int64).max], rank[:-1]))
-        after = np.concatenate((rank[1:], [np.iinfo(np.int64).max]))
-        take = np.flatnonzero((at >= 0) & (rank < before) & (rank <= after))
+        best = at < RARE
+        best[1:] &= at[1:] < at[:-1]
+        best[:-1] &= at[:-1] <= at[1:]
+        take = np.flatnonzero(best)
         used, new = np.unique(at[take], return_inverse=True)
         seq[take] = (base + len(rules) + new).astype(np.uint32)
         keep = np.ones(len(seq), bool)

@@ -10,13 +10,17 @@ import array
 import os
 import re
 import sys
+import unicodedata
 
 import numpy as np
 
 from . import common
 
-#: Chunks kept by a worker; the cache is emptied beyond it, which only costs time.
-CACHE_CHUNKS = 600_000
+#: Chunks kept by a worker. Common ones come early; beyond this number new ones are encoded each time, which only costs time.
+CACHE_CHUNKS = 1_000_000
+#: Byte-level vocabularies write each byte as a printable letter: printable Latin-1 as itself, the rest from U+0100 on.
+_PLAIN = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
+BYTE_LETTERS = {b: b for b in _PLAIN} | {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 PUNCTUATION = frozenset(".,;:!?")
 
 assert sys.byteorder == "little"
@@ -51,27 +55,34 @@ class Chunks(dict):
         return array.array("I", self.tokenizer.encode(chunk, add_special_tokens=False).ids).tobytes()
 
     def word(self, core: str) -> bytes:
-        """ids of one run of ASCII letters, with its leading space where the vocabulary has spaces."""
-        if self.fold:
-            return array.array("I", [t.id for t in self.model.tokenize(core)]).tobytes()
-        return array.array("I", [t.id for t in self.model.tokenize("Ġ" + core[1:] if core[0] == " " else core)]).tobytes()
+        """ids of one run of letters, with its leading space where the vocabulary has spaces: one piece for the merges."""
+        if not core.isascii() or core[0] == " ":
+            core = core.encode().decode("latin-1").translate(BYTE_LETTERS)
+        return array.array("I", [t.id for t in self.model.tokenize(core)]).tobytes()
+
+    def folded(self, word: str) -> str | None:
+        """The word as the tokenizer's normalizer gives it, letter by letter; None if that is not plain."""
+        if word.isascii():
+            return word.lower()
+        low = "".join(map(str.lower, word))  # a final sigma stays a sigma, unlike in word.lower()
+        return low if len(low) == len(word) and low.isalpha() and unicodedata.is_normalized("NFC", word) else None
 
     def __missing__(self, chunk: str) -> bytes:
         if not chunk:
             return b""
-        if len(self) >= CACHE_CHUNKS:
-            self.clear()
         bare = chunk[1:] if chunk[0] == " " and not self.fold else chunk
-        if bare.isascii() and bare.isalpha():
-            # Letters alone are one piece for the merges; ASCII is folded by lower().
-            low = chunk.lower() if self.fold else chunk
+        low = None
+        if bare.isalpha():
+            low = self.folded(chunk) if self.fold else chunk
+        if low is not None:
             made = self.word(low) if low == chunk else self[low]
         elif len(bare) > 1 and bare[-1] in PUNCTUATION and bare[-2].isalpha() and len(bare[-2].lower()) == 1:
             # A letter and a single mark behind it always belong to different pieces.
             made = self[chunk[:-1]] + self[chunk[-1]]
         else:
             made = self.encode(chunk)
-        self[chunk] = made
+        if len(self) < CACHE_CHUNKS:
+            self[chunk] = made
         return made
 
 
