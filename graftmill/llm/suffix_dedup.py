@@ -6,8 +6,8 @@ is cut down exactly, step by step:
 1. Anchors. Every window of ``length`` bytes has one anchor: the gram of GRAM bytes in it with the least hash
    (the last such gram). Equal windows have equal anchors at the same place. Windows that follow each other and share
    their anchor form a context: the bytes from the first window's start to the last one's end.
-2. Contexts of an anchor that occurs once are unique and go. Equal contexts (128-bit hash) are counted, not moved: all of
-   their windows repeat.
+2. Contexts of an anchor that occurs once are unique and go. Equal contexts (the anchor's and the context's hash, 128 bits)
+   are counted, not moved: all of their windows repeat.
 3. Of each distinct context of a repeated anchor, one copy goes to the tasks of its anchor. There, contexts
    are strings over 16-byte symbols, aligned to the anchor. Shards of them get a suffix order and a Burrows-Wheeler transform
    each; the transforms are merged by interleave refinement, whose passes yield the common prefixes. Intervals of rows
@@ -43,7 +43,7 @@ SLICE = 1 << 19
 BITS = 20
 
 # Odd multipliers of the two rolling hashes, fixed.
-M1, M2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
+M1, M2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F  # of grams, of contexts
 
 
 def finish(x: np.ndarray) -> np.ndarray:
@@ -67,7 +67,7 @@ def powers(n: int):
 
 
 def contexts(data: bytes, length: int, gram: int):
-    """Arrays (anchor hash, context hash 1, 2, start, windows, anchor place) of the contexts of one text."""
+    """Arrays (anchor hash, context hash, start, windows, anchor place) of the contexts of one text."""
     n = len(data)
     b = np.frombuffer(data, np.uint8).astype(np.uint64) + np.uint64(1)
     p1, q1, p2, q2 = powers(n + 1)
@@ -96,13 +96,12 @@ def contexts(data: bytes, length: int, gram: int):
     end = start + windows - 1 + length
     place = anchor - start
     salt = (windows.astype(np.uint64) << np.uint64(32)) | place.astype(np.uint64)
-    c1 = finish((s1[end] - s1[start]) * q1[start] + salt)
-    c2 = finish((s2[end] - s2[start]) * q2[start] ^ salt)
-    return h[anchor], c1, c2, start, windows, place
+    c1 = finish((s2[end] - s2[start]) * q2[start] + salt * np.uint64(M1))
+    return h[anchor], c1, start, windows, place
 
 
 def all_contexts(docs: DataFrame, length: int, gram: int) -> DataFrame:
-    names = ("fp", "c1", "c2", "start", "windows", "place")
+    names = ("fp", "c1", "start", "windows", "place")
 
     def run(batch: pa.RecordBatch):
         made, ids, keys = [], [], []
@@ -117,7 +116,7 @@ def all_contexts(docs: DataFrame, length: int, gram: int) -> DataFrame:
         out = {n: c.view(np.int64) for n, c in zip(names, cols, strict=True)}
         return out | {"doc_id": ids, "key": keys, "windows": out["windows"].astype(np.int32), "place": out["place"].astype(np.int32)}
 
-    return common.arrow_map(docs, run, "fp long, c1 long, c2 long, doc_id long, key long, start long, windows int, place int")
+    return common.arrow_map(docs, run, "fp long, c1 long, doc_id long, key long, start long, windows int, place int")
 
 
 def repeated_windows(bufs: list[bytes], windows: list[int], places: list[int], length: int) -> tuple[np.ndarray, np.ndarray]:
@@ -239,11 +238,11 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
         raise ValueError("length must be a multiple of 16, at least 48 and above gram")
     same_row = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["key"] == b["key"])
     docs = keyed(docs)
-    rows = common.stored(all_contexts(docs, length, gram), "contexts")
-    distinct = rows.groupBy("fp", "c1", "c2").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "key", "start", "windows", "place")).alias("one"))
+    rows = all_contexts(docs, length, gram)  # made twice: cheaper on disk than kept
+    distinct = rows.groupBy("fp", "c1").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "key", "start", "windows", "place")).alias("one"))
     of_anchor = distinct.groupBy("fp").agg(F.sum("c").alias("all"), F.count(F.lit(1)).alias("kinds")).filter("all > 1").drop("all")
     hit = common.stored(distinct.join(of_anchor, "fp"), "repeated")
-    whole = rows.join(hit.filter("c > 1").select("fp", "c1", "c2"), ["fp", "c1", "c2"]).select("doc_id", "key", F.col("start").alias("s"), (F.col("start") + F.col("windows") - 1 + length).alias("e"))
+    whole = rows.join(hit.filter("c > 1").select("fp", "c1"), ["fp", "c1"]).select("doc_id", "key", F.col("start").alias("s"), (F.col("start") + F.col("windows") - 1 + length).alias("e"))
     some = hit.filter("kinds > 1").select("fp", "kinds", "c1", (F.col("c") > 1).alias("many"), "one.*")
     wanted = some.groupBy("doc_id", "key").agg(F.collect_list(F.struct("fp", "kinds", "c1", "many", "start", "windows", "place")).alias("w"))  # bounded by the document
     cut = docs.join(wanted.withColumnRenamed("doc_id", "d2").withColumnRenamed("key", "k2"), docs["doc_id"].eqNullSafe(F.col("d2")) & (docs["key"] == F.col("k2"))).drop("d2", "k2").dropDuplicates(["doc_id", "key"])
