@@ -38,9 +38,17 @@ def drop_stored(spark: SparkSession, path: str) -> None:
     p.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(p, True)
 
 
+#: Caches of which a worker process keeps the last used one only, so that operators that follow each other do not add up.
+LARGE_CACHES = frozenset({"words", "chunks", "letters", "powers"})
+
+
 def process_cache(name: str) -> dict:
     """A dict that lives as long as the worker process (pickling by value makes module globals per task)."""
-    return sys.__dict__.setdefault("_graftmill_cache", {}).setdefault(name, {})
+    caches = sys.__dict__.setdefault("_graftmill_cache", {})
+    if name in LARGE_CACHES and name not in caches:
+        for other in LARGE_CACHES & caches.keys():
+            caches.pop(other).clear()
+    return caches.setdefault(name, {})
 
 
 def arrow_map(df: DataFrame, per_batch, schema: str) -> DataFrame:

@@ -35,7 +35,7 @@ REFERENCE_CHARS = 24_000
 BLOCK_CHARS = 512
 UND = "und"
 #: Texts parsed side by side, in characters.
-SLICE_CHARS = 4_000_000
+SLICE_CHARS = 1_000_000
 
 
 def letters_only(text: str) -> str:

@@ -36,7 +36,7 @@ RECALL = 0.999
 MAX_HASHES = 320
 #: Nodes of one side of a verification task.
 BLOCK_NODES = 256
-CACHE_WORDS = 1_000_000
+CACHE_WORDS = 500_000
 MIX = np.uint64(0x9E3779B97F4A7C15)
 #: N-grams hashed side by side, so that they stay in the processor's cache.
 SLICE = 1 << 15
