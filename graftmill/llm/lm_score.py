@@ -23,6 +23,7 @@ table gives an empty table; other columns are ignored.
 import numpy as np
 import pyarrow as pa
 import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -108,16 +109,24 @@ class Block:
         return np.bincount(self.doc, weights=value + back * np.log(alpha), minlength=len(self.n_words))
 
 
-def planes(keys: np.ndarray, width: int) -> bytes:
-    """The low bytes of sorted numbers, plane by plane; the bucket tells the bytes above, and the upper planes compress to little."""
-    return np.ascontiguousarray(keys.view(np.uint8).reshape(-1, 8)[:, :width].T).tobytes()
+def packed(x: np.ndarray) -> bytes:
+    """Numbers byte plane by byte plane, compressed: planes that hold little take little."""
+    flat = np.ascontiguousarray(x.view(np.uint8).reshape(len(x), -1).T)
+    return zstandard.ZstdCompressor(level=1).compress(flat.tobytes())
 
 
-def unplanes(data: bytes, width: int) -> np.ndarray:
-    low = np.frombuffer(data, np.uint8).reshape(width, -1)
-    out = np.zeros((low.shape[1], 8), np.uint8)
-    out[:, :width] = low.T
-    return out.view(np.uint64).ravel()
+def unpacked(data: bytes, kind) -> np.ndarray:
+    raw = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8)
+    return np.ascontiguousarray(raw.reshape(np.dtype(kind).itemsize, -1).T).view(kind).ravel()
+
+
+def packed_keys(keys: np.ndarray) -> bytes:
+    """Sorted numbers as steps; those of one bucket lie close."""
+    return packed(np.diff(keys, prepend=np.uint64(0)))
+
+
+def unpacked_keys(data: bytes) -> np.ndarray:
+    return np.cumsum(unpacked(data, np.uint64), dtype=np.uint64)
 
 
 def log2_of(n: int) -> int:
@@ -128,8 +137,6 @@ SENT = "block long, bucket long, k int, keys binary, counts binary"
 
 
 def sender(orders: tuple, bits: int):
-    width = 8 - bits // 8
-
     def send(block: int, made: Block):
         out = {n: [] for n in ("block", "bucket", "k", "keys", "counts")}
         for k in orders:
@@ -138,40 +145,66 @@ def sender(orders: tuple, bits: int):
             of = (keys >> np.uint64(64 - bits)).astype(np.int64)
             cuts = np.concatenate(([0], np.flatnonzero(of[1:] != of[:-1]) + 1, [len(keys)])) if len(keys) else [0]
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-                for name, v in zip(out, (block, int(of[a]), k, planes(keys[a:b], width), n[a:b].tobytes()), strict=True):
+                for name, v in zip(out, (block, int(of[a]), k, packed_keys(keys[a:b]), packed(n[a:b])), strict=True):
                     out[name].append(v)
         return pa.table([pa.array(v, t) for v, t in zip(out.values(), (pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary()), strict=True)], names=list(out))
 
     return send
 
 
-def counted(sent: DataFrame, bits: int) -> DataFrame:
+def counted(sent: DataFrame) -> DataFrame:
     """block, bucket, k, counts: counts over all blocks of the n-grams that each block sent."""
-    width = 8 - bits // 8
-
     def run(table: pa.Table) -> pa.Table:
-        keys = [unplanes(x, width) for x in table.column("keys").to_pylist()]
-        own = np.concatenate([np.frombuffer(x, np.uint32) for x in table.column("counts").to_pylist()])
+        keys = [unpacked_keys(x) for x in table.column("keys").to_pylist()]
+        own = np.concatenate([unpacked(x, np.uint32) for x in table.column("counts").to_pylist()])
         _, index = np.unique(np.concatenate(keys), return_inverse=True)
         total = np.bincount(index, weights=own).astype(np.int64)[index]  # exact below 2**53
         cuts = np.cumsum([len(x) for x in keys])[:-1]
-        back = [x.tobytes() for x in np.split(total, cuts)]
+        back = [packed(x) for x in np.split(total, cuts)]
         return pa.table([table.column("block"), table.column("bucket"), table.column("k"), pa.array(back, pa.binary())], names=["block", "bucket", "k", "counts"])
 
     return sent.groupBy("bucket", "k").applyInArrow(run, "block long, bucket long, k int, counts binary")
 
 
-def taught(docs: pa.Table, counts: pa.Table) -> Block:
-    made = Block(docs.column("text").to_pylist())
+def gathered(docs: DataFrame, blocks: int) -> DataFrame:
+    """block, ids, lengths, data: the documents of a batch that belong to one block, as one compressed row."""
+
+    def run(batch: pa.RecordBatch):
+        out = {n: [] for n in ("block", "ids", "lengths", "data")}
+        of = np.array(common.column_of(batch, "block").to_pylist(), np.int64)
+        ids, texts = common.column_of(batch, "doc_id").to_pylist(), common.texts_of(batch)
+        order = np.argsort(of, kind="stable")
+        for part in np.split(order, np.flatnonzero(np.diff(of[order])) + 1):
+            raw = [(texts[i] or "").encode("utf-8", "surrogatepass") for i in part.tolist()]
+            for name, v in zip(out, (int(of[part[0]]), [ids[i] for i in part.tolist()], packed(np.array([len(x) for x in raw], np.uint32)), zstandard.ZstdCompressor(level=1).compress(b"".join(raw))), strict=True):
+                out[name].append(v)
+        return out
+
+    placed = docs.select(F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).alias("block"), "doc_id", "text")
+    return common.arrow_map(placed, run, "block long, ids array<long>, lengths binary, data binary")
+
+
+def block_of(docs: pa.Table) -> tuple[list, Block]:
+    """(ids, words) of the documents of a block."""
+    ids, texts = [], []
+    for own, lengths, data in zip(docs.column("ids").to_pylist(), docs.column("lengths").to_pylist(), docs.column("data").to_pylist(), strict=True):
+        ids += own
+        raw = zstandard.ZstdDecompressor().decompress(data)
+        stops = np.cumsum(unpacked(lengths, np.uint32), dtype=np.int64).tolist()
+        texts += [raw[a:b].decode("utf-8", "surrogatepass") for a, b in zip([0, *stops[:-1]], stops, strict=True)]
+    return ids, Block(texts)
+
+
+def taught(made: Block, counts: pa.Table) -> Block:
     rows = sorted(zip(counts.column("k").to_pylist(), counts.column("bucket").to_pylist(), counts.column("counts").to_pylist(), strict=True), key=lambda r: r[:2])
     for k in sorted({1, 2} | {r[0] for r in rows}):
-        made.learn(k, np.frombuffer(b"".join(r[2] for r in rows if r[0] == k), np.int64))
+        made.learn(k, np.concatenate([np.zeros(0, np.int64), *(unpacked(r[2], np.int64) for r in rows if r[0] == k)]))
     return made
 
 
 def resender(send):
     def phase(docs: pa.Table, counts: pa.Table) -> pa.Table:
-        return send(docs.column("block")[0].as_py(), taught(docs, counts))
+        return send(docs.column("block")[0].as_py(), taught(block_of(docs)[1], counts))
 
     return phase
 
@@ -193,27 +226,27 @@ def stupid_backoff(docs: DataFrame, *, order: int = ORDER, alpha: float = ALPHA,
     size, total = corpus_size(docs)
     blocks = max(1, -(-size // block_bytes))
     bits = log2_of(max(LEAST_BUCKETS, -(-size // bucket_bytes)))
-    placed = docs.select(F.pmod(F.xxhash64("doc_id"), F.lit(blocks)).alias("block"), "doc_id", "text")
-    by_block = placed.groupBy("block")  # the same exchange serves every phase
+    by_block = gathered(docs, blocks).groupBy("block")  # the same exchange serves every phase
     first = sender((1, 2), bits)
 
     def phase_one(table: pa.Table) -> pa.Table:
-        return first(table.column("block")[0].as_py(), Block(table.column("text").to_pylist()))
+        return first(table.column("block")[0].as_py(), block_of(table)[1])
 
-    known = counted(by_block.applyInArrow(phase_one, SENT), bits)
+    known = counted(by_block.applyInArrow(phase_one, SENT))
     for k in range(3, order + 1):
         longer = resender(sender((k,), bits))
-        known = known.unionByName(counted(by_block.cogroup(known.groupBy("block")).applyInArrow(longer, SENT), bits))
+        known = known.unionByName(counted(by_block.cogroup(known.groupBy("block")).applyInArrow(longer, SENT)))
 
     def score(docs: pa.Table, counts: pa.Table) -> pa.Table:
-        made = taught(docs, counts)
+        ids, made = block_of(docs)
+        taught(made, counts)
         for k in range(1, order + 1):
             if k not in made.outside:
                 made.outside[k] = np.zeros(len(made.word), np.int64)
         sums = made.scores(order, total, alpha)
         n = made.n_words
         mean = [round(float(s) / int(c), 6) if c else None for s, c in zip(sums, n, strict=True)]
-        return pa.table([docs.column("doc_id"), pa.array(n, pa.int64()), pa.array(mean, pa.float64())], names=["doc_id", "n_words", "mean_log"])
+        return pa.table([pa.array(ids, pa.int64()), pa.array(n, pa.int64()), pa.array(mean, pa.float64())], names=["doc_id", "n_words", "mean_log"])
 
     return by_block.cogroup(known.groupBy("block")).applyInArrow(score, "doc_id long, n_words long, mean_log double")
 
