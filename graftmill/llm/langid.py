@@ -98,17 +98,19 @@ class Model:
         self.tables = [self.table(suffix_automaton([self.symbol[c] for c in references[x]])) for x in self.langs]
 
     def table(self, step: list[dict]) -> np.ndarray:
-        """entry = 2 x (row offset of the next state) + 1 if a phrase ended here."""
+        """entry = 4 x (row offset of the next state) + phrases that ended here.
+
+        A symbol that the reference lacks is a phrase of its own, beside the open one that it ends.
+        """
         w = self.width
-        root = np.full(w, 1, np.int64)  # unknown symbol: a phrase of its own, back to the start
+        root = np.full(w, 1, np.int64)
         for c, s in step[0].items():
-            root[c] = 2 * s * w
-        fail = root | 1  # the phrase ends, the symbol opens the next one
-        out = np.tile(fail, (len(step), 1))
+            root[c] = 4 * s * w
+        out = np.tile(root + 1, (len(step), 1))
         out[0] = root
         for s, t in enumerate(step):
             for c, to in t.items():
-                out[s, c] = 2 * to * w
+                out[s, c] = 4 * to * w
         out[:, 2] = 1  # end of block: the open phrase ends
         out[0, 2] = 0
         return out.astype(np.int32).ravel()
@@ -167,8 +169,8 @@ def phrase_counts(model: Model, codes: np.ndarray, texts: list[str], block: int
             if not m:
                 break
             e = table[state[:m] + grid[i, :m]]
-            count[:m] += e & 1
-            state[:m] = e >> 1
+            count[:m] += e & 3
+            state[:m] = e >> 2
         out[k] = np.bincount(of_block[order], weights=count, minlength=n)
     return chars, has_letter, out
 
