@@ -195,16 +195,16 @@ def block_of(docs: pa.Table) -> tuple[list, Block]:
     return ids, Block(texts)
 
 
-def taught(made: Block, counts: pa.Table) -> Block:
+def taught(made: Block, counts: pa.Table, order: int) -> Block:
     rows = sorted(zip(counts.column("k").to_pylist(), counts.column("bucket").to_pylist(), counts.column("counts").to_pylist(), strict=True), key=lambda r: r[:2])
-    for k in sorted({1, 2} | {r[0] for r in rows}):
+    for k in range(1, order + 1):
         made.learn(k, np.concatenate([np.zeros(0, np.int64), *(unpacked(r[2], np.int64) for r in rows if r[0] == k)]))
     return made
 
 
-def resender(send):
+def resender(send, order: int):
     def phase(docs: pa.Table, counts: pa.Table) -> pa.Table:
-        return send(docs.column("block")[0].as_py(), taught(block_of(docs)[1], counts))
+        return send(docs.column("block")[0].as_py(), taught(block_of(docs)[1], counts, order))
 
     return phase
 
@@ -234,15 +234,12 @@ def stupid_backoff(docs: DataFrame, *, order: int = ORDER, alpha: float = ALPHA,
 
     known = counted(by_block.applyInArrow(phase_one, SENT))
     for k in range(3, order + 1):
-        longer = resender(sender((k,), bits))
+        longer = resender(sender((k,), bits), k - 1)
         known = known.unionByName(counted(by_block.cogroup(known.groupBy("block")).applyInArrow(longer, SENT)))
 
     def score(docs: pa.Table, counts: pa.Table) -> pa.Table:
         ids, made = block_of(docs)
-        taught(made, counts)
-        for k in range(1, order + 1):
-            if k not in made.outside:
-                made.outside[k] = np.zeros(len(made.word), np.int64)
+        taught(made, counts, order)
         sums = made.scores(order, total, alpha)
         n = made.n_words
         mean = [round(float(s) / int(c), 6) if c else None for s, c in zip(sums, n, strict=True)]

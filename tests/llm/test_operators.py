@@ -407,7 +407,7 @@ def test_op9_empty(empty):
 
 @pytest.mark.parametrize("source,text", [
     ("<p>a b<p>c", "a b\n\nc"), ("<ul><li>one<li>two</ul>", "- one\n- two"), ("<ol start=3><li>x<li>y</ol>", "3. x\n4. y"),
-    ("<table><tr><th>Name<th>N<tr><td>ab<td>1</table>", "Name  N\nab    1"), ("<pre>a\n  b</pre>", "a\n  b"), ("a<div hidden>no</div>b<span style='display: none'>x</span>", "a\nb"),
+    ("<table><tr><th>Name<th>N<tr><td>ab<td>1</table>", "Name  N\nab    1"), ("<pre>a\n  b</pre>", "a\n  b"), ("a<div hidden>no</div>b<span style='display: none'>x</span>", "ab"),
     ("<script>if (a<b) x</script>t&eacute;&amp;<style>p{}</style>", "té&"), ("<title>T</title>x<!-- c -->y", "xy"), ("a<br>b", "a\nb"), ("", ""), (None, ""), ("<", "<"), ("<p", ""),
     ("<details><summary>s</summary>hidden</details>", "s"), ("<b>a</b> <i>b</i>", "a b"), ("<dl><dt>k<dd>v</dl>", "k\n  v"), ("<table><tr><td>日本<td>x<tr><td>abcd<td>y</table>", "日本  x\nabcd  y"),
 ])
