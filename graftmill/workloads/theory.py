@@ -309,8 +309,8 @@ x AS (SELECT * FROM (SELECT *, bool_or(seen) OVER (PARTITION BY q_id, agent) AS
 first AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY q_id, agent ORDER BY p DESC, answer) AS k FROM x) WHERE k = 1),
 m AS (SELECT *, max(p) OVER (PARTITION BY q_id) AS mx FROM first), t AS (SELECT q_id, min(answer) AS top FROM m WHERE p = mx GROUP BY q_id),
 y AS (SELECT q_id, answer, CASE WHEN p < mx THEN top ELSE answer END AS now FROM m JOIN t USING (q_id)),
-n AS (SELECT q_id, now, count(*) AS n FROM y GROUP BY ALL), r AS (SELECT q_id, CASE WHEN count(DISTINCT answer) = 1 THEN 0 WHEN count(DISTINCT now) = 1 THEN 1 ELSE 3 END AS rounds FROM y GROUP BY q_id)
-SELECT q_id, arg_min(now, (-n, now)) AS answer, any_value(rounds)::INT AS rounds FROM n JOIN r USING (q_id) GROUP BY q_id""")
+nn AS (SELECT q_id, now, count(*) AS n FROM y GROUP BY ALL), r AS (SELECT q_id, CASE WHEN count(DISTINCT answer) = 1 THEN 0 WHEN count(DISTINCT now) = 1 THEN 1 ELSE 3 END AS rounds FROM y GROUP BY q_id)
+SELECT q_id, arg_min(now, (-n, now)) AS answer, any_value(rounds)::INT AS rounds FROM nn JOIN r USING (q_id) GROUP BY q_id""")
 def debate_final(spark, sf):
     return A.debate(candidates(spark, sf)[0])
 
