@@ -277,3 +277,14 @@ def test_plans_prune_and_do_not_cross(spark, sf):
     assert "EqualTo(lang,en)" in r["pushed"][0] and "text" not in r["read_schema"][0]
     kg = K.kg_from_tables(spark, sf, K.ATTRIBUTES)
     assert plan_report(V.verify(kg, kg=kg, schema=K.kg_schema(spark)))["cartesian"] == 0
+
+
+def test_sql_surface(spark, sf):
+    from graftmill.functions import sqlfuncs
+
+    sqlfuncs.register(spark, sf)
+    assert spark.sql("SELECT cosine_at_least(1, 2, 2, 1, 2) AS a, cosine_at_least(1, 3, 2, 1, 2) AS b, hash32('abc') % 384 AS c").first() == (True, False, 152)
+    assert spark.sql("SELECT lcs_words(array('a', 'b', 'c'), array('a', 'c')) AS n").first()[0] == 2
+    assert spark.sql("SELECT count(*) FROM expand_paths(array('a', 'b', 'c'), 2)").first()[0] == 2
+    assert abs(sqlfuncs.approx_stats(load(spark, sf, "customer"), "c_custkey", "c_acctbal").first()["n_distinct"] - 150) < 15
+    assert sqlfuncs.lateral_topk(spark, "(SELECT n_nationkey AS k FROM nation)", "(SELECT c_nationkey AS k, c_custkey FROM customer)", "k", "c_custkey", 2).count() <= 50
