@@ -242,6 +242,8 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
     distinct = rows.groupBy("fp", "c1").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "key", "start", "windows", "place")).alias("one"))
     of_anchor = distinct.groupBy("fp").agg(F.sum("c").alias("all"), F.count(F.lit(1)).alias("kinds")).filter("all > 1").drop("all")
     hit = common.stored(distinct.join(of_anchor, "fp"), "repeated")
+    del distinct, of_anchor
+    common.release(docs.sparkSession)
     whole = rows.join(hit.filter("c > 1").select("fp", "c1"), ["fp", "c1"]).select("doc_id", "key", F.col("start").alias("s"), (F.col("start") + F.col("windows") - 1 + length).alias("e"))
     some = hit.filter("kinds > 1").select("fp", "kinds", "c1", (F.col("c") > 1).alias("many"), "one.*")
     wanted = some.groupBy("doc_id", "key").agg(F.collect_list(F.struct("fp", "kinds", "c1", "many", "start", "windows", "place")).alias("w"))  # bounded by the document
