@@ -36,9 +36,9 @@ def source_rates(docs: DataFrame, weights: dict | None, epochs: float, key: str)
     else:
         items = [x for k, v in weights.items() for x in (F.lit(k), F.lit(float(v)))]
         sizes = sizes.withColumn("__w", F.coalesce(F.create_map(*items)[F.col(key)], F.lit(0.0)) if items else F.lit(0.0))
-    total = sizes.agg(F.sum("__n").alias("__all"), F.sum("__w").alias("__ws"))
-    rate = F.when(F.col("__ws") > 0, F.lit(float(epochs)) * F.col("__w") / F.col("__ws") * F.col("__all") / F.col("__n")).otherwise(0.0)
-    out = sizes.crossJoin(F.broadcast(total)).select(F.col(key), rate.alias("__rate"))  # total is one row
+    total = sizes.agg(F.sum("__n").alias("n"), F.sum("__w").alias("w")).first()  # two numbers
+    rate = F.lit(float(epochs)) * F.col("__w") / F.lit(total["w"]) * F.lit(total["n"]) / F.col("__n") if total["w"] else F.lit(0.0)
+    out = sizes.select(F.col(key), rate.alias("__rate"))
     out = out.withColumn("__parts", F.greatest(F.lit(1), F.ceil(F.col("__rate") / PART_MEAN)).cast("int"))
     mean = F.col("__rate") / F.col("__parts")
     step = lambda acc, k: F.struct(
