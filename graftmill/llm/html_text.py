@@ -232,7 +232,8 @@ def render(root: Node) -> str:
             elif tag == "dd" or tag == "blockquote":
                 out.indent += 2
             stack.append((node, "out"))
-            for kid in reversed(node.kids):
+            closed = tag == "details" and "open" not in node.attrs  # shows its summary only
+            for kid in reversed([k for k in node.kids if not (closed and isinstance(k, str))]):
                 stack.append((kid, "pre" if pre else "in"))
             continue
         if tag == "table" and tables:
