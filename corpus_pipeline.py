@@ -20,8 +20,8 @@ def ngram_jaccard(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Texts without the 400-byte strings that occur more than once; documents left empty go."""
-    return suffix_dedup.drop_repeats(docs)
+    """Texts without the passages of more than 50 words that occur more than once; documents left empty go."""
+    return suffix_dedup.drop_repeats(docs, words=51)
 
 
 def source_mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -18,11 +18,17 @@ is cut down exactly, step by step:
 An anchor with more than GROUP distinct contexts is dealt in blocks, one task for each pair of blocks, so no task
 grows with a hot passage and none of it is dropped.
 
+By words. drop_repeats(words=n) removes every run of n words that starts anywhere else too, however few bytes it has. Each word
+becomes a code of WORD bytes (a hash of its characters without punctuation at either end) and the steps above run on the
+codes with a length of n codes; of the ranges found, those that hold n whole codes count. A character of a script
+without spaces is a word. Words are told apart by 48 bits, a run by all of its words.
+
 Defined results: null text is empty; a text shorter than ``length`` keeps all its bytes; repeated rows (same doc_id and text)
 repeat each other and so lose all from ``length`` bytes on; an empty table gives an empty table; other columns are ignored.
 """
 
 import hashlib
+import unicodedata
 
 import numpy as np
 import pyarrow as pa
@@ -41,6 +47,11 @@ CHUNK, SHARD = 16_384, 4096
 #: Window starts taken at a time in a very long text.
 SLICE = 1 << 19
 BITS = 20
+#: Bytes of a word's code.
+WORD = 6
+#: Scripts written without spaces: Thai and Lao, Tibetan, Myanmar, Khmer, kana, Han.
+UNSPACED = ((0xE00, 0xEFF), (0xF00, 0xFFF), (0x1000, 0x109F), (0x1780, 0x17FF), (0x3005, 0x3007), (0x3040, 0x30FF), (0x3400, 0x9FFF), (0xF900, 0xFAFF), (0x20000, 0x3FFFF))
+SPACE, LETTER, MARK, LONE = range(4)
 
 # Odd multipliers of the two rolling hashes, fixed.
 M1, M2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F  # of grams, of contexts
@@ -100,12 +111,57 @@ def contexts(data: bytes, length: int, gram: int):
     return h[anchor], c1, start, windows, place
 
 
-def all_contexts(docs: DataFrame, length: int, gram: int) -> DataFrame:
+def classes() -> np.ndarray:
+    """SPACE, LETTER, MARK (punctuation) or LONE (a word of its own) for every code point."""
+    cache = common.process_cache("classes")
+    if not cache:
+        kind = np.full(0x110000, LETTER, np.uint8)
+        for i in range(0x10000):
+            c = chr(i)
+            kind[i] = SPACE if c.isspace() else LETTER if c.isalnum() or unicodedata.category(c)[0] == "M" else MARK
+        for lo, hi in UNSPACED:
+            kind[lo:hi + 1][kind[lo:hi + 1] == LETTER] = LONE
+        cache["kind"] = kind
+    return cache["kind"]
+
+
+def word_spans(text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first character, end, kind of every character) of the words."""
+    points = np.frombuffer(text.encode("utf-32-le"), np.uint32)
+    kind = classes()[points]
+    solid = kind != SPACE
+    new = solid.copy()
+    new[1:] &= ~solid[:-1] | (kind[1:] == LONE) | (kind[:-1] == LONE) & (kind[1:] != MARK)
+    start = np.flatnonzero(new)
+    last = np.flatnonzero(solid)
+    return start, last[np.searchsorted(last, np.append(start[1:], len(text))) - 1] + 1, kind
+
+
+def word_codes(data: bytes) -> bytes:
+    """WORD bytes for each word of a text."""
+    text = data.decode()
+    start, end, kind = word_spans(text)
+    if not len(start):
+        return b""
+    good = np.flatnonzero((kind == LETTER) | (kind == LONE))
+    a, b = np.searchsorted(good, start), np.searchsorted(good, end)
+    some = b > a  # others are punctuation only and count as they are
+    start, end = start.copy(), end.copy()
+    start[some], end[some] = good[a[some]], good[b[some] - 1] + 1
+    p, q, _, _ = powers(len(text) + 1)
+    sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum((np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64) + np.uint64(1)) * p[:len(text)], dtype=np.uint64)))
+    h = finish((sums[end] - sums[start]) * q[start])
+    return h.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :WORD].tobytes()
+
+
+def all_contexts(docs: DataFrame, length: int, gram: int, by_word: bool = False) -> DataFrame:
     names = ("fp", "c1", "start", "windows", "place")
 
     def run(batch: pa.RecordBatch):
         made, ids, keys = [], [], []
         for doc, key, data in zip(*(common.column_of(batch, c).to_pylist() for c in ("doc_id", "key", "data")), strict=True):
+            if by_word and data is not None:
+                data = word_codes(data)
             if data is not None and len(data) >= length:
                 made.append(contexts(data, length, gram))
                 ids += [doc] * len(made[-1][0])
@@ -166,7 +222,9 @@ def repeated_windows(bufs: list[bytes], windows: list[int], places: list[int], l
         ok = np.flatnonzero((p >= 0) & (p < windows[ctx]))
         if len(ok) < 2:
             continue
-        edge = np.ascontiguousarray(sides[ok, SYMBOL - j:SYMBOL - j + ends]).view(np.uint64).reshape(len(ok), -1)
+        edge = np.zeros((len(ok), -(-ends // 8) * 8), np.uint8)
+        edge[:, :ends] = sides[ok, SYMBOL - j:SYMBOL - j + ends]
+        edge = edge.view(np.uint64)
         order = np.lexsort((*edge.T, interval[ok]))
         e, i = edge[order], interval[ok][order]
         eq = (e[1:] == e[:-1]).all(axis=1) & (i[1:] == i[:-1])
@@ -232,13 +290,36 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.xxhash64("doc_id", "text").alias("key"), F.col("text").cast("binary").alias("data"))
 
 
-def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, group: int = GROUP) -> DataFrame:
-    """doc_id, key, ranges array<struct<s, e>> (bytes, may overlap) for the rows that lose bytes."""
-    if length % SYMBOL or length < 3 * SYMBOL or length <= gram:
-        raise ValueError("length must be a multiple of 16, at least 48 and above gram")
+def cut_codes(cut: DataFrame, length: int) -> DataFrame:
+    """The wanted contexts of the codes of each text."""
+    names = ("fp", "kinds", "c1", "many", "start", "windows", "place")
+
+    def run(batch: pa.RecordBatch):
+        out = {n: [] for n in ("doc_id", "key", *names, "data")}
+        for doc, key, data, wanted in zip(*(common.column_of(batch, c).to_pylist() for c in ("doc_id", "key", "data", "w")), strict=True):
+            codes = word_codes(data)
+            for w in wanted:
+                for n in names:
+                    out[n].append(w[n])
+                out["doc_id"].append(doc)
+                out["key"].append(key)
+                out["data"].append(codes[w["start"]:w["start"] + w["windows"] - 1 + length])
+        return out
+
+    return common.arrow_map(cut.select("doc_id", "key", "data", "w"), run, "doc_id long, key long, fp long, kinds long, c1 long, many boolean, start long, windows int, place int, data binary")
+
+
+def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, group: int = GROUP, words: int | None = None) -> DataFrame:
+    """doc_id, key, ranges array<struct<s, e>> (bytes, with words: of the codes; may overlap) for the rows that lose bytes."""
+    if words is not None:
+        length = words * WORD
+    elif length % SYMBOL:
+        raise ValueError("length must be a multiple of 16")
+    if length < 3 * SYMBOL or length <= gram:
+        raise ValueError("length must be at least 48 and above gram")
     same_row = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["key"] == b["key"])
     docs = keyed(docs)
-    rows = all_contexts(docs, length, gram)  # made twice: cheaper on disk than kept
+    rows = all_contexts(docs, length, gram, words is not None)  # made twice: cheaper on disk than kept
     distinct = rows.groupBy("fp", "c1").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "key", "start", "windows", "place")).alias("one"))
     of_anchor = distinct.groupBy("fp").agg(F.sum("c").alias("all"), F.count(F.lit(1)).alias("kinds")).filter("all > 1").drop("all")
     hit = common.stored(distinct.join(of_anchor, "fp"), "repeated")
@@ -248,7 +329,7 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
     some = hit.filter("kinds > 1").select("fp", "kinds", "c1", (F.col("c") > 1).alias("many"), "one.*")
     wanted = some.groupBy("doc_id", "key").agg(F.collect_list(F.struct("fp", "kinds", "c1", "many", "start", "windows", "place")).alias("w"))  # bounded by the document
     cut = docs.join(wanted.withColumnRenamed("doc_id", "d2").withColumnRenamed("key", "k2"), docs["doc_id"].eqNullSafe(F.col("d2")) & (docs["key"] == F.col("k2"))).drop("d2", "k2").dropDuplicates(["doc_id", "key"])
-    sent = cut.select("doc_id", "key", "data", F.explode("w").alias("w")).select("doc_id", "key", "w.*", F.substring(F.col("data"), F.col("w.start").cast("int") + 1, F.col("w.windows") - 1 + length).alias("data"))
+    sent = cut_codes(cut, length) if words is not None else cut.select("doc_id", "key", "data", F.explode("w").alias("w")).select("doc_id", "key", "w.*", F.substring(F.col("data"), F.col("w.start").cast("int") + 1, F.col("w.windows") - 1 + length).alias("data"))
     blocks = F.ceil(F.col("kinds") / group).cast("int")
     sent = sent.withColumn("nb", blocks).withColumn("blk", F.pmod(F.col("c1"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     sent = sent.select("fp", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "doc_id", "key", "start", "windows", "place", "data", "many")
@@ -275,6 +356,18 @@ def without(data: bytes, cut: list[tuple[int, int]]) -> bytes:
     return b"".join([*parts, data[at:]])
 
 
+def without_words(text: str, ranges: list, words: int) -> str:
+    """text without the runs of whole words in ranges of its codes."""
+    whole = [{"s": -(-r["s"] // WORD), "e": r["e"] // WORD} for r in ranges]
+    start, end, _ = word_spans(text)
+    cut = [(int(start[s]), int(end[e - 1])) for s, e in spans([r for r in whole if r["e"] - r["s"] >= words])]
+    at, parts = 0, []
+    for s, e in cut:
+        parts.append(text[at:s])
+        at = e
+    return "".join([*parts, text[at:]])
+
+
 def with_ranges(docs: DataFrame, ranges: DataFrame) -> DataFrame:
     r = ranges.select(F.col("doc_id").alias("__d"), F.col("key").alias("__k"), F.col("ranges").alias("__ranges"))
     return docs.join(r, docs["doc_id"].eqNullSafe(r["__d"]) & (F.xxhash64(docs["doc_id"], docs["text"]) == r["__k"]), "left").drop("__d", "__k")
@@ -295,13 +388,13 @@ def removal_report(docs: DataFrame, **options) -> DataFrame:
     return common.arrow_map(joined.select("doc_id", F.col("text").cast("binary").alias("data"), "__ranges"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
-def drop_repeats(docs: DataFrame, **options) -> DataFrame:
-    """docs without the repeated bytes, all columns; n_chars is counted anew, rows left without a word go.
+def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> DataFrame:
+    """docs without the repeated bytes, with words: without the repeated runs of that many words; all columns.
 
-    A character of which some bytes go is dropped whole. Rows that lose nothing are kept as they are, empty ones too.
+    n_chars is counted anew, rows left without a word go. A character of which some bytes go is dropped whole. Rows that lose nothing are kept as they are, empty ones too.
     """
     names, schema = docs.columns, docs.schema
-    joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), **options))
+    joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), words=words, **options))
 
     def run(batches):
         for batch in batches:
@@ -310,7 +403,10 @@ def drop_repeats(docs: DataFrame, **options) -> DataFrame:
             texts = common.texts_of(batch)
             keep = [True] * len(texts)
             for i, r in enumerate(ranges):
-                if r:
+                if r and words is not None:
+                    old_text, texts[i] = texts[i], without_words(texts[i], r, words)
+                    keep[i] = bool(texts[i].strip()) or texts[i] == old_text
+                elif r:
                     texts[i] = without(texts[i].encode(), spans(r)).decode(errors="ignore")
                     keep[i] = bool(texts[i].strip())
             at = batch.schema.get_field_index("text")

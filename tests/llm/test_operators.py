@@ -362,6 +362,54 @@ def test_op8_periodic_and_empty(spark, empty):
     assert kept.columns == df.columns and {r["doc_id"] for r in kept.collect()} == {2, 3}
 
 
+def brute_words(texts, n):
+    """Words left of each text, by position."""
+    lists = [[w.strip(".,!") or w for w in t.split()] for t in texts]
+    seen = Counter(tuple(w[i:i + n]) for w in lists for i in range(len(w) - n + 1))
+    out = []
+    for t, w in zip(texts, lists, strict=True):
+        cut = {i + j for i in range(len(w) - n + 1) if seen[tuple(w[i:i + n])] > 1 for j in range(n)}
+        out.append([x for i, x in enumerate(t.split()) if i not in cut])
+    return out
+
+
+@pytest.mark.parametrize("group", [8192, 2])
+def test_op8_by_words_equals_brute_force(spark, group):
+    rng = random.Random(8)
+    vocab = ["".join(rng.choice("abcdeéß") for _ in range(rng.randint(1, 9))) for _ in range(500)]
+    prose = lambda n: [rng.choice(vocab) for _ in range(n)]
+    shared = [prose(n) for n in (50, 51, 52, 80, 120)]
+    texts = [" ".join(w) for w in [["one"] * 70, ["#*$"] * 60, ["la", "lo"] * 40, prose(5000)]]
+    for _ in range(40):
+        parts = [prose(rng.randint(0, 60))]
+        for _ in range(rng.randint(0, 3)):
+            s = rng.choice(shared)
+            a = rng.randint(0, 5)
+            parts += [s[a:], prose(rng.randint(0, 30))]
+        words = [w + rng.choice(["", "", "", ",", "."]) for p in parts for w in p]
+        texts.append("".join(w + rng.choice([" ", "  ", "\n"]) for w in words))
+    df = spark.createDataFrame([(i, t, "en", "s", 0) for i, t in enumerate(texts)] + [(99, None, "en", "s", 0)], SCHEMA)
+    got = {r["doc_id"]: (r["text"], r["n_chars"]) for r in suffix_dedup.drop_repeats(df, words=51, group=group).collect()}
+    assert got.pop(99) == (None, 0)
+    want = {i: left for i, (t, left) in enumerate(zip(texts, brute_words(texts, 51), strict=True)) if left or not t.strip()}
+    assert {i: t.split() for i, (t, _) in got.items()} == want
+    assert all(n == len(t) for i, (t, n) in got.items() if t != texts[i])
+
+
+def test_pipeline_drops_short_passages_of_over_fifty_words(spark, sf):
+    import corpus_pipeline
+
+    rng = random.Random(51)
+    prose = lambda n, letters: " ".join("".join(rng.choice(letters) for _ in range(5)) for _ in range(n))
+    passage, tiny, fifty, han = prose(51, "abcdef"), " ".join(rng.choice("abcdefgh") for _ in range(51)), prose(50, "abcdef"), "".join(chr(0x4E00 + rng.randrange(3000)) for _ in range(51))
+    assert len(passage) == 305 and len(tiny) == 101
+    own = [prose(30, "ghijklm") for _ in range(16)]
+    texts = [f"{own[2 * i]} {p}. {own[2 * i + 1]}" for i, p in enumerate((passage, tiny, fifty, han) * 2)]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in enumerate(texts)], SCHEMA)
+    left = {r["doc_id"]: r["text"] for r in corpus_pipeline.repeated_passages(spark, docs, sf).collect()}
+    assert left == {i: t if i % 4 == 2 else f"{own[2 * i]}  {own[2 * i + 1]}" for i, t in enumerate(texts)}
+
+
 # 9 ---------------------------------------------------------------------------------------------------------------------
 
 
