@@ -3,7 +3,7 @@
 Shards hold whole documents in ascending doc_id order. Within a shard the most frequent adjacent pairs are
 replaced by new symbols, round after round: a round counts all pairs, takes those that are frequent enough, and replaces
 their occurrences at once where they do not overlap (an occurrence gives way to a more frequent neighbour and is met
-again in the next round). No rule reaches across the end of a document, so a document is a run of symbols.
+again in the next round; of a run of one symbol every second pair goes). Rounds go on until no pair occurs LEAST times. No rule reaches across the end of a document, so a document is a run of symbols.
 
 File format of a shard (little-endian), one binary value in a Parquet column ``shard``, beside columns for the
 place of the shard in the order:
@@ -38,8 +38,6 @@ NULL_ID = -(2**63)
 SHARD_IDS = 1 << 20
 #: A pair must occur this often in its shard to become a rule.
 LEAST = 8
-#: A round takes pairs down to an eighth of the count of the one before.
-ROUNDS = 6
 CELL_BITS = 20
 RARE = np.iinfo(np.int32).max
 
@@ -47,7 +45,8 @@ RARE = np.iinfo(np.int32).max
 def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
     """Codes of pairs that occur at least ``least`` times, most frequent first, and the rank at each place (RARE: none).
 
-    Counting goes by a hashed table: a cell stands for one of its pairs, the others wait for a later round.
+    Counting goes by a hashed table: a cell stands for one of its pairs, the others wait for a later round. Where
+    that finds none, the pairs of all cells that may hold one are counted exactly: no code means that no pair is left.
     """
     code = (seq[:-1].astype(np.int64) << 32) | seq[1:]
     cell = ((code.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - CELL_BITS)).astype(np.int32)
@@ -56,13 +55,22 @@ def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
     often = np.bincount(cell, minlength=1 << CELL_BITS) >= least  # an upper bound of each count
     hit = often[cell]
     some, cell = free[hit], cell[hit]
-    own = code[some]
+    own, every = code[some], some
     of_cell = np.zeros(1 << CELL_BITS, np.int64)
     of_cell[cell] = own
     same = of_cell[cell] == own
     some, cell = some[same], cell[same]
     counts = np.bincount(cell, minlength=1 << CELL_BITS)
     good = np.flatnonzero(counts >= least)
+    if not len(good):
+        codes, of, counts = np.unique(own, return_inverse=True, return_counts=True)
+        good = np.flatnonzero(counts >= least)
+        good = good[np.argsort(-counts[good], kind="stable")]
+        rank = np.full(len(codes), RARE, np.int32)
+        rank[good] = np.arange(len(good), dtype=np.int32)
+        at = np.full(len(code), RARE, np.int32)
+        at[every] = rank[of]
+        return codes[good], at
     good = good[np.argsort(-counts[good], kind="stable")]
     rank = np.full(1 << CELL_BITS, RARE, np.int32)
     rank[good] = np.arange(len(good), dtype=np.int32)
@@ -71,7 +79,7 @@ def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
     return of_cell[good], at
 
 
-def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST, rounds: int = ROUNDS):
+def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST):
     """(sequence, first symbol of each document, rules[n, 2], base) for documents of the given lengths, end ids included."""
     seq = ids.astype(np.uint32)
     base = int(seq.max()) + 1 if len(seq) else 0
@@ -79,18 +87,22 @@ def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST, rounds
     ends = np.cumsum(lengths) - 1
     open_[ends] = False  # the end id of a document stays a symbol of its own
     rules = np.zeros((0, 2), np.uint32)
-    for r in range(rounds):
-        if len(seq) < 2:
-            break
-        codes, at = frequent_pairs(seq, open_, max(least, len(seq) >> (6 + 3 * r)))
+    r = -1
+    while len(seq) >= 2:  # a round with codes shortens the sequence
+        r += 1
+        bar = max(least, len(seq) >> (6 + 3 * r))  # an eighth of the one before
+        codes, at = frequent_pairs(seq, open_, bar)
         if not len(codes):
-            if max(least, len(seq) >> (6 + 3 * r)) == least:
+            if bar == least:
                 break
             continue
         best = at < RARE
-        best[1:] &= at[1:] < at[:-1]
+        best[1:] &= at[1:] <= at[:-1]
         best[:-1] &= at[:-1] <= at[1:]
-        take = np.flatnonzero(best)
+        take = np.flatnonzero(best)  # neighbours among them are pairs of one symbol
+        fresh = np.concatenate(([True], take[1:] > take[:-1] + 1))
+        nth = np.arange(len(take))
+        take = take[(nth - nth[fresh][np.cumsum(fresh) - 1]) % 2 == 0]
         used, new = np.unique(at[take], return_inverse=True)
         seq[take] = (base + len(rules) + new).astype(np.uint32)
         keep = np.ones(len(seq), bool)

@@ -299,6 +299,21 @@ def test_op7_grammar_random_access():
 TEXTS = ["", " ", "a  b", "a \n b", "\n\nx", "x \n", "é'll I'LL don't x.y z..", "İstanbul ǅ Σας ΣΑΣ.", "日本 語", "a b  c", "x\x1cy \x1c z", "é ́", "<|endoftext|> a<|endoftext|>b", "tab\tx", " lead", "1 2,345.67!", "A.B.C.", "ſt.", "K", "word's. it's,", "...", ". , !", "a's b'S", "'s 't", " .", "x .", "İ.", "á.", "ΌΣΟΣ όσος", "ﬁn ½a ²b", "éa", "가각", "𝒜𝒷"]
 
 
+def test_op7_stops_only_when_no_frequent_pair_is_left():
+    rng = np.random.default_rng(7)
+    phrases = [rng.integers(3, 30_000, 200) for _ in range(300)]
+    docs = [np.concatenate([*(phrases[i] for i in rng.integers(0, 300, 12)), [2]]) for _ in range(400)] + [np.array([5] * 50_000 + [2])]
+    ids, lengths = np.concatenate(docs).astype(np.uint32), np.array([len(d) for d in docs])
+    seq, first, rules, base = repair.compress(ids, lengths)
+    assert (repair.expand(seq, rules, base) == ids).all()
+    last = np.concatenate((first[1:], [len(seq)])) - 1
+    inner = np.ones(len(seq), bool)
+    inner[last] = False
+    both = inner[:-1] & inner[1:]
+    assert max(Counter(zip(seq[:-1][both].tolist(), seq[1:][both].tolist(), strict=True)).values(), default=0) < repair.LEAST
+    assert len(seq) < 12 * 400 * 2
+
+
 @pytest.mark.parametrize("name,fold", [("word_bpe_49k.json", True), ("byte_bpe_50k.json", False)])
 def test_cached_ids_are_the_library_s(name, fold):
     path = tokens.vocabulary(name)
