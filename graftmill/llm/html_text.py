@@ -5,7 +5,7 @@ builds a tree; a renderer walks it without recursion and emits all visible text:
 line breaks (paragraphs and headings by a blank line), list items get bullets or numbers and
 indentation, table cells are padded into aligned columns, pre keeps its white space. What a browser does
 not show is left out: head, script, style, template, noscript, comments, hidden attributes,
-display:none and visibility:hidden styles, closed details, hidden inputs.
+display:none and visibility:hidden styles, closed details and dialogs, hidden inputs, definitions and descriptions of svg, annotations of math.
 
 Defined results: null or empty html gives an empty text; broken mark-up is rendered as far as the
 rules go and never raises; repeated rows are rendered alike; an empty table gives an empty table.
@@ -23,9 +23,10 @@ from . import common
 # Fixed values of HTML.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title xmp iframe noembed noframes".split())
-HIDDEN = frozenset("head script style template noscript iframe object audio video canvas svg math datalist dialog noembed noframes title meta link".split())
+HIDDEN = frozenset("head script style template noscript iframe object audio video canvas datalist noembed noframes title meta link annotation annotation-xml".split())
+HIDDEN_IN_SVG = frozenset("desc metadata defs symbol clippath mask marker pattern".split())
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure hr menu".split())
-BLOCK = SPACED | frozenset("html body div section article nav aside header footer main address li dt dd form fieldset legend details summary figcaption caption thead tbody tfoot tr center dir hgroup search option optgroup".split())
+BLOCK = SPACED | frozenset("html body div section article nav aside header footer main address li dt dd form fieldset legend details summary figcaption caption thead tbody tfoot tr center dir hgroup search option optgroup dialog".split())
 CLOSES_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre search section table ul li dt dd".split())
 IMPLIED = {
     "li": ({"li"}, {"ul", "ol", "menu", "dir"}), "dt": ({"dt", "dd"}, {"dl"}), "dd": ({"dt", "dd"}, {"dl"}),
@@ -35,7 +36,7 @@ IMPLIED = {
     "tfoot": ({"thead", "tbody", "tfoot", "tr", "td", "th", "caption", "colgroup"}, {"table"}), "rt": ({"rt", "rp"}, {"ruby"}), "rp": ({"rt", "rp"}, {"ruby"}),
 }
 SCOPE = frozenset("html table td th caption template object".split())
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|</([A-Za-z][^\s/>]*)[^>]*(?:>|\Z)|<([A-Za-z][^\s/>]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(?:>|\Z)", re.S)
+TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|</([A-Za-z][^\s/>]*)[^>]*(?:>|\Z)|<([A-Za-z][^\s/>]*)((?:[^>=]++|=\s*+(?:\"[^\"]*+(?:\"|\Z)|'[^']*+(?:'|\Z)|[^\s>\"'][^\s>]*+)?+)*+)(?:>|\Z)", re.S)  # a quote opens a value only after =
 ATTRIBUTE = re.compile(r"([^\s=/>\"']+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]*)))?")
 UNSEEN = re.compile(r"(?:^|;)\s*(?:display\s*:\s*none|visibility\s*:\s*(?:hidden|collapse))", re.I)
 SPACE = re.compile(r"[ \t\n\r\f]+")
@@ -71,7 +72,11 @@ def parse(source: str) -> Node:
         if m.start() > pos:
             at.kids.append(entities.unescape(source[pos:m.start()]))
         pos = m.end()
-        if m[1]:
+        if source.startswith("<![CDATA[", m.start()) and any(x.tag in ("svg", "math") for x in ancestors(at)):
+            end = source.find("]]>", m.start())  # elsewhere it is a comment up to the first >
+            pos = end + 3 if end >= 0 else len(source)
+            at.kids.append(source[m.start() + 9:end if end >= 0 else len(source)])
+        elif m[1]:
             tag = m[1].lower()
             if tag == "br":
                 at.kids.append(Node("br", parent=at))
@@ -116,9 +121,19 @@ def ancestors(node):
         node = node.parent
 
 
+def in_svg(node: Node) -> bool:
+    return any(x.tag == "svg" for x in ancestors(node.parent))
+
+
+def is_block(node: Node) -> bool:
+    return node.tag in BLOCK or node.tag == "text" and in_svg(node)
+
+
 def visible(node: Node) -> bool:
     if node.tag in HIDDEN or "hidden" in node.attrs or UNSEEN.search(node.attrs.get("style", "")):
         return False
+    if node.tag == "dialog" and "open" not in node.attrs or node.tag in HIDDEN_IN_SVG and in_svg(node):
+        return False
     if node.tag == "input":
         return node.attrs.get("type", "").lower() in ("submit", "button", "reset")
     up = node.parent
@@ -218,7 +233,7 @@ def render(root: Node) -> str:
             elif tag == "tr" and tables:
                 out.block(False)
                 tables[-1][1].append([])
-            elif tag in BLOCK:
+            elif is_block(node):
                 out.block(tag in SPACED and not (tag in ("ul", "ol", "menu") and counters))
             if tag in ("ul", "ol", "menu", "dir"):
                 start = node.attrs.get("start", "1")
@@ -267,7 +282,7 @@ def render(root: Node) -> str:
             elif tag == "li":
                 out.end_line()
                 out.mark = ""
-            if tag in BLOCK:
+            if is_block(node):
                 out.block(tag in SPACED and not (tag in ("ul", "ol", "menu") and counters))
     out.end_line()
     return "\n".join(out.done).strip("\n")

@@ -478,6 +478,16 @@ def test_op10_rendering(source, text):
     assert html_text.visible_text(source) == text
 
 
+@pytest.mark.parametrize("source,text", [
+    ('<p class="a"">Hello visible text</p><p>more</p>', "Hello visible text\n\nmore"), ("<a title=it's href=x>visible</a> text don't stop <b>bold</b>", "visible text don't stop bold"),
+    ("<p 'x>a</p>b", "a\n\nb"), ('<a title="x > y" alt = \'>\'>z</a>', "z"), ('<a b=c="d>e</a>', "e"), ("<a b=>c</a>", "c"), ("a<![CDATA[ b > c <b>d</b>", "a c d"), ("<svg><text><![CDATA[a <b>]]></text></svg>c", "a <b>\nc"),
+    ("x <math><mi>y</mi><mo>=</mo><mn>2</mn><annotation>y=2</annotation></math>", "x y=2"), ("<svg><title>t</title><defs><text>no</text></defs><path d='M0'/><text>one</text><text>two</text></svg>", "one\ntwo"),
+    ("<dialog>no</dialog><dialog open>yes</dialog>", "yes"),
+])
+def test_op10_stray_quotes_cdata_and_foreign_text(source, text):
+    assert html_text.visible_text(source) == text
+
+
 def test_op10_deep_and_broken(spark):
     assert html_text.visible_text("<div>" * 20_000 + "x") == "x"
     rng = random.Random(4)
