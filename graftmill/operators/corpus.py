@@ -98,18 +98,19 @@ TEMPLATES = (
 )
 
 
-def build_qa(segments: DataFrame, *, key: str = "doc_id", text: str = "sent", demos: DataFrame | None = None, templates=TEMPLATES) -> DataFrame:
+def build_qa(segments: DataFrame, *, key: str | tuple = "doc_id", text: str = "sent", demos: DataFrame | None = None, templates=TEMPLATES) -> DataFrame:
     """instruction, input, output of one item for each segment; the template is drawn by hash.
 
     The default generator puts the first word into the first field and the others into the second; demonstrations, if
     given (instruction, input, output; a small table), are put before the instruction.
     """
-    pick = (hash32(key, seed="template") % len(templates)).cast("int")
+    key = (key,) if isinstance(key, str) else key
+    pick = (hash32(*key, seed="template") % len(templates)).cast("int")
     items = segments.withColumn("template", F.element_at(F.array(*[F.lit(t[0]) for t in templates]), pick + 1))
     items = items.withColumn("instruction", F.element_at(F.array(*[F.lit(t[1]) for t in templates]), pick + 1))
-    head, tail = F.element_at(F.split(text, " "), 1), F.array_join(F.slice(F.split(text, " "), 2, 10_000), " ")
+    head, tail = F.element_at(F.split(text, " "), 1), F.array_join(F.slice(F.split(text, " "), F.lit(2), F.size(F.split(text, " "))), " ")
     out = F.coalesce(*[F.when(F.col("template") == t[0], F.to_json(F.struct(head.alias(t[2][0]), tail.alias(t[2][1])))) for t in templates])
-    items = items.select(key, "template", "instruction", F.col(text).alias("input"), out.alias("output"))
+    items = items.select(*key, "template", "instruction", F.col(text).alias("input"), out.alias("output"))
     if demos is not None:
         shown = demos.agg(F.array_join(F.sort_array(F.collect_list(F.concat_ws(" => ", "input", "output"))), "\n").alias("shown"))
         items = items.crossJoin(F.broadcast(shown)).withColumn("instruction", F.concat_ws("\n", "shown", "instruction")).drop("shown")

@@ -222,26 +222,48 @@ def qa_turn_pairs(spark, sf):
 FIRST_SQL = f"""WITH {SENTENCES_SQL}, one AS (SELECT doc_id, sent, string_split(sent, ' ') AS p, ('0x' || substr(md5('template:' || doc_id), 1, 8))::UBIGINT::BIGINT % 3 AS k FROM sent WHERE sent_no = 0)"""
 
 
-@query("qa_templates", FIRST_SQL + """ SELECT doc_id, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
-def qa_templates(spark, sf):
-    first = T.sentences(docs(spark, sf)).filter("sent_no = 0")
-    out = C.build_qa(first)
+EVERY_SQL = f"""WITH {SENTENCES_SQL}, one AS (SELECT doc_id, sent_no, sent, string_split(sent, ' ') AS p, ('0x' || substr(md5('template:' || doc_id || ':' || sent_no), 1, 8))::UBIGINT::BIGINT % 3 AS k FROM sent)"""
+
+
+def _heads():
     got = F.from_json("output", "map<string,string>")
     fields = {t[0]: t[2] for t in C.TEMPLATES}
     pick = lambda i: F.coalesce(*[F.when(F.col("template") == t, got[f[i]]) for t, f in fields.items()])
-    return out.select("doc_id", "template", pick(0).alias("head"), pick(1).alias("rest"))
+    return pick(0).alias("head"), pick(1).alias("rest")
 
 
-@query("qa_validation", FIRST_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
-def qa_validation(spark, sf):
-    """Every seventh item is cut in half and every fifth has a blank answer; the gate must find exactly these."""
-    q = C.build_qa(T.sentences(docs(spark, sf)).filter("sent_no = 0"))
+def _verdicts(q):
     q = q.withColumn("output", F.when(F.col("doc_id") % 5 == 0, F.lit(" ")).otherwise(F.col("output")))
     j = q.withColumn("json", F.to_json(F.struct("instruction", "input", "output")))
     j = j.withColumn("json", F.when(F.col("doc_id") % 7 == 0, F.expr("substr(json, 1, length(json) div 2)")).otherwise(F.col("json")))
     return C.validate_qa(j).groupBy(F.coalesce("reason", F.lit("valid")).alias("verdict")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("qa_templates_all", EVERY_SQL + """ SELECT doc_id, sent_no, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
+def qa_templates_all(spark, sf):
+    """An item of every sentence of every document; qa_templates has the first sentences only."""
+    out = C.build_qa(T.sentences(docs(spark, sf)), key=("doc_id", "sent_no"))
+    return out.select("doc_id", F.col("sent_no").cast("long").alias("sent_no"), "template", *_heads())
+
+
+@query("qa_validation_all", EVERY_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
+def qa_validation_all(spark, sf):
+    return _verdicts(C.build_qa(T.sentences(docs(spark, sf)), key=("doc_id", "sent_no")))
+
+
+@query("qa_templates", FIRST_SQL + """ SELECT doc_id, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
+def qa_templates(spark, sf):
+    first = T.sentences(docs(spark, sf)).filter("sent_no = 0")
+    out = C.build_qa(first)
+    return out.select("doc_id", "template", *_heads())
+
+
+@query("qa_validation", FIRST_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
+def qa_validation(spark, sf):
+    """Every seventh item is cut in half and every fifth has a blank answer; the gate must find exactly these."""
+    return _verdicts(C.build_qa(T.sentences(docs(spark, sf)).filter("sent_no = 0")))
+
+
 @query("vertical_tags", f"SELECT {THEME_SQL} AS theme, CASE WHEN regexp_matches(text, '[0-9]{{2,}}') THEN 'measurement' WHEN regexp_matches(text, '[|]') THEN 'table' WHEN regexp_matches(text, '[@#]') THEN 'contact' WHEN regexp_matches(text, '(?i)(license|rights)') THEN 'legal' ELSE 'description' END AS task, count(*) AS n FROM documents GROUP BY ALL")
 def vertical_tags(spark, sf):
     return C.annotate_vertical(docs(spark, sf), "text").groupBy("theme", "task").agg(F.count(F.lit(1)).alias("n"))

@@ -288,3 +288,14 @@ def test_sql_surface(spark, sf):
     assert spark.sql("SELECT count(*) FROM expand_paths(array('a', 'b', 'c'), 2)").first()[0] == 2
     assert abs(sqlfuncs.approx_stats(load(spark, sf, "customer"), "c_custkey", "c_acctbal").first()["n_distinct"] - 150) < 15
     assert sqlfuncs.lateral_topk(spark, "(SELECT n_nationkey AS k FROM nation)", "(SELECT c_nationkey AS k, c_custkey FROM customer)", "k", "c_custkey", 2).count() <= 50
+
+
+def test_m4_items_of_every_sentence_keep_all_words(spark, sf):
+    from graftmill.workloads import ALL_QUERIES
+
+    row = [(1, 0, "w " * 12_000 + "end")]
+    item = C.build_qa(spark.createDataFrame(row, "doc_id long, sent_no int, sent string"), key=("doc_id", "sent_no")).first()
+    assert item["output"].count("w ") >= 11_999 and item["output"].rstrip('"}').endswith("end")
+    n = T.sentences(spark.read.parquet(f"{sf}/documents.parquet")).count()
+    assert ALL_QUERIES["qa_templates_all"](spark, sf).select("doc_id", "sent_no").distinct().count() == n
+    assert sum(r["n"] for r in ALL_QUERIES["qa_validation_all"](spark, sf).collect()) == n
