@@ -30,23 +30,41 @@ def minhash_bands(df: DataFrame, col: str, *, key: str = "doc_id", k: int = 5, b
 def dedup_near(df: DataFrame, col: str, *, key: str = "doc_id", k: int = 5, bands: int = 16, rows: int = 4, jaccard: float = 0.8) -> DataFrame:
     """key, cluster: texts joined by verified near-duplicate pairs; the cluster is its smallest key.
 
-    Members of a band are compared with the band's smallest member only, which keeps the candidates linear in the input.
+    Members of a bucket are compared with its smallest member first. Then all pairs of a bucket that these links leave in
+    different clusters are compared, in blocks, so no pair that could join two clusters is left out.
     """
     exact = dedup_exact(df, col, key=key)
     unique = df.join(exact.select(key), key, "left_semi")
-    band = minhash_bands(unique, col, key=key, k=k, bands=bands, rows=rows)
+    band = stored(minhash_bands(unique, col, key=key, k=k, bands=bands, rows=rows), "bands")
     low = band.groupBy("band", "sig").agg(F.min(key).alias("other"), F.count(F.lit(1)).alias("n")).filter("n > 1").drop("n")
     pairs = band.join(low, ["band", "sig"]).filter(F.col(key) > F.col("other")).select(key, "other").distinct()
     grams = lambda name: unique.select(F.col(key).alias(name), F.array_distinct(ngrams(words(F.col(col)), k)).alias(f"g_{name}"))
-    both = pairs.join(grams("a"), pairs[key] == F.col("a")).join(grams("b"), pairs["other"] == F.col("b"))
     shared = F.size(F.array_intersect("g_a", "g_b"))
-    good = both.filter(shared >= jaccard * (F.size("g_a") + F.size("g_b") - shared)).select(F.col("other").alias("src"), F.col(key).alias("dst"))
-    comps = components(good)
+
+    def verified(pairs):
+        both = pairs.join(grams("a"), pairs[key] == F.col("a")).join(grams("b"), pairs["other"] == F.col("b"))
+        return both.filter(shared >= jaccard * (F.size("g_a") + F.size("g_b") - shared)).select(F.col("other").alias("src"), F.col(key).alias("dst"))
+
+    good = stored(verified(pairs), "links")
+    known = components(good)
+    ties = band.join(known, band[key] == known["node"], "left").select(key, "band", "sig", F.coalesce("component", key).alias("c"))
+    open_ = ties.groupBy("band", "sig").agg(F.count(F.lit(1)).alias("n"), F.min("c").alias("c0"), F.max("c").alias("c1")).filter("c0 < c1")
+    dealt = in_blocks(ties.join(open_.select("band", "sig", "n"), ["band", "sig"]), key, "n")
+    x, y = (dealt.select("band", "sig", "lo", "hi", F.col(key).alias(name), F.col("c").alias(f"c_{name}"), F.col("blk").alias(f"blk_{name}")) for name in (key, "other"))
+    apart = x.join(y, ["band", "sig", "lo", "hi"]).filter((F.col(key) > F.col("other")) & (F.col(f"c_{key}") != F.col("c_other")) & ((F.col("lo") == F.col("hi")) | (F.col(f"blk_{key}") != F.col("blk_other"))))
+    comps = components(good.unionByName(verified(apart.select(key, "other").distinct())))
     digest = F.md5(clean_text(F.coalesce(F.col(col), F.lit("")), lower=True))
     first = df.select(key, digest.alias("digest")).join(exact.select("digest", F.col(key).alias("rep")), "digest")
     return first.join(comps, first["rep"] == comps["node"], "left").select(first[key], F.coalesce("component", "rep").alias("cluster"))
 
 
+def in_blocks(df: DataFrame, key: str, n: str, *, block: int = 256) -> DataFrame:
+    """df with blk, lo, hi: members of a group of n rows in blocks, once for each pair of blocks (lo, hi) that theirs is in."""
+    df = df.withColumn("__nb", F.ceil(F.col(n) / block).cast("int")).withColumn("blk", F.pmod(F.xxhash64(key), F.col("__nb")).cast("int"))
+    df = df.withColumn("__o", F.explode(F.sequence(F.lit(0), F.col("__nb") - 1)))
+    return df.withColumn("lo", F.least("blk", "__o")).withColumn("hi", F.greatest("blk", "__o")).drop("__nb", "__o")
+
+
 def components(edges: DataFrame, *, max_rounds: int = 50) -> DataFrame:
     """node, component (smallest node) of an edge table (src, dst): minimum labels travel until none changes."""
     both = stored(edges.select("src", "dst").union(edges.select("dst", "src")).filter("src <> dst").distinct(), "edges")

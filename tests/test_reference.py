@@ -290,6 +290,29 @@ def test_sql_surface(spark, sf):
     assert sqlfuncs.lateral_topk(spark, "(SELECT n_nationkey AS k FROM nation)", "(SELECT c_nationkey AS k, c_custkey FROM customer)", "k", "c_custkey", 2).count() <= 50
 
 
+def test_near_dedup_compares_all_pairs_of_a_bucket(spark):
+    rng = random.Random(3)
+    passage = [f"p{i}" for i in range(60)]
+    texts = []
+    for _ in range(40):
+        base = passage + [f"x{rng.randrange(10**6)}" for _ in range(rng.randint(20, 60))]
+        texts.append(base)
+        texts += [[*base[:-1], f"y{j}"] for j in range(rng.randint(0, 2))]
+    rng.shuffle(texts)
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    buckets = {}
+    for r in C.minhash_bands(df, "text", bands=2, rows=1).collect():
+        buckets.setdefault((r["band"], r["sig"]), []).append(r["doc_id"])
+    sets = [{tuple(t[i:i + 5]) for i in range(len(t) - 4)} for t in texts]
+    want = list(range(len(texts)))
+    edges = [(a, b) for m in buckets.values() for a in m for b in m if a < b and len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    for _ in texts:
+        for a, b in edges:
+            want[a] = want[b] = min(want[a], want[b])
+    got = {r["doc_id"]: r["cluster"] for r in C.dedup_near(df, "text", bands=2, rows=1).collect()}
+    assert edges and got == dict(enumerate(want))
+
+
 def test_m4_items_of_every_sentence_keep_all_words(spark, sf):
     from graftmill.workloads import ALL_QUERIES
 
