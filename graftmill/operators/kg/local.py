@@ -41,6 +41,22 @@ def local_nodes(kg: DataFrame, seeds: DataFrame, *, direction: str = "both", max
     return visited
 
 
+def hop_counts(kg: DataFrame, seeds: DataFrame, *, max_hops: int) -> DataFrame:
+    """hop, n: nodes reached at each hop from all seeds (q_id, entity; one entity each), along edges in both directions without a cap.
+
+    Seeds with the same neighbours reach the same nodes, so each such group is walked once and counts as often as it has seeds.
+    """
+    step = adjacency(kg, direction="both", hub_cap=None).select("node", "nbr").filter("node <> nbr").distinct()
+    near = seeds.select("q_id", F.col("entity").alias("node")).distinct().join(step, "node").groupBy("q_id").agg(F.sort_array(F.collect_set("nbr")).alias("nbrs"))
+    groups = stored(near.groupBy("nbrs").agg(F.min("q_id").alias("q_id"), F.count(F.lit(1)).alias("m")), "groups")
+    zero = seeds.select("q_id").distinct().agg(F.count(F.lit(1)).alias("n")).select(F.lit(0).alias("hop"), "n")
+    starts = groups.select("q_id", F.explode("nbrs").alias("entity"))
+    met = local_nodes(kg, starts, max_hops=max_hops - 1) if max_hops > 1 else starts.select("q_id", F.lit(0).alias("hop"))
+    each = met.groupBy("q_id", F.col("hop") + 1).agg(F.count(F.lit(1)).alias("n")).toDF("q_id", "hop", "n")
+    rest = each.join(groups.select("q_id", "m"), "q_id").select("hop", (F.col("m") * (F.col("n") - (F.col("hop") == 2).cast("int"))).alias("n"))  # a group comes back to the seed itself in its second hop
+    return zero.union(rest.filter("n > 0")).groupBy("hop").agg(F.sum("n").alias("n"))
+
+
 def local_kg(kg: DataFrame, nodes: DataFrame) -> DataFrame:
     """q_id, h, r, t, hop: triples with both ends in the query's nodes; hop is where the triple became known."""
     n = nodes.select("q_id", "node", "hop")

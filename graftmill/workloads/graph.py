@@ -155,6 +155,12 @@ def lhkg_hub_growth(spark, sf):
     return L.local_nodes(K.kg_from_tables(spark, sf, K.PLACES), seeds(spark, sf, 50), max_hops=2).groupBy("hop").agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("lhkg_hub_growth_all")
+def lhkg_hub_growth_all(spark, sf):
+    """The same from every customer; groups of customers with the same neighbours are walked once."""
+    return L.hop_counts(K.kg_from_tables(spark, sf, K.PLACES), seeds(spark, sf), max_hops=2)
+
+
 @query("lhkg_beam", f"""WITH {PLACES}, deg AS (SELECT e, count(*) AS d FROM (SELECT h AS e FROM kg UNION ALL SELECT t FROM kg) GROUP BY e),
 adj AS (SELECT h AS node, t AS nbr FROM kg UNION ALL SELECT t, h FROM kg JOIN deg ON e = t WHERE d <= 100),
 v0 AS (SELECT c_custkey::BIGINT AS q_id, 'customer:' || c_custkey AS node FROM customer),

@@ -313,6 +313,18 @@ def test_near_dedup_compares_all_pairs_of_a_bucket(spark):
     assert edges and got == dict(enumerate(want))
 
 
+def test_w19_hop_counts_equal_the_walk_from_every_seed(spark, sf):
+    from graftmill.workloads import ALL_QUERIES
+    from graftmill.workloads.graph import seeds
+
+    kg = K.kg_from_tables(spark, sf, K.PLACES)
+    walk = lambda kg, s, hops: {(r["hop"], r["n"]) for r in L.local_nodes(kg, s, max_hops=hops).groupBy("hop").agg(F.count(F.lit(1)).alias("n")).collect()}
+    assert {(r["hop"], r["n"]) for r in ALL_QUERIES["lhkg_hub_growth_all"](spark, sf).collect()} == walk(kg, seeds(spark, sf), 2)
+    odd = spark.createDataFrame([("a", "r", "b"), ("a", "s", "b"), ("b", "r", "c"), ("c", "r", "c"), ("d", "r", "b"), ("c", "r", "e"), ("x", "r", "x")], "h string, r string, t string")
+    some = spark.createDataFrame([(1, "a"), (2, "d"), (3, "c"), (4, "x"), (5, "gone"), (6, "b")], "q_id long, entity string")
+    assert {(r["hop"], r["n"]) for r in L.hop_counts(odd, some, max_hops=4).collect()} == walk(odd, some, 4)
+
+
 def test_m4_items_of_every_sentence_keep_all_words(spark, sf):
     from graftmill.workloads import ALL_QUERIES
 
