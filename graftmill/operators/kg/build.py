@@ -103,15 +103,21 @@ def extract_salient(docs: DataFrame, *, k: int = 5) -> DataFrame:
     return scored.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).drop("n_docs")
 
 
-def latent_links(mentions: DataFrame, *, fragment: str, entity: str, min_count: int = 2, top_k: int = 3, cap: int = 200) -> DataFrame:
+def latent_links(mentions: DataFrame, *, fragment: str, entity: str, min_count: int = 2, top_k: int = 3, block: int = 256) -> DataFrame:
     """a, b, n, pmi, rank: pairs that share fragments, by pointwise mutual information.
 
-    A fragment with more than ``cap`` entities is a listing, not a context, and links nothing.
+    Entities of fewer than ``min_count`` fragments cannot be in such a pair and are left out of the pairing. A fragment of more than
+    ``block`` others is paired in blocks, one group for each pair of blocks.
     """
     m = mentions.select(F.col(fragment).alias("f"), F.col(entity).alias("e")).distinct()
-    sizes = m.groupBy("f").agg(F.count(F.lit(1)).alias("k")).filter(F.col("k").between(2, cap))
-    m2 = m.join(sizes, "f").select("f", "e")
-    pairs = m2.select("f", F.col("e").alias("a")).join(m2.select("f", F.col("e").alias("b")), "f").filter("a <> b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= min_count)
+    often = m.groupBy("e").agg(F.count(F.lit(1)).alias("c")).filter(F.col("c") >= min_count).select("e")
+    m2 = m.join(often, "e")
+    sizes = m2.groupBy("f").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("nb"))
+    m2 = m2.join(sizes, "f").withColumn("blk", F.pmod(F.xxhash64("e"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    x, y = (m2.select("f", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), F.col("e").alias(e), F.col("blk").alias(f"blk_{e}")) for e in ("a", "b"))
+    both = x.join(y, ["f", "lo", "hi"]).filter((F.col("a") < F.col("b")) & ((F.col("lo") == F.col("hi")) | (F.col("blk_a") != F.col("blk_b"))))
+    half = both.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= min_count)
+    pairs = half.select("n", F.explode(F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b")))).alias("p")).select("p.a", "p.b", "n")
     each = m.groupBy("e").agg(F.count(F.lit(1)).alias("c"))
     total = m.select("f").distinct().agg(F.count(F.lit(1)).alias("frags"))
     p = pairs.join(each.select(F.col("e").alias("a"), F.col("c").alias("ca")), "a").join(each.select(F.col("e").alias("b"), F.col("c").alias("cb")), "b").crossJoin(F.broadcast(total))

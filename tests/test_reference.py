@@ -325,6 +325,18 @@ def test_w19_hop_counts_equal_the_walk_from_every_seed(spark, sf):
     assert {(r["hop"], r["n"]) for r in L.hop_counts(odd, some, max_hops=4).collect()} == walk(odd, some, 4)
 
 
+def test_latent_links_pair_large_fragments(spark):
+    rows = [(1, e) for e in range(600)] + [(2, e) for e in range(0, 600, 2)] + [(3, e) for e in (0, 1, 2, 700)] + [(4, 700), (5, 2)]
+    got = K.latent_links(spark.createDataFrame(rows, "f long, e long"), fragment="f", entity="e", top_k=1000).collect()
+    groups = {}
+    for f, e in rows:
+        groups.setdefault(f, []).append(e)
+    n = Counter((a, b) for m in groups.values() for a in m for b in m if a != b)
+    c = Counter(e for _, e in rows)
+    assert {(r["a"], r["b"]): r["n"] for r in got} == {p: v for p, v in n.items() if v >= 2}
+    assert all(abs(r["pmi"] - math.log(r["n"] * 5 / (c[r["a"]] * c[r["b"]]))) < 1e-5 for r in got)
+
+
 def test_m4_items_of_every_sentence_keep_all_words(spark, sf):
     from graftmill.workloads import ALL_QUERIES
 
