@@ -36,14 +36,19 @@ def pieces(docs: DataFrame, vocabulary: str, *, capacity: int = CAPACITY, end_id
     end = int(end_id).to_bytes(4, "little")
 
     def run(batch: pa.RecordBatch):
-        encode = tokens.encoder(vocabulary, fold=True)
+        ids, counts = tokens.encoder(vocabulary, fold=True)(common.column_of(batch, "text"))
+        data, sizes = memoryview(ids.tobytes()), (4 * counts).tolist()
         out = {k: [] for k in ("doc_id", "piece", "start", "length", "ids_crc32")}
-        for doc, text in zip(common.column_of(batch, "doc_id").to_pylist(), common.texts_of(batch), strict=True):
-            ids = encode(text or "") + end
-            for k, at in enumerate(range(0, len(ids), 4 * capacity)):
-                part = ids[at:at + 4 * capacity]
-                for name, v in zip(out, (doc, k, at // 4, len(part) // 4, zlib.crc32(part)), strict=True):
+        place = 0
+        for doc, size in zip(common.column_of(batch, "doc_id").to_pylist(), sizes, strict=True):
+            for k, at in enumerate(range(0, size + 4, 4 * capacity)):
+                stop = min(at + 4 * capacity, size + 4)
+                crc = zlib.crc32(data[place + at:place + min(stop, size)])
+                if stop > size:
+                    crc = zlib.crc32(end, crc)
+                for name, v in zip(out, (doc, k, at // 4, (stop - at) // 4, crc), strict=True):
                     out[name].append(v)
+            place += size
         return out
 
     return common.arrow_map(docs.select("doc_id", "text"), run, "doc_id long, piece int, start long, length long, ids_crc32 long")

@@ -1,9 +1,10 @@
 """Token ids in shards compressed by a Re-Pair grammar, decodable from any document on.
 
 Shards hold whole documents in ascending doc_id order. Within a shard the most frequent adjacent pairs are
-replaced by new symbols, round after round: a round counts all pairs, takes those that are frequent enough, and replaces
+replaced by new symbols, round after round: a round counts the pairs exactly, takes those that are frequent enough, and replaces
 their occurrences at once where they do not overlap (an occurrence gives way to a more frequent neighbour and is met
-again in the next round; of a run of one symbol every second pair goes). Rounds go on until no pair occurs LEAST times. No rule reaches across the end of a document, so a document is a run of symbols.
+again in the next round; of a run of one symbol every second pair goes). The bar falls by an eighth with each round, down to LEAST; from
+there rounds go on until no pair occurs LEAST times. No rule reaches across the end of a document, so a document is a run of symbols.
 
 File format of a shard (little-endian), one binary value in a Parquet column ``shard``, beside columns for the
 place of the shard in the order:
@@ -38,80 +39,86 @@ NULL_ID = -(2**63)
 SHARD_IDS = 1 << 20
 #: A pair must occur this often in its shard to become a rule.
 LEAST = 8
-CELL_BITS = 20
 RARE = np.iinfo(np.int32).max
 
 
-def frequent_pairs(seq: np.ndarray, open_: np.ndarray, least: int):
-    """Codes of pairs that occur at least ``least`` times, most frequent first, and the rank at each place (RARE: none).
-
-    Counting goes by a hashed table: a cell stands for one of its pairs, the others wait for a later round. Where
-    that finds none, the pairs of all cells that may hold one are counted exactly: no code means that no pair is left.
-    """
-    code = (seq[:-1].astype(np.int64) << 32) | seq[1:]
-    cell = ((code.view(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - CELL_BITS)).astype(np.int32)
-    free = np.flatnonzero(open_[:-1] & open_[1:])
-    cell = cell[free]
-    often = np.bincount(cell, minlength=1 << CELL_BITS) >= least  # an upper bound of each count
-    hit = often[cell]
-    some, cell = free[hit], cell[hit]
-    own, every = code[some], some
-    of_cell = np.zeros(1 << CELL_BITS, np.int64)
-    of_cell[cell] = own
-    same = of_cell[cell] == own
-    some, cell = some[same], cell[same]
-    counts = np.bincount(cell, minlength=1 << CELL_BITS)
-    good = np.flatnonzero(counts >= least)
-    if not len(good):
-        codes, of, counts = np.unique(own, return_inverse=True, return_counts=True)
-        good = np.flatnonzero(counts >= least)
-        good = good[np.argsort(-counts[good], kind="stable")]
-        rank = np.full(len(codes), RARE, np.int32)
-        rank[good] = np.arange(len(good), dtype=np.int32)
-        at = np.full(len(code), RARE, np.int32)
-        at[every] = rank[of]
-        return codes[good], at
-    good = good[np.argsort(-counts[good], kind="stable")]
-    rank = np.full(1 << CELL_BITS, RARE, np.int32)
-    rank[good] = np.arange(len(good), dtype=np.int32)
-    at = np.full(len(code), RARE, np.int32)
-    at[some] = rank[cell]
-    return of_cell[good], at
+def counted_pairs(seq: np.ndarray, at: np.ndarray, top: int):
+    """(places in the order of their pairs, first place of each distinct pair in that order, occurrences of each) of the pairs at ``at``."""
+    bits, place = top.bit_length(), len(seq).bit_length()
+    if 2 * bits + place <= 64:  # pair and place in one number: sorted at once
+        key = seq[at].astype(np.uint64)
+        key <<= np.uint64(bits)
+        key |= seq[at + 1]
+        key <<= np.uint64(place)
+        key |= at.astype(np.uint64)
+        key.sort()
+        where = (key & np.uint64((1 << place) - 1)).astype(np.int64)
+        key >>= np.uint64(place)
+    else:
+        key = (seq[at].astype(np.uint64) << np.uint64(32)) | seq[at + 1]
+        by = np.argsort(key, kind="stable")
+        where, key = at[by], key[by]
+    first = np.concatenate(([0], np.flatnonzero(key[1:] != key[:-1]) + 1))
+    return where, first, np.diff(np.append(first, len(key)))
 
 
 def compress(ids: np.ndarray, lengths: np.ndarray, *, least: int = LEAST):
-    """(sequence, first symbol of each document, rules[n, 2], base) for documents of the given lengths, end ids included."""
+    """(sequence, first symbol of each document, rules[n, 2], base) for documents of the given lengths, end ids included.
+
+    A pair's count only falls once its symbols exist. So each place keeps the last count of its pair as a bound, and is not looked at again
+    until the bar has fallen to it or one of its two symbols is replaced.
+    """
     seq = ids.astype(np.uint32)
     base = int(seq.max()) + 1 if len(seq) else 0
-    open_ = np.ones(len(seq), bool)
     ends = np.cumsum(lengths) - 1
-    open_[ends] = False  # the end id of a document stays a symbol of its own
-    rules = np.zeros((0, 2), np.uint32)
-    r = -1
-    while len(seq) >= 2:  # a round with codes shortens the sequence
-        r += 1
+    most = np.full(len(seq), RARE, np.int32)  # RARE: not counted yet; 0: no pair starts here; -1: the end id of a document, in no pair
+    most[ends[ends > 0] - 1] = 0
+    most[ends] = -1
+    rules = [np.zeros((0, 2), np.uint32)]
+    made, r = 0, 0
+    while len(seq) >= 2:
         bar = max(least, len(seq) >> (6 + 3 * r))  # an eighth of the one before
-        codes, at = frequent_pairs(seq, open_, bar)
-        if not len(codes):
+        r += 1
+        at = np.flatnonzero(most >= bar)
+        if not len(at):
             if bar == least:
                 break
             continue
-        best = at < RARE
-        best[1:] &= at[1:] <= at[:-1]
-        best[:-1] &= at[:-1] <= at[1:]
-        take = np.flatnonzero(best)  # neighbours among them are pairs of one symbol
-        fresh = np.concatenate(([True], take[1:] > take[:-1] + 1))
-        nth = np.arange(len(take))
-        take = take[(nth - nth[fresh][np.cumsum(fresh) - 1]) % 2 == 0]
-        used, new = np.unique(at[take], return_inverse=True)
-        seq[take] = (base + len(rules) + new).astype(np.uint32)
+        where, first, counts = counted_pairs(seq, at, base + made)
+        most[where] = np.repeat(counts, counts)
+        good = np.flatnonzero(counts >= bar)
+        if not len(good):
+            if bar == least:
+                break
+            continue
+        good = good[np.argsort(-counts[good], kind="stable")]
+        size = counts[good]
+        spots = where[np.repeat(first[good] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))]
+        rank = np.full(len(seq) + 1, RARE, np.int32)  # the last one stands before the first, too
+        rank[spots] = np.repeat(np.arange(len(good), dtype=np.int32), size)
+        own = rank[spots]
+        best = np.zeros(len(seq), bool)
+        best[spots[(own <= rank[spots - 1]) & (own <= rank[spots + 1])]] = True
+        spots = np.flatnonzero(best)  # neighbours among them are pairs of one symbol
+        fresh = np.concatenate(([True], spots[1:] > spots[:-1] + 1))
+        nth = np.arange(len(spots))
+        take = spots[(nth - nth[fresh][np.cumsum(fresh) - 1]) % 2 == 0]
+        used = np.zeros(len(good), bool)
+        used[rank[take]] = True
+        number = np.cumsum(used) - 1
+        heads = where[first[good[used]]]
+        rules.append(np.stack((seq[heads], seq[heads + 1]), axis=1))
+        seq[take] = base + made + number[rank[take]]
+        made += len(heads)
+        # The new symbol pairs with its neighbours, unless a document ends there.
+        most[take] = np.where(most[take + 2] < 0, 0, RARE)
+        before = take[take > 0] - 1
+        most[before[most[before] >= 0]] = RARE
         keep = np.ones(len(seq), bool)
         keep[take + 1] = False
-        seq, open_ = seq[keep], open_[keep]
-        chosen = codes[used]
-        rules = np.concatenate((rules, np.stack((chosen >> 32, chosen & 0xFFFFFFFF), axis=1).astype(np.uint32)))
-    first = np.concatenate(([0], np.flatnonzero(~open_)[:-1] + 1)) if len(lengths) else np.zeros(0, np.int64)
-    return seq, first, rules, base
+        seq, most = seq[keep], most[keep]
+    first = np.concatenate(([0], np.flatnonzero(most < 0)[:-1] + 1)) if len(lengths) else np.zeros(0, np.int64)
+    return seq, first, np.concatenate(rules), base
 
 
 def expansion_lengths(rules: np.ndarray, base: int) -> np.ndarray:
@@ -207,30 +214,35 @@ class Shard:
 
 def write_ids(docs: DataFrame, vocabulary: str, path: str, *, end_id: int = 2, shard_ids: int = SHARD_IDS) -> None:
     """Encode, sort by doc_id and write the shards below ``path``: columns part, shard_no, first_doc, n_docs, n_ids, shard."""
-    end = int(end_id).to_bytes(4, "little")
     ordered = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
     schema = "part long, shard_no long, first_doc long, n_docs long, n_ids long, shard binary"
 
     def run(batches):
         encode = tokens.encoder(vocabulary, fold=False)
         part, number = TaskContext.get().partitionId(), 0
-        keys, data, size = [], [], 0
+        keys, data, lengths, size = [], [], [], 0
 
         def made():
-            lengths = np.array([len(x) // 4 for x in data], np.int64)
-            row = [part, number, keys[0], len(keys), int(lengths.sum()), write_shard(keys, np.frombuffer(b"".join(data), np.uint32), lengths)]
+            row = [part, number, keys[0], len(keys), size, write_shard(keys, np.concatenate(data), np.array(lengths, np.int64))]
             return pa.RecordBatch.from_arrays([pa.array([v], t) for v, t in zip(row, [pa.int64()] * 5 + [pa.binary()], strict=True)], names=[f.split()[0] for f in schema.split(", ")])
 
         for batch in batches:
-            for doc, text in zip(common.column_of(batch, "doc_id").to_pylist(), common.texts_of(batch), strict=True):
-                ids = encode(text or "") + end
-                if keys and size + len(ids) > 4 * shard_ids:
+            ids, counts = encode(common.column_of(batch, "text"))
+            counts += 1
+            ends = np.cumsum(counts)
+            whole = np.full(int(ends[-1]) if len(ends) else 0, end_id, np.uint32)
+            inner = np.ones(len(whole), bool)
+            inner[ends - 1] = False
+            whole[inner] = ids
+            for doc, n, stop in zip(common.column_of(batch, "doc_id").to_pylist(), counts.tolist(), ends.tolist(), strict=True):
+                if keys and size + n > shard_ids:
                     yield made()
                     number += 1
-                    keys, data, size = [], [], 0
+                    keys, data, lengths, size = [], [], [], 0
                 keys.append(doc)
-                data.append(ids)
-                size += len(ids)
+                data.append(whole[stop - n:stop])
+                lengths.append(n)
+                size += n
         if keys:
             yield made()
 

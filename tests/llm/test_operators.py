@@ -8,6 +8,7 @@ import zlib
 from collections import Counter, defaultdict
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -318,8 +319,27 @@ def test_op7_stops_only_when_no_frequent_pair_is_left():
 def test_cached_ids_are_the_library_s(name, fold):
     path = tokens.vocabulary(name)
     enc, tok = tokens.encoder(path, fold), tokens.loaded(path)
-    for t in TEXTS:
-        assert tokens.as_ids(enc(t)).tolist() == tok.encode(t, add_special_tokens=False).ids, t
+    texts = [*TEXTS, None, "a\nb", "a.\nB", "a\n\nb", "x\n", "\u2003y", "1\n2 3\n'", "don't\n've it", " ".join(TEXTS)]
+    for some in ([t] for t in texts), [texts]:
+        for one in some:
+            ids, counts = enc(pa.array(one, pa.string()))
+            cuts = np.cumsum(counts)[:-1]
+            for t, got in zip(one, np.split(ids, cuts), strict=True):
+                assert got.tolist() == tok.encode(t or "", add_special_tokens=False).ids, t
+
+
+def test_chunks_beyond_the_cache_are_forgotten_and_right(monkeypatch):
+    monkeypatch.setattr(tokens, "CACHE_CHUNKS", 5)
+    monkeypatch.setattr(tokens, "SLICE_BYTES", 40)
+    common.process_cache("chunks").clear()
+    for name, fold in (("word_bpe_49k.json", True), ("byte_bpe_50k.json", False)):
+        path = tokens.vocabulary(name)
+        enc, tok = tokens.encoder(path, fold), tokens.loaded(path)
+        for _ in range(2):
+            ids, counts = enc(pa.array(TEXTS))
+            assert [x.tolist() for x in np.split(ids, np.cumsum(counts)[:-1])] == [tok.encode(t, add_special_tokens=False).ids for t in TEXTS]
+    assert len(common.process_cache("chunks")[path]) <= 6
+    common.process_cache("chunks").clear()
 
 
 # 8 ---------------------------------------------------------------------------------------------------------------------
