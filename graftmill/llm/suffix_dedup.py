@@ -6,14 +6,20 @@ is cut down exactly, step by step:
 1. Anchors. Every window of ``length`` bytes has one anchor: the gram of GRAM bytes in it with the least hash
    (the last such gram). Equal windows have equal anchors at the same place. Windows that follow each other and share
    their anchor form a context: the bytes from the first window's start to the last one's end.
-2. Contexts of an anchor that occurs once are unique and go. Equal contexts (the anchor's and the context's hash, 128 bits)
-   are counted, not moved: all of their windows repeat.
-3. Of each distinct context of a repeated anchor, one copy goes to the tasks of its anchor. There, contexts
+2. Anchors are counted, eight bytes each. Contexts of an anchor that occurs once are unique and go.
+3. The contexts of repeated anchors are listed with a 128-bit BLAKE2 digest of their bytes, without the bytes. Contexts with equal
+   digests are equal: all of their windows repeat.
+4. Of each distinct context of an anchor with several, one copy's bytes go to the tasks of its anchor. There, contexts
    are strings over 16-byte symbols, aligned to the anchor. Shards of them get a suffix order and a Burrows-Wheeler transform
    each; the transforms are merged by interleave refinement, whose passes yield the common prefixes. Intervals of rows
    with a common prefix of (length / 16 - 1) symbols are repeated at symbol level.
-4. An exact comparison of the up to 15 bytes at either end settles the windows within such an interval.
-5. The ranges return to their documents by one join.
+5. An exact comparison of the up to 15 bytes at either end settles the windows within such an interval.
+6. The ranges return to their documents by one join, to which only documents with ranges are sent.
+
+Each of the steps 2 to 4 and 6 is a pass over the texts where they lie: no text is exchanged but those of step 6. What a pass looks for is a fixed-size
+sketch (FILTER_BITS bits, one for each hash). A sketch only lets too much through, never too little; what it lets through is
+decided exactly afterwards (counts by anchor, equality of digests, the join), or does no harm: in step 4 another copy of a context
+or a context of a unique anchor adds no window that does not repeat. So a full sketch costs time, not results.
 
 An anchor with more than GROUP distinct contexts is dealt in blocks, one task for each pair of blocks, so no task
 grows with a hot passage and none of it is dropped.
@@ -47,14 +53,18 @@ CHUNK, SHARD = 16_384, 4096
 #: Window starts taken at a time in a very long text.
 SLICE = 1 << 19
 BITS = 20
+#: Bits of a sketch: 16 MB on the driver, in the broadcast and in each worker, whatever the input.
+FILTER_BITS = 27
+#: Anchors with more than GROUP contexts that are broadcast; beyond this number they are joined.
+HOT_ANCHORS = 100_000
 #: Bytes of a word's code.
 WORD = 6
 #: Scripts written without spaces: Thai and Lao, Tibetan, Myanmar, Khmer, kana, Han.
 UNSPACED = ((0xE00, 0xEFF), (0xF00, 0xFFF), (0x1000, 0x109F), (0x1780, 0x17FF), (0x3005, 0x3007), (0x3040, 0x30FF), (0x3400, 0x9FFF), (0xF900, 0xFAFF), (0x20000, 0x3FFFF))
 SPACE, LETTER, MARK, LONE = range(4)
 
-# Odd multipliers of the two rolling hashes, fixed.
-M1, M2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F  # of grams, of contexts
+# Odd multipliers, fixed.
+M1, M2 = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F  # of grams, of places
 
 
 def finish(x: np.ndarray) -> np.ndarray:
@@ -63,28 +73,25 @@ def finish(x: np.ndarray) -> np.ndarray:
 
 
 def powers(n: int):
-    """m**i and m**-i modulo 2**64 for both multipliers, i < n."""
+    """m**i and m**-i modulo 2**64, i < n."""
     cache = common.process_cache("powers")
     if len(cache.get("p", [[]])[0]) < n:
         size = 1 << max(18, (n - 1).bit_length())
         out = []
-        for m in (M1, M2):
-            for base in (m, pow(m, -1, 2**64)):
-                p = np.full(size, np.uint64(base))
-                p[0] = 1
-                out.append(np.multiply.accumulate(p))
+        for base in (M1, pow(M1, -1, 2**64)):
+            p = np.full(size, np.uint64(base))
+            p[0] = 1
+            out.append(np.multiply.accumulate(p))
         cache["p"] = out
     return [p[:n] for p in cache["p"]]
 
 
 def contexts(data: bytes, length: int, gram: int):
-    """Arrays (anchor hash, context hash, start, windows, anchor place) of the contexts of one text."""
+    """Arrays (anchor hash, start, windows, anchor place) of the contexts of one text."""
     n = len(data)
     b = np.frombuffer(data, np.uint8).astype(np.uint64) + np.uint64(1)
-    p1, q1, p2, q2 = powers(n + 1)
-    zero = np.zeros(1, np.uint64)
-    s1 = np.concatenate((zero, np.cumsum(b * p1[:n], dtype=np.uint64)))
-    s2 = np.concatenate((zero, np.cumsum(b * p2[:n], dtype=np.uint64)))
+    p1, q1 = powers(n + 1)
+    s1 = np.concatenate((np.zeros(1, np.uint64), np.cumsum(b * p1[:n], dtype=np.uint64)))
     h = finish((s1[gram:] - s1[:-gram]) * q1[:n - gram + 1])
     w = length - gram + 1
     anchors, starts = [], []
@@ -104,11 +111,7 @@ def contexts(data: bytes, length: int, gram: int):
         starts.append(new + lo)
     anchor, start = np.concatenate(anchors), np.concatenate(starts)
     windows = np.diff(np.concatenate((start, [n - length + 1])))
-    end = start + windows - 1 + length
-    place = anchor - start
-    salt = (windows.astype(np.uint64) << np.uint64(32)) | place.astype(np.uint64)
-    c1 = finish((s2[end] - s2[start]) * q2[start] + salt * np.uint64(M1))
-    return h[anchor], c1, start, windows, place
+    return h[anchor], start, windows, anchor - start
 
 
 def classes() -> np.ndarray:
@@ -148,31 +151,79 @@ def word_codes(data: bytes) -> bytes:
     some = b > a  # others are punctuation only and count as they are
     start, end = start.copy(), end.copy()
     start[some], end[some] = good[a[some]], good[b[some] - 1] + 1
-    p, q, _, _ = powers(len(text) + 1)
+    p, q = powers(len(text) + 1)
     sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum((np.frombuffer(text.encode("utf-32-le"), np.uint32).astype(np.uint64) + np.uint64(1)) * p[:len(text)], dtype=np.uint64)))
     h = finish((sums[end] - sums[start]) * q[start])
     return h.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :WORD].tobytes()
 
 
-def all_contexts(docs: DataFrame, length: int, gram: int, by_word: bool = False) -> DataFrame:
-    names = ("fp", "c1", "start", "windows", "place")
+def each_context(docs: DataFrame, made, schema: str, length: int, gram: int, by_word: bool) -> DataFrame:
+    """Rows that made(doc_id, key, bytes, contexts of them) gives (a dict of columns, or None) for each text that has a window."""
 
     def run(batch: pa.RecordBatch):
-        made, ids, keys = [], [], []
+        out = []
         for doc, key, data in zip(*(common.column_of(batch, c).to_pylist() for c in ("doc_id", "key", "data")), strict=True):
             if by_word and data is not None:
                 data = word_codes(data)
             if data is not None and len(data) >= length:
-                made.append(contexts(data, length, gram))
-                ids += [doc] * len(made[-1][0])
-                keys += [key] * len(made[-1][0])
-        if not made:
+                one = made(doc, key, data, contexts(data, length, gram))
+                if one is not None:
+                    out.append(one)
+        if not out:
+            return None
+        return {n: np.concatenate([x[n] for x in out]) if isinstance(out[0][n], np.ndarray) else [v for x in out for v in x[n]] for n in out[0]}
+
+    return common.arrow_map(docs, run, schema)
+
+
+def sketch(hashes: DataFrame):
+    """A broadcast of the bits of a column of 64-bit hashes: bit (hash mod 2**FILTER_BITS) is set for each."""
+    bit = F.col(hashes.columns[0]).bitwiseAND(F.lit((1 << FILTER_BITS) - 1))
+    words = hashes.select(F.shiftright(bit, 6).cast("int").alias("word"), F.expr(f"shiftleft(1L, cast(`{hashes.columns[0]}` & 63 as int))").alias("bits")).groupBy("word").agg(F.bit_or("bits").alias("bits"))
+    table = words.toArrow()  # at most 2**FILTER_BITS / 64 rows
+    out = np.zeros(1 << (FILTER_BITS - 6), np.uint64)
+    out[table["word"].to_numpy()] = table["bits"].to_numpy().view(np.uint64)
+    return hashes.sparkSession.sparkContext.broadcast(out)
+
+
+def passes(shared, hashes: np.ndarray) -> np.ndarray:
+    """Which hashes the sketch lets through."""
+    at = hashes.view(np.uint64) & np.uint64((1 << FILTER_BITS) - 1)
+    return (shared.value[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) != 0
+
+
+def place_hash(fp: np.ndarray, key, start: np.ndarray) -> np.ndarray:
+    """One number for a context of a row."""
+    return finish(fp ^ finish(np.asarray(key, np.int64).view(np.uint64) + start.astype(np.uint64) * np.uint64(M2)))
+
+
+def listed_contexts(docs: DataFrame, anchors, length: int, gram: int, by_word: bool) -> DataFrame:
+    """The contexts whose anchor the sketch lets through, without their bytes."""
+
+    def made(doc, key, data, found):
+        fp, start, windows, place = (x[passes(anchors, found[0])] for x in found)
+        if not len(fp):
             return None
-        cols = [np.concatenate(c) for c in zip(*made, strict=True)]
-        out = {n: c.view(np.int64) for n, c in zip(names, cols, strict=True)}
-        return out | {"doc_id": ids, "key": keys, "windows": out["windows"].astype(np.int32), "place": out["place"].astype(np.int32)}
+        ends = (start + windows - 1 + length).tolist()
+        digests = [hashlib.blake2b(data[a:b], digest_size=16, salt=p.to_bytes(4, "little")).digest() for a, b, p in zip(start.tolist(), ends, place.tolist(), strict=True)]
+        return {"fp": fp.view(np.int64), "digest": digests, "u": place_hash(fp, key, start).view(np.int64), "doc_id": [doc] * len(fp), "key": [key] * len(fp), "s": start, "e": start + windows - 1 + length}
 
-    return common.arrow_map(docs, run, "fp long, c1 long, doc_id long, key long, start long, windows int, place int")
+    return each_context(docs, made, "fp long, digest binary, u long, doc_id long, key long, s long, e long", length, gram, by_word)
+
+
+def sent_contexts(docs: DataFrame, wanted, length: int, gram: int, by_word: bool) -> DataFrame:
+    """The contexts whose place hash the sketch lets through, with their bytes."""
+
+    def made(doc, key, data, found):
+        u = place_hash(found[0], key, found[1])
+        some = passes(wanted, u)
+        fp, start, windows, place = (x[some] for x in found)
+        if not len(fp):
+            return None
+        ends = (start + windows - 1 + length).tolist()
+        return {"fp": fp.view(np.int64), "u": u[some].view(np.int64), "doc_id": [doc] * len(fp), "key": [key] * len(fp), "start": start, "windows": windows, "place": place, "data": [data[a:b] for a, b in zip(start.tolist(), ends, strict=True)]}
+
+    return each_context(docs, made, "fp long, u long, doc_id long, key long, start long, windows int, place int, data binary", length, gram, by_word)
 
 
 def repeated_windows(bufs: list[bytes], windows: list[int], places: list[int], length: int) -> tuple[np.ndarray, np.ndarray]:
@@ -257,9 +308,8 @@ def merged_ranges(sent: DataFrame, length: int) -> DataFrame:
             lo = np.flatnonzero(new)
             hi = np.concatenate((lo[1:] - 1, [len(p) - 1]))
             for c, x, y in zip(ctx[lo].tolist(), p[lo].tolist(), p[hi].tolist(), strict=True):
-                doc, key, start, _, _, _, many = rows[c]
-                if not many:  # a context that occurs again is removed whole already
-                    out.append((doc, key, start + x, start + y + length))
+                doc, key, start = rows[c][:3]
+                out.append((doc, key, start + x, start + y + length))
 
         def batch_of():
             cols = list(zip(*out, strict=True))
@@ -267,7 +317,7 @@ def merged_ranges(sent: DataFrame, length: int) -> DataFrame:
             return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in cols], names=["doc_id", "key", "s", "e"])
 
         for batch in batches:
-            cols = [common.column_of(batch, c).to_pylist() for c in ("fp", "lo", "hi", "doc_id", "key", "start", "windows", "place", "data", "many")]
+            cols = [common.column_of(batch, c).to_pylist() for c in ("fp", "lo", "hi", "doc_id", "key", "start", "windows", "place", "data")]
             for fp, lo, hi, *rest in zip(*cols, strict=True):
                 if (fp, lo, hi) != last:
                     if len(rows) >= CHUNK or rows and (lo, hi) != last[1:]:
@@ -290,25 +340,6 @@ def keyed(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.xxhash64("doc_id", "text").alias("key"), F.col("text").cast("binary").alias("data"))
 
 
-def cut_codes(cut: DataFrame, length: int) -> DataFrame:
-    """The wanted contexts of the codes of each text."""
-    names = ("fp", "kinds", "c1", "many", "start", "windows", "place")
-
-    def run(batch: pa.RecordBatch):
-        out = {n: [] for n in ("doc_id", "key", *names, "data")}
-        for doc, key, data, wanted in zip(*(common.column_of(batch, c).to_pylist() for c in ("doc_id", "key", "data", "w")), strict=True):
-            codes = word_codes(data)
-            for w in wanted:
-                for n in names:
-                    out[n].append(w[n])
-                out["doc_id"].append(doc)
-                out["key"].append(key)
-                out["data"].append(codes[w["start"]:w["start"] + w["windows"] - 1 + length])
-        return out
-
-    return common.arrow_map(cut.select("doc_id", "key", "data", "w"), run, "doc_id long, key long, fp long, kinds long, c1 long, many boolean, start long, windows int, place int, data binary")
-
-
 def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, group: int = GROUP, words: int | None = None) -> DataFrame:
     """doc_id, key, ranges array<struct<s, e>> (bytes, with words: of the codes; may overlap) for the rows that lose bytes."""
     if words is not None:
@@ -317,22 +348,23 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
         raise ValueError("length must be a multiple of 16")
     if length < 3 * SYMBOL or length <= gram:
         raise ValueError("length must be at least 48 and above gram")
-    same_row = lambda a, b: a["doc_id"].eqNullSafe(b["doc_id"]) & (a["key"] == b["key"])
-    docs = keyed(docs)
-    rows = all_contexts(docs, length, gram, words is not None)  # made twice: cheaper on disk than kept
-    distinct = rows.groupBy("fp", "c1").agg(F.count(F.lit(1)).alias("c"), F.min(F.struct("doc_id", "key", "start", "windows", "place")).alias("one"))
-    of_anchor = distinct.groupBy("fp").agg(F.sum("c").alias("all"), F.count(F.lit(1)).alias("kinds")).filter("all > 1").drop("all")
-    hit = common.stored(distinct.join(of_anchor, "fp"), "repeated")
-    del distinct, of_anchor
-    common.release(docs.sparkSession)
-    whole = rows.join(hit.filter("c > 1").select("fp", "c1"), ["fp", "c1"]).select("doc_id", "key", F.col("start").alias("s"), (F.col("start") + F.col("windows") - 1 + length).alias("e"))
-    some = hit.filter("kinds > 1").select("fp", "kinds", "c1", (F.col("c") > 1).alias("many"), "one.*")
-    wanted = some.groupBy("doc_id", "key").agg(F.collect_list(F.struct("fp", "kinds", "c1", "many", "start", "windows", "place")).alias("w"))  # bounded by the document
-    cut = docs.join(wanted.withColumnRenamed("doc_id", "d2").withColumnRenamed("key", "k2"), docs["doc_id"].eqNullSafe(F.col("d2")) & (docs["key"] == F.col("k2"))).drop("d2", "k2").dropDuplicates(["doc_id", "key"])
-    sent = cut_codes(cut, length) if words is not None else cut.select("doc_id", "key", "data", F.explode("w").alias("w")).select("doc_id", "key", "w.*", F.substring(F.col("data"), F.col("w.start").cast("int") + 1, F.col("w.windows") - 1 + length).alias("data"))
-    blocks = F.ceil(F.col("kinds") / group).cast("int")
-    sent = sent.withColumn("nb", blocks).withColumn("blk", F.pmod(F.col("c1"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
-    sent = sent.select("fp", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "doc_id", "key", "start", "windows", "place", "data", "many")
+    docs, by_word = keyed(docs), words is not None
+    spark = docs.sparkSession
+    anchors = each_context(docs, lambda doc, key, data, found: {"fp": found[0].view(np.int64)}, "fp long", length, gram, by_word)
+    often = sketch(anchors.groupBy("fp").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("fp"))
+    found = common.stored(listed_contexts(docs, often, length, gram, by_word), "contexts")
+    often.destroy()
+    distinct = found.groupBy("fp", "digest").agg(F.count(F.lit(1)).alias("c"), F.min("u").alias("u"))
+    whole = found.join(distinct.filter("c > 1").select("fp", "digest"), ["fp", "digest"], "left_semi").select("doc_id", "key", "s", "e")
+    kinds = distinct.groupBy("fp").agg(F.count(F.lit(1)).alias("kinds")).filter("kinds > 1")
+    some = common.stored(distinct.join(kinds, "fp").select("u", "fp", "kinds"), "several")
+    sent = sent_contexts(docs, sketch(some.select("u")), length, gram, by_word)
+    hot = some.filter(F.col("kinds") > group).groupBy("fp").agg(F.ceil(F.first("kinds") / group).cast("int").alias("nb"))
+    if hot.count() <= HOT_ANCHORS:
+        hot = F.broadcast(hot)
+    sent = sent.join(hot, "fp", "left").withColumn("nb", F.coalesce("nb", F.lit(1)))
+    sent = sent.withColumn("blk", F.pmod(F.col("u"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
+    sent = sent.select("fp", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "doc_id", "key", "start", "windows", "place", "data")
     fine = merged_ranges(sent, length)
     return whole.unionByName(fine).groupBy("doc_id", "key").agg(F.collect_list(F.struct("s", "e")).alias("ranges"))
 
@@ -368,9 +400,24 @@ def without_words(text: str, ranges: list, words: int) -> str:
     return "".join([*parts, text[at:]])
 
 
-def with_ranges(docs: DataFrame, ranges: DataFrame) -> DataFrame:
-    r = ranges.select(F.col("doc_id").alias("__d"), F.col("key").alias("__k"), F.col("ranges").alias("__ranges"))
-    return docs.join(r, docs["doc_id"].eqNullSafe(r["__d"]) & (F.xxhash64(docs["doc_id"], docs["text"]) == r["__k"]), "left").drop("__d", "__k")
+def with_ranges(docs: DataFrame, ranges: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
+    """(rows that surely have no ranges, the others with their ranges or null in column ``name``). Only the others are exchanged."""
+    key, doc = common.spare(docs, "key"), common.spare(docs, "doc")
+    ranges = common.stored(ranges, "ranges")
+    some = sketch(ranges.select("key"))
+    keyed_docs = docs.withColumn(key, F.xxhash64("doc_id", "text"))
+
+    def those(wanted: bool) -> DataFrame:
+        def run(batches):
+            for batch in batches:
+                hit = passes(some, common.column_of(batch, key).to_numpy())
+                yield batch.filter(pa.array(hit if wanted else ~hit))
+
+        return keyed_docs.mapInArrow(run, keyed_docs.schema)
+
+    r = ranges.select(F.col("doc_id").alias(doc), F.col("key").alias(f"{key}2"), F.col("ranges").alias(name))
+    joined = those(True).join(r, F.col("doc_id").eqNullSafe(F.col(doc)) & (F.col(key) == F.col(f"{key}2")), "left").drop(doc, f"{key}2", key)
+    return those(False).drop(key), joined
 
 
 def removal_report(docs: DataFrame, **options) -> DataFrame:
@@ -378,14 +425,16 @@ def removal_report(docs: DataFrame, **options) -> DataFrame:
 
     def run(batch: pa.RecordBatch):
         out = {k: [] for k in ("n_bytes", "n_removed", "n_spans", "kept_sha256")}
-        for data, ranges in zip(common.column_of(batch, "data").to_pylist(), common.column_of(batch, "__ranges").to_pylist(), strict=True):
+        for data, ranges in zip(common.column_of(batch, "data").to_pylist(), common.column_of(batch, "ranges").to_pylist(), strict=True):
             data, cut = data or b"", spans(ranges)
             for k, v in zip(out, (len(data), sum(e - s for s, e in cut), len(cut), hashlib.sha256(without(data, cut)).hexdigest()), strict=True):
                 out[k].append(v)
         return out | {"doc_id": common.column_of(batch, "doc_id")}
 
-    joined = with_ranges(docs.select("doc_id", "text"), repeated_ranges(docs.select("doc_id", "text"), **options))
-    return common.arrow_map(joined.select("doc_id", F.col("text").cast("binary").alias("data"), "__ranges"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    docs = docs.select("doc_id", "text")
+    free, joined = with_ranges(docs, repeated_ranges(docs, **options), "ranges")
+    both = free.withColumn("ranges", F.lit(None).cast(joined.schema["ranges"].dataType)).unionByName(joined)
+    return common.arrow_map(both.select("doc_id", F.col("text").cast("binary").alias("data"), "ranges"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> DataFrame:
@@ -393,13 +442,13 @@ def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> Dat
 
     n_chars is counted anew, rows left without a word go. A character of which some bytes go is dropped whole. Rows that lose nothing are kept as they are, empty ones too.
     """
-    names, schema = docs.columns, docs.schema
-    joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), words=words, **options))
+    names, schema, mark = docs.columns, docs.schema, common.spare(docs, "ranges")
+    free, joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), words=words, **options), mark)
 
     def run(batches):
         for batch in batches:
-            ranges = common.column_of(batch, "__ranges").to_pylist()
-            batch = batch.select([c for c in batch.schema.names if c != "__ranges"])
+            ranges = common.column_of(batch, mark).to_pylist()
+            batch = batch.select([c for c in batch.schema.names if c != mark])
             texts = common.texts_of(batch)
             keep = [True] * len(texts)
             for i, r in enumerate(ranges):
@@ -418,7 +467,7 @@ def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> Dat
                 batch = batch.set_column(at, batch.schema.field(at), pa.array(counts, batch.schema.field(at).type))
             yield batch.filter(pa.array(keep, pa.bool_()))
 
-    return joined.mapInArrow(run, schema).select(*names)
+    return free.unionByName(joined.mapInArrow(run, schema).select(*names))
 
 
 def op8_suffix_dedup(spark, sf_dir):
