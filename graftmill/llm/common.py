@@ -67,8 +67,8 @@ def process_cache(name: str) -> dict:
     return caches.setdefault(name, {})
 
 
-def arrow_map(df: DataFrame, per_batch, schema: str) -> DataFrame:
-    """mapInArrow with a function from a RecordBatch to a dict of columns (or None)."""
+def arrow_map(df: DataFrame, per_batch, schema: str, rows: int | None = None) -> DataFrame:
+    """mapInArrow with a function from a RecordBatch (of at most ``rows`` rows) to a dict of columns (or None)."""
     from pyspark.sql.types import StructType
     from pyspark.sql.pandas.types import to_arrow_schema
 
@@ -78,8 +78,8 @@ def arrow_map(df: DataFrame, per_batch, schema: str) -> DataFrame:
         for batch in batches:
             if batch.num_rows == 0:
                 continue
-            for out in pieces(per_batch(batch)):
-                yield out
+            for at in range(0, batch.num_rows, rows or batch.num_rows):
+                yield from pieces(per_batch(batch.slice(at, rows)))
 
     def pieces(made):
         if made is None:

@@ -50,6 +50,8 @@ SYMBOL = 16
 GROUP = 8192
 #: Contexts merged at a time, and of one shard.
 CHUNK, SHARD = 16_384, 4096
+#: Texts whose contexts are held at a time.
+ROWS = 256
 #: Window starts taken at a time in a very long text.
 SLICE = 1 << 19
 BITS = 20
@@ -173,7 +175,7 @@ def each_context(docs: DataFrame, made, schema: str, length: int, gram: int, by_
             return None
         return {n: np.concatenate([x[n] for x in out]) if isinstance(out[0][n], np.ndarray) else [v for x in out for v in x[n]] for n in out[0]}
 
-    return common.arrow_map(docs, run, schema)
+    return common.arrow_map(docs, run, schema, ROWS)
 
 
 def sketch(hashes: DataFrame):
