@@ -122,9 +122,9 @@ def lookup(model: Model) -> np.ndarray:
     if "codes" not in cache:
         lower = np.arange(0x110000, dtype=np.uint32)
         letter = np.zeros(0x110000, bool)
-        for cp in range(0x30000):
+        for cp in range(0x110000):
             c = chr(cp)
-            if c.isalpha():
+            if c.isalpha():  # letters of every plane
                 letter[cp] = True
                 low = c.lower()
                 lower[cp] = ord(low) if len(low) == 1 else cp
@@ -223,7 +223,7 @@ def identify(docs: DataFrame, model: Model | None = None) -> DataFrame:
 
 
 def keep_identified(docs: DataFrame, languages: list[str] | None = None, model: Model | None = None) -> DataFrame:
-    """The rows whose language is identified (and among ``languages`` if given), all columns; a missing lang is filled in.
+    """The rows whose language is identified (and among ``languages`` if given), all columns; a missing lang is filled in where there is such a column.
 
     Null and letterless texts are rejected.
     """
@@ -238,8 +238,9 @@ def keep_identified(docs: DataFrame, languages: list[str] | None = None, model:
             langs, _ = predict(common.texts_of(batch))
             keep = [x != UND and (languages is None or x in languages) for x in langs]
             i = batch.schema.get_field_index("lang")
-            filled = [a if a is not None else b for a, b in zip(batch.column(i).to_pylist(), langs, strict=True)]
-            batch = batch.set_column(i, "lang", pa.array(filled, batch.schema.field(i).type))
+            if i >= 0:
+                filled = [a if a is not None else b for a, b in zip(batch.column(i).to_pylist(), langs, strict=True)]
+                batch = batch.set_column(i, "lang", pa.array(filled, batch.schema.field(i).type))
             yield batch.filter(pa.array(keep, pa.bool_()))
 
     return docs.mapInArrow(run, schema).select(*names)
