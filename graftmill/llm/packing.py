@@ -9,7 +9,7 @@ and poor bins poorer until poor ones are empty and vanish. A group loses at most
 packing everything at once, so the loss shrinks as 1 / GROUP_PIECES and does not grow with the input.
 
 Defined results: null text is empty and still has its end token; repeated rows are packed
-each (a copy number keeps them apart); an empty table gives an empty table; other columns are ignored.
+each (their stored row number keeps them apart); an empty table gives an empty table; other columns are ignored.
 """
 
 import bisect
@@ -81,36 +81,35 @@ def best_fit(lengths: np.ndarray, capacity: int) -> list[list[int]]:
 def local_search(lengths: np.ndarray, bins: list[list[int]], capacity: int, rounds: int = ROUNDS) -> list[list[int]]:
     """Raise the sum of squared fills by moves and exchanges between underfull bins; drop bins that empty.
 
-    The bins with the least in them give (donors); the others take. A donor's piece moves into a
-    bin with room for it; or it is exchanged for one smaller piece, or for two smaller pieces, of a fuller bin, so that the fuller
-    bin gains at most its room. Every accepted step moves tokens from a less full bin to a fuller one,
-    which raises the sum of squares; so the search ends.
+    Every underfull bin gives in turn, the least full first; all others take, the fullest first. A giver's piece moves into a
+    bin with room for it; or it is exchanged for one smaller piece, or for two smaller pieces, of that bin, so that the
+    bin gains at most its room. A step is taken if and only if it raises the sum of squares, that is if the taker ends fuller than the giver was;
+    so the search ends. It ends sooner when the bins are as few as the total allows.
     """
     size = lengths.tolist()
     bins = [list(b) for b in bins if b]
     fill = [sum(size[i] for i in b) for b in bins]
     least = -(-sum(fill) // capacity)
+    live = len(bins)
     for _ in range(rounds):
-        live = [b for b in range(len(bins)) if bins[b]]
-        if len(live) <= least:
+        if live <= least:
             break
-        takers = sorted((b for b in live if fill[b] < capacity), key=lambda b: (fill[b], b))
+        takers = sorted((b for b in range(len(bins)) if bins[b] and fill[b] < capacity), key=lambda b: (fill[b], b))
         changed = False
-        donors = takers[: max(1, min(len(takers) - 1, 2 * (len(live) - least) + 2))]
-        for donor in donors:
+        for donor in takers:
+            if live <= least:
+                break
             others = sorted((b for b in takers if b != donor and bins[b]), key=lambda b: (capacity - fill[b], b))
             for i in sorted(bins[donor], key=lambda i: -size[i]):
                 n = size[i]
                 for b in others:
-                    if not bins[b] or fill[b] < fill[donor] and len(bins[donor]) > 1:
-                        continue
-                    room = capacity - fill[b]
-                    give = exchange(size, bins[b], n, room)
+                    if fill[b] + n <= fill[donor] or fill[b] == capacity:
+                        continue  # no exchange can end above the giver's fill
+                    give = exchange(size, bins[b], n, capacity - fill[b])
                     if give is None:
                         continue
-                    back = sum(size[j] for j in give)
-                    gain = n - back
-                    if fill[b] + gain <= fill[donor] - gain and fill[b] < fill[donor]:
+                    gain = n - sum(size[j] for j in give)
+                    if fill[b] + gain <= fill[donor]:
                         continue
                     bins[donor].remove(i)
                     bins[b] = [j for j in bins[b] if j not in give] + [i]
@@ -119,22 +118,31 @@ def local_search(lengths: np.ndarray, bins: list[list[int]], capacity: int, roun
                     fill[donor] -= gain
                     changed = True
                     break
+            live -= not bins[donor]
         if not changed:
             break
     return [b for b in bins if b]
 
 
 def exchange(size: list[int], items: list[int], n: int, room: int) -> list[int] | None:
-    """What a bin gives for a piece of n tokens: nothing if it fits, else one or two pieces of n - room to n - 1 tokens in all, as few tokens as can be."""
+    """What a bin gives for a piece of n tokens: nothing if it fits, else one or two pieces of n - room to n - 1 tokens in all, as few tokens as can be.
+
+    Pieces of one size stand for each other, two of them at most; different sizes in a bin are few, as their sum is bounded by the capacity.
+    """
     if n <= room:
         return []
     low = n - room
     best, cost = None, n
+    by_size: dict[int, list[int]] = {}
     for j in items:
-        if low <= size[j] < cost:
-            best, cost = [j], size[j]
-    if len(items) <= 64:
-        some = sorted((size[j], j) for j in items if size[j] < cost)
+        if size[j] < n:
+            same = by_size.setdefault(size[j], [])
+            if len(same) < 2:
+                same.append(j)
+            if low <= size[j] < cost:
+                best, cost = [j], size[j]
+    if cost > low:
+        some = sorted((s, j) for s, same in by_size.items() if s < cost for j in same)
         for k, (a, j) in enumerate(some):
             at = bisect.bisect_left(some, (low - a, -1), k + 1)
             if at < len(some) and low <= a + some[at][0] < cost:
