@@ -172,6 +172,11 @@ def gathered(docs: DataFrame, blocks: int) -> DataFrame:
     def run(batch: pa.RecordBatch):
         out = {n: [] for n in ("block", "ids", "lengths", "data")}
         of = np.array(common.column_of(batch, "block").to_pylist(), np.int64)
+        # Repeated ids (null ones too) are dealt on in turn, so that no block has all of them.
+        ids_of, seen = common.column_of(batch, "doc_id").to_pylist(), {}
+        for i, one in enumerate(ids_of):
+            nth = seen[one] = seen.get(one, -1) + 1
+            of[i] = (of[i] + nth) % blocks
         ids, texts = common.column_of(batch, "doc_id").to_pylist(), common.texts_of(batch)
         order = np.argsort(of, kind="stable")
         for part in np.split(order, np.flatnonzero(np.diff(of[order])) + 1):
