@@ -42,6 +42,14 @@ def spare(df: DataFrame, name: str) -> str:
     return name
 
 
+def prefix(df: DataFrame) -> str:
+    """How no column of df begins."""
+    out = "__"
+    while any(c.startswith(out) for c in df.columns):
+        out += "_"
+    return out
+
+
 def release(spark: SparkSession) -> None:
     """Let Spark drop the shuffle files of steps that no frame refers to any more; else they stay until the driver happens to collect its garbage."""
     gc.collect()

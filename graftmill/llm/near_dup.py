@@ -239,9 +239,10 @@ def jaccard_join(docs: DataFrame, *, n: int = WORDS, threshold: float = THRESHOL
 
 def drop_near_duplicates(docs: DataFrame, **options) -> DataFrame:
     """The rows of docs with one document of each class (the smallest doc_id), all columns."""
-    keep = jaccard_join(docs, **options).filter(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias("__keep")).distinct()
-    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep["__keep"]), "left_semi")
-    return kept.withColumn("__text", F.xxhash64("text")).dropDuplicates(["doc_id", "__text"]).drop("__text")
+    one, same = common.spare(docs, "keep"), common.spare(docs, "text")
+    keep = jaccard_join(docs, **options).filter(F.col("doc_id").eqNullSafe(F.col("class_id"))).select(F.col("doc_id").alias(one)).distinct()
+    kept = docs.join(keep, docs["doc_id"].eqNullSafe(keep[one]), "left_semi")
+    return kept.withColumn(same, F.xxhash64("text")).dropDuplicates(["doc_id", same]).drop(same)
 
 
 def op1_ngram_jaccard_join(spark, sf_dir):
