@@ -250,19 +250,6 @@ def verify_functional(spark, sf):
     return x.groupBy("r").agg(F.count_if(~F.col("ok")).alias("n_conflicts"), F.count(F.lit(1)).alias("n"))
 
 
-@query("refine_rounds", VERIFY_SQL + ", n AS (SELECT count(*) AS a, count(*) FILTER (f IS NULL AND m IS NULL) AS g FROM v) SELECT 0 AS round, a AS n_in, g AS n_ok, a - g AS n_rejected FROM n UNION ALL SELECT k, a - g, 0, a - g FROM n, (VALUES (1), (2), (3)) x(k) UNION ALL SELECT 4, a - g, a - g, 0 FROM n")
-def refine_rounds(spark, sf):
-    """Corrupted tails keep their kinds, so alias, direction and relation repairs change nothing and the tail repair mends all in round 4."""
-    kg, bad = candidates(spark, sf)
-    return V.refine_until_valid(bad.select("h", "r", "t"), kg=kg, schema=K.kg_schema(spark))[1]
-
-
-@query("refine_accepted")
-def refine_accepted(spark, sf):
-    kg, bad = candidates(spark, sf)
-    return V.refine_until_valid(bad.select("h", "r", "t"), kg=kg, schema=K.kg_schema(spark))[0].groupBy("round", "r").agg(F.count(F.lit(1)).alias("n"))
-
-
 @query("kg_qa_items", f"""WITH {PLACES}, m AS (SELECT *, {_cut("'mask:' || h || ':' || r || ':' || t")} % 3 AS k, h || ' ' || replace(r, '_', ' ') || ' ' || t AS s FROM kg)
 SELECT 'kgc' AS task, h || '|' || r || '|' || t AS key, concat_ws(' | ', CASE WHEN k = 0 THEN '?' ELSE h END, CASE WHEN k = 1 THEN '?' ELSE r END, CASE WHEN k = 2 THEN '?' ELSE t END) AS input, CASE k WHEN 0 THEN h WHEN 1 THEN r ELSE t END AS output FROM m
 UNION ALL SELECT 'qa', h || '|' || r || '|' || t, 'What does ' || h || ' have as ' || replace(r, '_', ' ') || '?', t || ' because ' || s FROM m
@@ -328,29 +315,3 @@ ans AS (SELECT h, r, t, row_number() OVER (PARTITION BY h, r ORDER BY score DESC
 def rule_completion(spark, sf):
     rest, probes = M.hide(with_regions(spark, sf))
     return M.ranking_metrics(probes, M.by_rules(rest, probes, M.mine_rules(rest)))
-
-
-RENDER_SQL = f"WITH {PLACES}, s AS (SELECT h, r, t, h || ' ' || replace(r, '_', ' ') || ' ' || t || '.' AS text FROM kg)"
-
-
-@query("rte_roundtrip", RENDER_SQL + " SELECT r, count(*) AS n_gold, count(*) AS n_found, count(*) AS n_right FROM s GROUP BY r")
-def rte_roundtrip(spark, sf):
-    """Triples rendered into sentences and extracted again: nothing is lost, nothing is added."""
-    kg = K.kg_from_tables(spark, sf, K.PLACES)
-    text = kg.withColumn("text", F.concat(F.concat_ws(" ", "h", F.regexp_replace("r", "_", " "), "t"), F.lit(".")))
-    pattern = r"^(\S+) ([a-z ]+) (\S+)\.$"
-    got = text.select("h", "r", "t", *[F.regexp_extract("text", pattern, i).alias(n) for i, n in ((1, "h2"), (2, "r2"), (3, "t2"))])
-    right = (F.col("h") == F.col("h2")) & (F.col("r") == F.regexp_replace("r2", " ", "_")) & (F.col("t") == F.col("t2"))
-    return got.groupBy("r").agg(F.count(F.lit(1)).alias("n_gold"), F.count_if(F.col("h2") != "").alias("n_found"), F.count_if(right).alias("n_right"))
-
-
-@query("triple_accuracy", " UNION ALL ".join(f"SELECT * FROM (WITH {ATTR}, {corrupt_sql(x)} SELECT {x} AS rate, count(*) AS n, round(100.0 * count(*) FILTER (is_valid) / count(*), 6) AS accuracy FROM bad)" for x in (0.5, 0.25, 0.0)))
-def triple_accuracy(spark, sf):
-    kg = K.kg_from_tables(spark, sf, K.ATTRIBUTES)
-    out = None
-    for rate in (0.5, 0.25, 0.0):
-        x = V.corrupt(kg, rate=rate)
-        hit = x.join(kg.withColumn("gold", F.lit(1)), ["h", "r", "t"], "left")
-        one = hit.agg(F.count(F.lit(1)).alias("n"), F.round(100.0 * F.count("gold") / F.count(F.lit(1)), 6).alias("accuracy")).select(F.lit(rate).alias("rate"), "n", "accuracy")
-        out = one if out is None else out.unionByName(one)
-    return out

@@ -6,7 +6,6 @@ from graftmill.functions import scores as S
 from graftmill.functions.hashing import hash_uniform
 from graftmill.operators import corpus as C
 from graftmill.operators.agents import answers as A
-from graftmill.operators.agents.episode import run_episode
 from graftmill.operators.kg import build as K
 from graftmill.operators.kg import complete as M
 from graftmill.operators.student.lowrank import LowRankStudent
@@ -197,79 +196,15 @@ e AS (SELECT coalesce(d.p, (coalesce(ny, 0) + 1.0) / (t + k)) AS p, (coalesce(to
 SELECT {tag}, count(*) AS n, round(100 * avg(hit), 6) AS accuracy, round(-avg(ln(p)), 6) AS nll FROM e)"""
 
 
-ARMS = (("none", 0.0, "c"), ("global only", 0.5, "c || '/' || z"), ("local only", 0.25, "c || '/' || z"), ("both", 0.0, "c || '/' || z"))
-
-
 def state_of(s):
     return F.col("c") if s == "c" else F.lit("-") if s == "'-'" else F.concat_ws("/", "c", "z")
 
 
-@query("ablation_accuracy", " UNION ALL ".join(student_sql(f"'{a}' AS arm", s, r) for a, r, s in ARMS))
-def ablation_accuracy(spark, sf):
-    """Without graph, with the unverified global graph, with the unverified local one, with both (verified)."""
-    out = None
-    for arm, rate, s in ARMS:
-        one = summary(run_student(questions(spark, sf, rate), state_of(s)), arm=arm)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query("credibility_accuracy", " UNION ALL ".join(student_sql(f"'{a}' AS level", "c || '/' || z", r) for a, r in (("low", 0.5), ("medium", 0.25), ("high", 0.0))))
-def credibility_accuracy(spark, sf):
-    out = None
-    for level, rate in (("low", 0.5), ("medium", 0.25), ("high", 0.0)):
-        one = summary(run_student(questions(spark, sf, rate), state_of("z")), level=level)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query("completeness_accuracy", " UNION ALL ".join(student_sql(f"'{a}' AS level", "c || '/' || z", 0.0, k) for a, k in (("sparse", 0.3), ("moderate", 0.6), ("comprehensive", 1.0))))
-def completeness_accuracy(spark, sf):
-    out = None
-    for level, keep in (("sparse", 0.3), ("moderate", 0.6), ("comprehensive", 1.0)):
-        one = summary(run_student(questions(spark, sf, 0.0, keep), state_of("z")), level=level)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-SINGLE = (("zero-shot", 1.0, "'-'"), ("vanilla", 1.0, "c"), ("step-by-step", 0.35, "c || '/' || z"), ("full loop", 0.0, "c || '/' || z"))
-
-
-@query("single_teacher_block", " UNION ALL ".join(student_sql(f"'{m}' AS method", s, r) for m, r, s in SINGLE))
-def single_teacher_block(spark, sf):
-    """No state, the question alone, the question with an unverified rationale, the question with verified triples."""
-    out = None
-    for method, rate, s in SINGLE:
-        one = summary(run_student(questions(spark, sf, rate), state_of(s)), method=method)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
 @query("count_predictor", student_sql("'segment' AS state", "c"))
 def count_predictor(spark, sf):
     return summary(run_student(questions(spark, sf), F.col("c")), state="segment")
 
 
-@query("grounded_nll", " UNION ALL ".join(student_sql(f"{r}::DOUBLE AS level", "c || '/' || z", r) for r in LEVELS))
-def grounded_nll(spark, sf):
-    """Negative log-likelihood of the student as the triples' quality falls."""
-    out = None
-    for r in LEVELS:
-        one = summary(run_student(questions(spark, sf, r), state_of("z")), level=r)
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query("joint_objective")
-def joint_objective(spark, sf):
-    """Loss parts of the two tasks and the graph term (log share of verified triples), which shifts the total and not its minimum."""
-    kgc = run_student(questions(spark, sf, 0.25), state_of("z")).agg((-F.avg("log")).alias("kgc"))
-    rte = run_student(questions(spark, sf), F.col("z")).agg((-F.avg("log")).alias("rte"))
-    graph = questions(spark, sf, 0.25).join(questions(spark, sf).select("key", F.col("z").alias("gold")), "key").agg(F.ln(F.avg((F.col("z") == F.col("gold")).cast("double"))).alias("log_graph"))
-    x = kgc.crossJoin(rte).crossJoin(graph)
-    return I.rounded(x.select("rte", "kgc", "log_graph", (F.col("rte") + F.col("kgc") - 2 * F.col("log_graph")).alias("total")))
-
-
 # Answer selection over completion candidates ---------------------------------------------------------------------------
 
 CAND_SQL = f"""WITH {ATTR}, {HIDE_SQL}, n AS (SELECT g.r, g.t, a.r AS r2, a.t AS t2, count(*) AS n FROM rest g JOIN rest a ON a.h = g.h AND a.r <> g.r WHERE g.r IN (SELECT r FROM probe) GROUP BY ALL),
@@ -320,33 +255,6 @@ def self_reflection(spark, sf):
     return A.self_reflect(candidates(spark, sf)[0])
 
 
-@query("multi_agent_block")
-def multi_agent_block(spark, sf):
-    """Accuracy of every way to pick an answer from the same candidates; the loop verifies against the graph that holds the answer."""
-    c, gold = candidates(spark, sf)
-    methods = {"self-reflect": A.self_reflect(c), "self-consistency": A.self_consistency(c), "debate": A.debate(c), "greedy": A.greedy(c)}
-    kg = K.kg_from_tables(spark, sf, K.ATTRIBUTES)
-    known = kg.select(F.concat_ws("|", "h", "r").alias("q_id"), F.col("t").alias("answer"))
-    methods["full loop"] = c.select("q_id", "answer").join(known, ["q_id", "answer"], "left_semi").unionByName(known.join(c.select("q_id").distinct(), "q_id", "left_semi")).groupBy("q_id").agg(F.min("answer").alias("answer"))
-    out = None
-    for name, a in methods.items():
-        one = A.accuracy(a, gold).select(F.lit(name).alias("method"), "n", "accuracy")
-        out = one if out is None else out.unionByName(one)
-    return out
-
-
-@query("metric_compare")
-def metric_compare(spark, sf):
-    s = single_teacher_block(spark, sf).select("method", F.lit("accuracy").alias("metric"), F.col("accuracy").alias("value"))
-    return S.compare(s, reference="vanilla")
-
-
-@query("episode_log")
-def episode_log(spark, sf):
-    kg = K.kg_from_tables(spark, sf, K.PLACES)
-    return run_episode(kg, seeds(spark, sf), K.kg_schema(spark))[1]
-
-
 # Gradient descent, control ----------------------------------------------------------------------------------------------
 
 @query("sgd_simulation")
