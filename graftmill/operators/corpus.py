@@ -83,12 +83,33 @@ def components(edges: DataFrame, *, max_rounds: int = 50) -> DataFrame:
 
 # Aliases -------------------------------------------------------------------------------------------------------------
 
-def resolve_synonyms(df: DataFrame, col: str, aliases: DataFrame, *, closure: bool = False, max_depth: int = 8) -> DataFrame:
-    """Replace surface forms by canonical ones; closure follows chains (a cycle stops at max_depth)."""
-    a = aliases.select(F.col("alias").alias("__alias"), F.col("canonical").alias("__canonical"))
-    for _ in range(max_depth if closure else 1):
-        df = df.join(a, df[col] == a["__alias"], "left").withColumn(col, F.coalesce("__canonical", col)).drop("__alias", "__canonical")
-    return df
+def resolve_synonyms(df: DataFrame, col: str, aliases: DataFrame, *, closure: bool = False, max_rounds: int = 64) -> DataFrame:
+    """Replace surface forms by canonical ones; closure follows chains of any length to their end, and a name in a cycle becomes the cycle's smallest name.
+
+    An alias with several canonical forms takes the smallest.
+    """
+    a = aliases.filter("alias <> canonical").groupBy(F.col("alias").alias("__alias")).agg(F.min("canonical").alias("__canonical"))
+    if closure:
+        a = closed(a, max_rounds)
+    return df.join(a, df[col] == a["__alias"], "left").withColumn(col, F.coalesce("__canonical", col)).drop("__alias", "__canonical")
+
+
+def closed(a: DataFrame, max_rounds: int) -> DataFrame:
+    """Chains by doubling: a round halves what is left of each, and __least is the smallest name met on the way."""
+    a = stored(a.withColumn("__least", F.col("__canonical")), "aliases")
+    moves = a.count()
+    for _ in range(max_rounds):
+        b = a.select(F.col("__alias").alias("__next"), F.col("__canonical").alias("__far"), F.col("__least").alias("__low"))
+        joined = a.join(b, a["__canonical"] == b["__next"], "left")
+        a = stored(joined.select("__alias", F.coalesce("__far", "__canonical").alias("__canonical"), F.least("__least", F.coalesce("__low", "__least")).alias("__least"), F.col("__next").isNull().alias("__end")), "aliases")
+        left = a.filter("not __end").count()
+        if left == 0 or left == moves and a.join(a.select(F.col("__alias").alias("__x"), F.col("__least").alias("__y")), F.col("__canonical") == F.col("__x")).filter("__least <> __y").isEmpty():
+            break  # what is left are cycles, and the smallest name has come round
+        moves = left
+        a = a.drop("__end")
+    else:
+        raise RuntimeError("chains of aliases did not settle")
+    return a.select("__alias", F.when(F.col("__end"), F.col("__canonical")).otherwise(F.least("__least", "__alias")).alias("__canonical"))
 
 
 def alias_map(names: DataFrame, col: str) -> DataFrame:

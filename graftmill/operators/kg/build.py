@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from graftmill.functions.text import sentence_array
 from graftmill.operators.corpus import components
-from graftmill.sources.tables import load
+from graftmill.sources.tables import load, stored
 
 #: relation -> (table, head kind, head column, tail kind, tail column, functional)
 MAPPING = {
@@ -159,6 +159,25 @@ def communities(triples: DataFrame, *, hub_cap: int = 50) -> DataFrame:
     return nodes.join(comp, "node", "left").select("node", F.coalesce("component", "node").alias("community"))
 
 
+def propagated_labels(triples: DataFrame, *, rounds: int = 8) -> DataFrame:
+    """node, community by synchronous label propagation: every node takes the commonest label among itself and its neighbours, ties to the smaller label.
+
+    Labels are counted per node before anything is compared, so a hub's neighbours travel as counts. Two labellings that alternate end at the last round.
+    """
+    both = triples.select(F.col("h").alias("a"), F.col("t").alias("b")).union(triples.select("t", "h"))
+    nodes = both.select(F.col("a").alias("b")).distinct()
+    near = stored(both.unionByName(nodes.select("b", F.col("b").alias("a"))), "neighbours")
+    label = nodes.select(F.col("b").alias("node"), F.col("b").alias("community"))
+    for _ in range(rounds):
+        n = near.join(label, near["a"] == label["node"]).groupBy("b", "community").agg(F.count(F.lit(1)).alias("n"))
+        new = stored(n.groupBy(F.col("b").alias("node")).agg(F.min_by("community", F.struct(-F.col("n"), F.col("community"))).alias("community")), "labels")
+        same = new.join(label.withColumnRenamed("community", "old"), "node").filter("community <> old").isEmpty()
+        label = new
+        if same:
+            break
+    return label
+
+
 def community_summary(triples: DataFrame, members: DataFrame) -> DataFrame:
     """community, n_nodes, n_triples, top_relation (most frequent, ties by name)."""
     inside = triples.join(members.select(F.col("node").alias("h"), F.col("community").alias("ch")), "h").join(members.select(F.col("node").alias("t"), F.col("community").alias("ct")), "t").filter("ch = ct")

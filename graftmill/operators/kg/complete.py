@@ -25,6 +25,28 @@ def by_prior(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
     return probes.select("h", "r").distinct().join(top, "r").select("h", "r", "t", "score", "rank")
 
 
+def heads_by_tail(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
+    """r, t, h, score, rank: for (?, r, t) the k heads that go with the tail in most other relations' triples, or in none (ties by name).
+
+    probes: r, t. Candidates are the heads that have the relation's kind and lack the relation; a tail's candidates are counted, not listed, beyond k.
+    """
+    kind = F.substring_index("h", ":", 1)
+    want = probes.select("r", "t").distinct()
+    kinds = kg.select("r", kind.alias("kind")).distinct()
+    near = kg.select(F.col("h").alias("h2"), F.col("r").alias("r2"), "t").join(want, "t").filter("r2 <> r").select("r", "t", F.col("h2").alias("h"))
+    n = near.join(kinds, "r").filter(kind == F.col("kind")).groupBy("r", "t", "h").agg(F.count(F.lit(1)).cast("double").alias("score"))
+    w = Window.partitionBy("r", "t").orderBy(F.desc("score"), "h")
+    return n.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
+
+
+def relations_by_kind(kg: DataFrame, probes: DataFrame) -> DataFrame:
+    """h, t, r, score, rank: for (h, ?, t) the relations by how often they join the kinds of the two ends."""
+    ends = lambda df: df.withColumn("kh", F.substring_index("h", ":", 1)).withColumn("kt", F.substring_index("t", ":", 1))
+    n = ends(kg).groupBy("kh", "kt", "r").agg(F.count(F.lit(1)).cast("double").alias("score"))
+    w = Window.partitionBy("kh", "kt").orderBy(F.desc("score"), "r")
+    return ends(probes.select("h", "t").distinct()).join(n.withColumn("rank", F.row_number().over(w)), ["kh", "kt"]).select("h", "t", "r", "score", "rank")
+
+
 def by_neighbours(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
     """Tails of heads that share an attribute with the probe's head, weighted by how often the attribute goes with the tail.
 

@@ -36,8 +36,10 @@ def local_nodes(kg: DataFrame, seeds: DataFrame, *, direction: str = "both", max
             new = new.withColumn("k", F.row_number().over(w)).filter(F.col("k") <= beam)
         frontier = stored(new.select("q_id", "node", F.lit(hop).alias("hop")), "frontier")
         if frontier.isEmpty():
-            break
+            return visited
         visited = visited.unionByName(frontier)
+    if max_hops is None:
+        raise RuntimeError(f"the expansion goes on after {rounds} hops")
     return visited
 
 
@@ -74,9 +76,9 @@ def paths(kg: DataFrame, seeds: DataFrame, *, max_len: int = 2) -> DataFrame:
     return out
 
 
-def decompose(queries: DataFrame, kg: DataFrame, *, max_parts: int = 4) -> DataFrame:
+def decompose(queries: DataFrame, kg: DataFrame) -> DataFrame:
     """q_id, part_no, part, entity (if the part names one), relations (candidate relations of the entity)."""
-    parts = queries.select("q_id", F.posexplode(F.slice(F.split("query", r"(?i)\s*(?:,|;|\band\b|\?)\s*"), 1, max_parts)).alias("part_no", "part")).filter("trim(part) <> ''")
+    parts = queries.select("q_id", F.posexplode(F.split("query", r"(?i)\s*(?:,|;|\band\b|\?)\s*")).alias("part_no", "part")).filter("trim(part) <> ''")
     named = parts.withColumn("entity", F.regexp_extract("part", r"([a-z]+:\S+)", 1))
     rels = kg.groupBy("h").agg(F.sort_array(F.collect_set("r")).alias("relations"))  # as many as there are relation names
     return named.join(rels, named["entity"] == rels["h"], "left").select("q_id", "part_no", "part", F.nullif("entity", F.lit("")).alias("entity"), "relations")

@@ -10,6 +10,11 @@ def topk_per_group(df: DataFrame, keys: list[str], order: list[Column], k: int)
     return df.withColumn("rank", F.row_number().over(Window.partitionBy(*keys).orderBy(*order))).filter(F.col("rank") <= k)
 
 
+def topk(df: DataFrame, order: list[Column], k: int) -> DataFrame:
+    """The first k rows of a total order: each task keeps k rows, so nothing is sorted as a whole."""
+    return df.orderBy(*order).limit(k)
+
+
 def asof_last(left: DataFrame, right: DataFrame, *, by: str, ts: str, order: str, cols: list[str]) -> DataFrame:
     """left with, for each of ``cols``, the value of the latest right row of the same ``by`` before it (as right_<col>, and right_<ts>).
 

@@ -14,9 +14,23 @@ EDGES = {
 }
 
 
-def topologies(spark: SparkSession) -> DataFrame:
-    """topology, src, dst, w of undirected unit edges, both ways."""
-    rows = [(name, a, b, 1.0) for name, es in EDGES.items() for x, y in es for a, b in ((x, y), (y, x))]
+# The five roles in the order in which they hand their results on, with the verifier's way back to the one that asks; fixed.
+ROLES = ("master", "entities", "relations", "distiller", "verifier")
+ROLE_EDGES = [(0, 1), (0, 2), (1, 3), (2, 3), (3, 4), (4, 0)]
+
+
+def random_edges(seed: int, n: int = 5, p: float = 0.5) -> list[tuple[int, int]]:
+    """A connected random graph: a path in shuffled order, and each other pair with probability p."""
+    rng = np.random.default_rng(seed)
+    order = rng.permutation(n).tolist()
+    path = {tuple(sorted(e)) for e in zip(order, order[1:], strict=False)}
+    return sorted(path | {(i, j) for i in range(n) for j in range(i + 1, n) if rng.random() < p})
+
+
+def topologies(spark: SparkSession, randoms: int = 0, roles: bool = False) -> DataFrame:
+    """topology, src, dst, w of undirected unit edges, both ways; with ``roles`` that of the agents, with ``randoms`` that many random ones."""
+    edges = EDGES | ({"roles": ROLE_EDGES} if roles else {}) | {f"random {s}": random_edges(s) for s in range(randoms)}
+    rows = [(name, a, b, 1.0) for name, es in edges.items() for x, y in es for a, b in ((x, y), (y, x))]
     return spark.createDataFrame(rows, "topology string, src int, dst int, w double")
 
 
@@ -59,12 +73,16 @@ def controllability(lap: DataFrame, *, gain: float = 1.0, n: int = 5) -> DataFra
 
 
 def simulate_agents(lap: DataFrame, starts: DataFrame, *, gain: float = 1.0, dt: float = 0.05, steps: int = 200, node: int = 0, control: str = "central", n: int = 5) -> DataFrame:
-    """topology, x0_id, step, agent, x: exact steps of the closed loop from each start (x0_id, x0). decentral: every agent feeds back its own state only."""
+    """topology, x0_id, step, agent, x: exact steps of the closed loop from each start (x0_id, x0). decentral: every agent feeds back how far it is from the mean of its neighbours, which is all that it sees of the others."""
 
     def one(key, l_pdf: pd.DataFrame, x_pdf: pd.DataFrame) -> pd.DataFrame:
         l = matrix(l_pdf, n)
-        k = np.eye(n) * gain if control == "decentral" else np.zeros((n, n))
-        k[node, node] = gain
+        k = np.zeros((n, n))
+        if control == "decentral":
+            k = gain * l / np.maximum(np.diag(l), 1e-12)[:, None]
+        elif control != "central":
+            raise ValueError("control must be central or decentral")
+        k[node, node] += gain
         w, v = np.linalg.eig((-l - k) * dt)
         step = (v @ np.diag(np.exp(w)) @ np.linalg.inv(v)).real
         rows = []

@@ -79,12 +79,13 @@ def is_garbling(fine: DataFrame, coarse: DataFrame, kernel: DataFrame, tol: floa
 
 
 def ladder(counts: DataFrame, levels: tuple[float, ...]) -> DataFrame:
-    """level, gamma, reward (mean log-score of the true posterior), bayes (mean largest posterior) for each garbling level."""
+    """For each garbling level: gamma, reward (mean log-score of the true posterior), bayes_risk (one less the mean largest posterior),
+    grad_variance (mean squared distance of the softmax gradient, label less posterior, from its mean of zero)."""
     g = garble(counts, uniform_kernel(counts, levels))
     wz, wc, wcy = Window.partitionBy("level", "c", "z"), Window.partitionBy("level", "c"), Window.partitionBy("level", "c", "y")
     x = g.withColumn("m", F.sum("n").over(wz)).withColumn("mc", F.sum("n").over(wc)).withColumn("my", F.sum("n").over(wcy)).withColumn("top", F.max("n").over(wz))
-    s = x.groupBy("level").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.ln(F.col("n") / F.col("m"))).alias("r"), F.sum(-F.col("n") * F.ln(F.col("my") / F.col("mc"))).alias("h"), F.sum(F.when(F.col("n") == F.col("top"), F.col("n")).otherwise(0.0) / F.greatest(F.lit(1.0), F.lit(1.0))).alias("b"))
-    return s.select("level", F.round(1 + F.col("r") / F.col("h"), 6).alias("gamma"), F.round(F.col("r") / F.col("n"), 6).alias("reward"))
+    s = x.groupBy("level").agg(F.sum("n").alias("n"), F.sum(F.col("n") * F.ln(F.col("n") / F.col("m"))).alias("r"), F.sum(-F.col("n") * F.ln(F.col("my") / F.col("mc"))).alias("h"), F.sum(F.col("n") * F.col("top") / F.col("m")).alias("b"), F.sum(F.col("n") * F.col("n") / F.col("m")).alias("v"))
+    return s.select("level", F.round(1 + F.col("r") / F.col("h"), 6).alias("gamma"), F.round(F.col("r") / F.col("n"), 6).alias("reward"), F.round(1 - F.col("b") / F.col("n"), 6).alias("bayes_risk"), F.round(1 - F.col("v") / F.col("n"), 6).alias("grad_variance"))
 
 
 def monotone(report: DataFrame) -> bool:

@@ -219,9 +219,6 @@ def qa_turn_pairs(spark, sf):
     return C.qa_from_turns(load(spark, sf, "conversations"))
 
 
-FIRST_SQL = f"""WITH {SENTENCES_SQL}, one AS (SELECT doc_id, sent, string_split(sent, ' ') AS p, ('0x' || substr(md5('template:' || doc_id), 1, 8))::UBIGINT::BIGINT % 3 AS k FROM sent WHERE sent_no = 0)"""
-
-
 EVERY_SQL = f"""WITH {SENTENCES_SQL}, one AS (SELECT doc_id, sent_no, sent, string_split(sent, ' ') AS p, ('0x' || substr(md5('template:' || doc_id || ':' || sent_no), 1, 8))::UBIGINT::BIGINT % 3 AS k FROM sent)"""
 
 
@@ -239,29 +236,17 @@ def _verdicts(q):
     return C.validate_qa(j).groupBy(F.coalesce("reason", F.lit("valid")).alias("verdict")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("qa_templates_all", EVERY_SQL + """ SELECT doc_id, sent_no, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
-def qa_templates_all(spark, sf):
-    """An item of every sentence of every document; qa_templates has the first sentences only."""
+@query("qa_templates", EVERY_SQL + """ SELECT doc_id, sent_no, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
+def qa_templates(spark, sf):
+    """An item of every sentence of every document."""
     out = C.build_qa(T.sentences(docs(spark, sf)), key=("doc_id", "sent_no"))
     return out.select("doc_id", F.col("sent_no").cast("long").alias("sent_no"), "template", *_heads())
 
 
-@query("qa_validation_all", EVERY_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
-def qa_validation_all(spark, sf):
-    return _verdicts(C.build_qa(T.sentences(docs(spark, sf)), key=("doc_id", "sent_no")))
-
-
-@query("qa_templates", FIRST_SQL + """ SELECT doc_id, (['property', 'process', 'equation'])[k + 1] AS template, p[1] AS head, array_to_string(p[2:], ' ') AS rest FROM one""")
-def qa_templates(spark, sf):
-    first = T.sentences(docs(spark, sf)).filter("sent_no = 0")
-    out = C.build_qa(first)
-    return out.select("doc_id", "template", *_heads())
-
-
-@query("qa_validation", FIRST_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
+@query("qa_validation", EVERY_SQL + """ SELECT coalesce(CASE WHEN doc_id % 7 = 0 THEN 'malformed' WHEN doc_id % 5 = 0 THEN 'blank:output' END, 'valid') AS verdict, count(*) AS n FROM one GROUP BY 1""")
 def qa_validation(spark, sf):
-    """Every seventh item is cut in half and every fifth has a blank answer; the gate must find exactly these."""
-    return _verdicts(C.build_qa(T.sentences(docs(spark, sf)).filter("sent_no = 0")))
+    """Every seventh document's items are cut in half and every fifth one's have a blank answer; the gate must find exactly these."""
+    return _verdicts(C.build_qa(T.sentences(docs(spark, sf)), key=("doc_id", "sent_no")))
 
 
 @query("vertical_tags", f"SELECT {THEME_SQL} AS theme, CASE WHEN regexp_matches(text, '[0-9]{{2,}}') THEN 'measurement' WHEN regexp_matches(text, '[|]') THEN 'table' WHEN regexp_matches(text, '[@#]') THEN 'contact' WHEN regexp_matches(text, '(?i)(license|rights)') THEN 'legal' ELSE 'description' END AS task, count(*) AS n FROM documents GROUP BY ALL")
@@ -346,3 +331,26 @@ def embedding_kernels(spark, sf):
     p = e.join(n, "vec_id")
     a, b = F.col("embedding"), F.col("f")
     return p.groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(dot(a, b)), 6).alias("dot"), F.round(F.avg(norm(a)), 6).alias("norm"), F.round(F.avg(l2(a, b)), 6).alias("l2"), F.count_if(cosine(a, b) >= 0.1).alias("n_alike"))
+
+
+@query("longest_documents", "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC NULLS LAST, doc_id LIMIT 20")
+def longest_documents(spark, sf):
+    """The twenty longest documents: a top-k report."""
+    from graftmill.operators.relational import topk
+    return topk(docs(spark, sf).select("doc_id", "n_chars"), [F.desc_nulls_last("n_chars"), F.col("doc_id")], 20)
+
+
+REPORTED = ("theme_shares", "kg_text", "latent_links_topk", "kgc_neighbor", "exact_dedup")
+
+
+@query("run_report")
+def run_report(spark, sf):
+    """What the plans of a few queries do: exchanges, broadcasts, joins, Python stages. Plans are read, not run."""
+    from graftmill.plans.report import plan_report
+
+    from .registry import QUERIES
+    rows = []
+    for name in REPORTED:
+        r = plan_report(QUERIES[name](spark, sf))
+        rows.append((name, *(int(r[k]) for k in ("exchanges", "broadcasts", "sort_merge_joins", "hash_joins", "nested_loops", "cartesian", "python"))))
+    return spark.createDataFrame(rows, "query string, exchanges int, broadcasts int, sort_merge_joins int, hash_joins int, nested_loops int, cartesian int, python int")

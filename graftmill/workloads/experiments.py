@@ -356,6 +356,15 @@ def supported_by_votes(spark, sf):
     return x.groupBy((~F.array_contains("reasons", "votes")).alias("voted"), (~F.array_contains("reasons", "text")).alias("supported")).agg(F.count(F.lit(1)).alias("n"))
 
 
+@query("judge_agreement", f"WITH {BASE_SQL}, v AS (SELECT q, h, r, t, count(*) AS votes FROM raw GROUP BY ALL), b AS (SELECT (votes >= 2)::INT AS b, (v.h = 'customer:' || key AND r = 'in_nation' AND t = gold)::INT AS a FROM v JOIN cust ON key = q), s AS (SELECT count(*) AS n, corr(a, b) AS r, avg((a = b)::INT) AS po, avg(a) AS xa, avg(b) AS xb FROM b) SELECT n, round(r, 6) AS pearson, round((po - (xa * xb + (1 - xa) * (1 - xb))) / (1 - (xa * xb + (1 - xa) * (1 - xb))), 6) AS kappa FROM s")
+def judge_agreement(spark, sf):
+    """The expert stand-in (is the statement true?) against the judge stand-in (do two fragments make it?), over all distinct statements."""
+    w, x = world(spark, sf), items(spark, sf)
+    v = N.stated(w.frags).groupBy("q_id", "h", "r", "t").agg(F.count(F.lit(1)).alias("votes")).join(x.select(F.col("key").alias("q_id"), "gold"), "q_id")
+    right = (F.col("h") == F.concat(F.lit("customer:"), "q_id")) & (F.col("r") == "in_nation") & (F.col("t") == F.col("gold"))
+    return S.agreement(v.select(right.cast("int").alias("a"), (F.col("votes") >= 2).cast("int").alias("b")), "a", "b")
+
+
 @query("episode_log")
 def episode_log(spark, sf):
     """Steps of the acting agents, with the more thorough policy."""

@@ -117,6 +117,13 @@ def kg_communities(spark, sf):
     return K.community_summary(kg, K.communities(kg, hub_cap=200))
 
 
+@query("kg_label_communities")
+def kg_label_communities(spark, sf):
+    """Communities by label propagation, with their sizes and commonest relations."""
+    kg = K.kg_from_tables(spark, sf, K.ATTRIBUTES)
+    return K.community_summary(kg, K.propagated_labels(kg))
+
+
 @query("kg_salience")
 def kg_salience(spark, sf):
     return K.salience(K.kg_from_tables(spark, sf, K.ATTRIBUTES)).select("node", F.round("rank", 6).alias("rank"))
@@ -291,6 +298,16 @@ def kgc_neighbor(spark, sf):
     return M.ranking_metrics(probes, M.by_neighbours(rest, probes))
 
 
+@query("kgc_relations", f"""WITH {ATTR}, {HIDE_SQL}, n AS (SELECT split_part(h, ':', 1) AS kh, split_part(t, ':', 1) AS kt, r, count(*) AS n FROM rest GROUP BY ALL), k AS (SELECT *, row_number() OVER (PARTITION BY kh, kt ORDER BY n DESC, r) AS rank FROM n)
+SELECT p.r, count(*) AS n, round(avg((coalesce(rank, 1000000) = 1)::INT), 6) AS hits_1 FROM probe p LEFT JOIN k ON kh = split_part(p.h, ':', 1) AND kt = split_part(p.t_gold, ':', 1) AND k.r = p.r GROUP BY p.r""")
+def kgc_relations(spark, sf):
+    """Hidden relations (h, ?, t) by the kinds of the two ends."""
+    rest, probes = M.hide(K.kg_from_tables(spark, sf, K.ATTRIBUTES))
+    asked = probes.select("h", "r", F.col("t_gold").alias("t"))
+    got = asked.join(M.relations_by_kind(rest, asked), ["h", "t", "r"], "left")
+    return got.groupBy("r").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg((F.coalesce("rank", F.lit(10**6)) == 1).cast("double")), 6).alias("hits_1"))
+
+
 def with_regions(spark, sf):
     """Places plus the region of every customer and supplier as an explicit triple, the goal of the composition rules."""
     kg = K.kg_from_tables(spark, sf, K.PLACES)

@@ -12,7 +12,7 @@ from graftmill.operators.student.lowrank import LowRankStudent
 from graftmill.operators.theory import control as P
 from graftmill.operators.theory import information as I
 from graftmill.operators.theory import sgd as G
-from graftmill.sources.tables import load
+from graftmill.sources.tables import load, stored
 
 from .corpus import TURNS_SQL
 from .graph import ATTR, HIDE_SQL, seeds
@@ -87,11 +87,6 @@ def human_eval(spark, sf):
     return S.human_eval(d.select("lang", F.col("quality").alias("score")), "lang")
 
 
-@query("judge_agreement", "WITH v AS (SELECT quality AS a, (n_chars >= 500)::INT AS b FROM labels JOIN documents USING (doc_id)), s AS (SELECT count(*) AS n, corr(a, b) AS r, avg((a = b)::INT) AS po, avg(a) AS xa, avg(b) AS xb FROM v) SELECT n, round(r, 6) AS pearson, round((po - (xa * xb + (1 - xa) * (1 - xb))) / (1 - (xa * xb + (1 - xa) * (1 - xb))), 6) AS kappa FROM s")
-def judge_agreement(spark, sf):
-    d = load(spark, sf, "labels").join(load(spark, sf, "documents").select("doc_id", "n_chars"), "doc_id")
-    return S.agreement(d.select(F.col("quality").alias("a"), (F.col("n_chars") >= 500).cast("int").alias("b")), "a", "b")
-
 
 # Information ---------------------------------------------------------------------------------------------------------
 
@@ -142,10 +137,10 @@ LEVELS = (0.0, 0.25, 0.5, 0.75, 1.0)
 
 @query("monotone_ladder", f"""WITH {CUST_SQL}, cell AS (SELECT c, z, y, count(*)::DOUBLE AS n FROM obs GROUP BY ALL), zs AS (SELECT DISTINCT z FROM cell),
 g AS (SELECT e AS level, c, k.z AS z, y, sum(n * (CASE WHEN k.z = cell.z THEN 1 - e ELSE 0 END + e / (SELECT count(*) FROM zs))) AS n FROM cell, zs k, (VALUES (0.0::DOUBLE), (0.25), (0.5), (0.75), (1.0)) v(e) GROUP BY ALL HAVING sum(n * (CASE WHEN k.z = cell.z THEN 1 - e ELSE 0 END + e / (SELECT count(*) FROM zs))) > 0),
-x AS (SELECT *, sum(n) OVER (PARTITION BY level, c, z) AS m, sum(n) OVER (PARTITION BY level, c) AS mc, sum(n) OVER (PARTITION BY level, c, y) AS my FROM g)
-SELECT level, round(1 + sum(n * ln(n / m)) / sum(-n * ln(my / mc)), 6) AS gamma, round(sum(n * ln(n / m)) / sum(n), 6) AS reward FROM x GROUP BY level""")
+x AS (SELECT *, sum(n) OVER (PARTITION BY level, c, z) AS m, sum(n) OVER (PARTITION BY level, c) AS mc, sum(n) OVER (PARTITION BY level, c, y) AS my, max(n) OVER (PARTITION BY level, c, z) AS mt FROM g)
+SELECT level, round(1 + sum(n * ln(n / m)) / sum(-n * ln(my / mc)), 6) AS gamma, round(sum(n * ln(n / m)) / sum(n), 6) AS reward, round(1 - sum(n * mt / m) / sum(n), 6) AS bayes_risk, round(1 - sum(n * n / m) / sum(n), 6) AS grad_variance FROM x GROUP BY level""")
 def monotone_ladder(spark, sf):
-    return I.ladder(I.cells(places(spark, sf), "y", "z", "c"), LEVELS).select("level", "gamma", "reward")
+    return I.ladder(I.cells(places(spark, sf), "y", "z", "c"), LEVELS)
 
 
 @query("fano", f"WITH {CUST_SQL}, {MI_SQL.replace('PARTITION BY c, z', 'PARTITION BY c')} SELECT round(greatest(0, (a.s / t.n - ln(2)) / ln((SELECT count(DISTINCT y) FROM obs))), 6) AS bound, round(1 - (SELECT sum(n) FROM (SELECT max(n) AS n FROM (SELECT c, y, count(*) AS n FROM obs GROUP BY ALL) GROUP BY c)) / t.n, 6) AS error FROM a, t")
@@ -262,24 +257,36 @@ def sgd_simulation(spark, sf):
     return G.bound_report(spark, alpha=0.5, eigs=(0.5, 1.0), sigma=0.5)
 
 
+LETTERS = "abcdefghijklmnopqrstuvwxyz"
+
+
 @query("lowrank_training")
 def lowrank_training(spark, sf):
-    """Labels of the embedding table from their vectors; epoch, loss, and the final accuracy (epoch -1)."""
-    e = load(spark, sf, "embeddings").select(F.col("vec_id").alias("key"), F.transform("embedding", lambda v: v.cast("double")).alias("x"), F.col("label").cast("string").alias("y"))
-    m = LowRankStudent(64, [str(i) for i in range(10)], rank=4, alpha=16, lr=1.0, batch=500, epochs=5).fit(e)
-    hit = m.predict(e).join(e.select(F.col("key").cast("string").alias("key"), "y"), "key").agg(F.avg((F.col("answer") == F.col("y")).cast("double"))).first()[0]
-    return spark.createDataFrame([*[(k, float(v)) for k, v in m.log], (-1, float(hit))], "epoch int, loss double")
+    """Languages of documents from the shares of their letters: loss of each epoch on the training part, accuracy on the held-out part (epoch -1)."""
+    low = F.lower(F.coalesce("text", F.lit("")))
+    share = lambda c: (F.length(low) - F.length(F.replace(low, F.lit(c), F.lit("")))) / F.greatest(F.length(low), F.lit(1))
+    d = load(spark, sf, "documents").filter("lang is not null").select(F.col("doc_id").alias("key"), F.array(*[10.0 * share(c) for c in LETTERS]).alias("x"), F.col("lang").alias("y"))
+    d = stored(d.withColumn("train", hash_uniform("key", seed="lowrank") < 0.7), "letters")
+    labels = [r["y"] for r in d.select("y").distinct().orderBy("y").collect()]  # the label space
+    m = LowRankStudent(len(LETTERS), labels, rank=4, alpha=16, lr=0.1, batch=32, epochs=5).fit(d.filter("train"))
+    hit = m.predict(d.filter("not train")).join(d.select(F.col("key").cast("string").alias("key"), "y"), "key").agg(F.avg((F.col("answer") == F.col("y")).cast("double"))).first()[0]
+    return spark.createDataFrame([*[(k, float(v)) for k, v in m.log], (-1, float(hit or 0.0))], "epoch int, loss double")
 
 
 @query("controllability_grid")
 def controllability_grid(spark, sf):
-    return P.controllability(P.laplacian(P.topologies(spark)))
+    return P.controllability(P.laplacian(P.topologies(spark, randoms=5, roles=True)))
 
 
 @query("agent_trajectories")
 def agent_trajectories(spark, sf):
-    starts = spark.createDataFrame([(0, [1.0, 0.0, 0.0, 0.0, 0.0]), (1, [1.0, -1.0, 2.0, 0.5, -0.5])], "x0_id int, x0 array<double>")
-    return P.settle_time(P.simulate_agents(P.laplacian(P.topologies(spark)), starts))
+    """Steps until each agent stays near its last value, from twenty starts, under central and under decentral control."""
+    starts = spark.range(20).select(F.col("id").cast("int").alias("x0_id"), F.transform(F.sequence(F.lit(0), F.lit(4)), lambda j: 4 * hash_uniform(F.col("id"), j, seed="start") - 2).alias("x0"))
+    lap, out = P.laplacian(P.topologies(spark, randoms=5, roles=True)), None
+    for control in ("central", "decentral"):
+        one = P.settle_time(P.simulate_agents(lap, starts, control=control)).withColumn("control", F.lit(control))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query("role_laplacian", """WITH t AS (SELECT role AS a, lead(role) OVER (PARTITION BY conv_id ORDER BY turn) AS b FROM conversations), w AS (SELECT a, b, count(*)::DOUBLE AS w FROM t WHERE b IS NOT NULL AND a <> b GROUP BY ALL)
