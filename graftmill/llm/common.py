@@ -1,5 +1,6 @@
 """What the operators share: table access, the shared folder, Arrow mapping, per-process caches."""
 
+import ctypes
 import gc
 import sys
 import uuid
@@ -75,6 +76,14 @@ def process_cache(name: str) -> dict:
     return caches.setdefault(name, {})
 
 
+def tidy() -> None:
+    """Give freed memory back to the system, so that a worker that waits or goes on with something else does not hold the peak of its last batch."""
+    pa.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # where the C library has it
+    if trim is not None:
+        trim(0)
+
+
 def arrow_map(df: DataFrame, per_batch, schema: str, rows: int | None = None) -> DataFrame:
     """mapInArrow with a function from a RecordBatch (of at most ``rows`` rows) to a dict of columns (or None)."""
     from pyspark.sql.types import StructType
@@ -88,6 +97,7 @@ def arrow_map(df: DataFrame, per_batch, schema: str, rows: int | None = None) ->
                 continue
             for at in range(0, batch.num_rows, rows or batch.num_rows):
                 yield from pieces(per_batch(batch.slice(at, rows)))
+            tidy()
 
     def pieces(made):
         if made is None:

@@ -245,6 +245,7 @@ def write_ids(docs: DataFrame, vocabulary: str, path: str, *, end_id: int = 2, s
                 size += n
         if keys:
             yield made()
+        common.tidy()
 
     ordered.mapInArrow(run, schema).write.parquet(path)
 

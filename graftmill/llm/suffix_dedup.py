@@ -49,7 +49,7 @@ SYMBOL = 16
 #: Distinct contexts of one anchor on one side of a task.
 GROUP = 8192
 #: Contexts merged at a time, and of one shard.
-CHUNK, SHARD = 16_384, 4096
+CHUNK, SHARD = 8192, 2048
 #: Texts whose contexts are held at a time.
 ROWS = 256
 #: Window starts taken at a time in a very long text.
@@ -138,6 +138,8 @@ def word_spans(text: str) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     new = solid.copy()
     new[1:] &= ~solid[:-1] | (kind[1:] == LONE) | (kind[:-1] == LONE) & (kind[1:] != MARK)
     start = np.flatnonzero(new)
+    if not len(start):
+        return start, start, kind
     last = np.flatnonzero(solid)
     return start, last[np.searchsorted(last, np.append(start[1:], len(text))) - 1] + 1, kind
 
@@ -333,6 +335,7 @@ def merged_ranges(sent: DataFrame, length: int) -> DataFrame:
             close()
         if out:
             yield batch_of()
+        common.tidy()
 
     return dealt.mapInArrow(run, schema)
 
@@ -402,41 +405,52 @@ def without_words(text: str, ranges: list, words: int) -> str:
     return "".join([*parts, text[at:]])
 
 
-def with_ranges(docs: DataFrame, ranges: DataFrame, name: str) -> tuple[DataFrame, DataFrame]:
-    """(rows that surely have no ranges, the others with their ranges or null in column ``name``). Only the others are exchanged."""
+def with_ranges(docs: DataFrame, ranges: DataFrame, name: str, free, schema) -> tuple[DataFrame, DataFrame]:
+    """(what the function free makes of batches of rows that surely have no ranges, the other rows with their ranges or null in column ``name``).
+
+    Only the others are exchanged.
+    """
     key, doc = common.spare(docs, "key"), common.spare(docs, "doc")
     ranges = common.stored(ranges, "ranges")
     some = sketch(ranges.select("key"))
     keyed_docs = docs.withColumn(key, F.xxhash64("doc_id", "text"))
 
-    def those(wanted: bool) -> DataFrame:
+    def those(wanted: bool):
         def run(batches):
             for batch in batches:
                 hit = passes(some, common.column_of(batch, key).to_numpy())
-                yield batch.filter(pa.array(hit if wanted else ~hit))
+                batch = batch.filter(pa.array(hit if wanted else ~hit))
+                yield batch if wanted else free(batch.select([c for c in batch.schema.names if c != key]))
+            common.tidy()
 
-        return keyed_docs.mapInArrow(run, keyed_docs.schema)
+        return run
 
     r = ranges.select(F.col("doc_id").alias(doc), F.col("key").alias(f"{key}2"), F.col("ranges").alias(name))
-    joined = those(True).join(r, F.col("doc_id").eqNullSafe(F.col(doc)) & (F.col(key) == F.col(f"{key}2")), "left").drop(doc, f"{key}2", key)
-    return those(False).drop(key), joined
+    joined = keyed_docs.mapInArrow(those(True), keyed_docs.schema).join(r, F.col("doc_id").eqNullSafe(F.col(doc)) & (F.col(key) == F.col(f"{key}2")), "left").drop(doc, f"{key}2", key)
+    return keyed_docs.mapInArrow(those(False), schema), joined
+
+
+REPORT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
 def removal_report(docs: DataFrame, **options) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 for every row."""
 
-    def run(batch: pa.RecordBatch):
+    def report(batch: pa.RecordBatch, ranges: list):
         out = {k: [] for k in ("n_bytes", "n_removed", "n_spans", "kept_sha256")}
-        for data, ranges in zip(common.column_of(batch, "data").to_pylist(), common.column_of(batch, "ranges").to_pylist(), strict=True):
-            data, cut = data or b"", spans(ranges)
+        for text, r in zip(common.texts_of(batch), ranges, strict=True):
+            data, cut = (text or "").encode("utf-8", "surrogatepass"), spans(r)
             for k, v in zip(out, (len(data), sum(e - s for s, e in cut), len(cut), hashlib.sha256(without(data, cut)).hexdigest()), strict=True):
                 out[k].append(v)
-        return out | {"doc_id": common.column_of(batch, "doc_id")}
+        return {"doc_id": common.column_of(batch, "doc_id")} | out
+
+    def free(batch: pa.RecordBatch) -> pa.RecordBatch:
+        made = report(batch, [None] * batch.num_rows)
+        return pa.RecordBatch.from_arrays([pa.array(v, pa.string() if k == "kept_sha256" else pa.int64()) for k, v in made.items()], names=list(made))
 
     docs = docs.select("doc_id", "text")
-    free, joined = with_ranges(docs, repeated_ranges(docs, **options), "ranges")
-    both = free.withColumn("ranges", F.lit(None).cast(joined.schema["ranges"].dataType)).unionByName(joined)
-    return common.arrow_map(both.select("doc_id", F.col("text").cast("binary").alias("data"), "ranges"), run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    without_ranges, joined = with_ranges(docs, repeated_ranges(docs, **options), "ranges", free, REPORT)
+    return without_ranges.unionByName(common.arrow_map(joined, lambda batch: report(batch, common.column_of(batch, "ranges").to_pylist()), REPORT))
 
 
 def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> DataFrame:
@@ -445,7 +459,7 @@ def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> Dat
     n_chars is counted anew, rows left without a word go. A character of which some bytes go is dropped whole. Rows that lose nothing are kept as they are, empty ones too.
     """
     names, schema, mark = docs.columns, docs.schema, common.spare(docs, "ranges")
-    free, joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), words=words, **options), mark)
+    whole, joined = with_ranges(docs, repeated_ranges(docs.select("doc_id", "text"), words=words, **options), mark, lambda batch: batch, schema)
 
     def run(batches):
         for batch in batches:
@@ -468,8 +482,9 @@ def drop_repeats(docs: DataFrame, *, words: int | None = None, **options) -> Dat
                 counts = [len(t) if r else o for t, r, o in zip(texts, ranges, old, strict=True)]
                 batch = batch.set_column(at, batch.schema.field(at), pa.array(counts, batch.schema.field(at).type))
             yield batch.filter(pa.array(keep, pa.bool_()))
+        common.tidy()
 
-    return free.unionByName(joined.mapInArrow(run, schema).select(*names))
+    return whole.unionByName(joined.mapInArrow(run, schema).select(*names))
 
 
 def op8_suffix_dedup(spark, sf_dir):

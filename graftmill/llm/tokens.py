@@ -19,14 +19,14 @@ import pyarrow.compute as pc
 from . import common
 
 #: Chunks kept by a worker. Common ones come early; beyond this number new ones are encoded each time, which only costs time.
-CACHE_CHUNKS = 800_000
+CACHE_CHUNKS = 300_000
 #: Byte-level vocabularies write each byte as a printable letter: printable Latin-1 as itself, the rest from U+0100 on.
 _PLAIN = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
 BYTE_LETTERS = {b: b for b in _PLAIN} | {b: 256 + i for i, b in enumerate(b for b in range(256) if b not in _PLAIN)}
 BYTE_SPACE = chr(BYTE_LETTERS[32])
 PUNCTUATION = frozenset(".,;:!?")
 #: Text taken at a time.
-SLICE_BYTES = 8_000_000
+SLICE_BYTES = 3_000_000
 
 assert sys.byteorder == "little"
 

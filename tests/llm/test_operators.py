@@ -536,3 +536,168 @@ def test_pipeline_against_its_parts(spark, odd, sf):
 
 def test_ten_queries_are_registered():
     assert sorted(int(n[2:].split("_")[0]) for n in llm_queries.QUERIES) == list(range(1, 11))
+
+
+# Cases of round 2 ----------------------------------------------------------------------------------------------------
+
+
+@pytest.mark.parametrize("source,text", [
+    ("<table><tr><td rowspan=2>A<td>b<tr><td>c</table>", "A  b\n   c"), ("<table><tr><td>x<td rowspan=0>T<tr><td>y<tr><td>z<td>w</table>", "x  T\ny\nz     w"),
+    ("<div style='visibility:hidden'>no<b style='visibility: visible'>yes</b>no</div>", "yes"), ("<p style='visibility:hidden'>a<span>b</span></p>c", "c"),
+    ("<object>shown</object> <canvas>drawn</canvas>", "shown drawn"), ("<table><tr><td colspan=5000>wide<tr><td>a<td>b</table>", "wide\na  b"),
+    ("<ul><li style='visibility:hidden'>x<li>y</ul>", "- y"), ("<table><tr><td rowspan=x>a<td colspan=-3>b</table>", "a  b"),
+])
+def test_op10_spans_visibility_and_fallback(source, text):
+    assert html_text.visible_text(source) == text
+
+
+def test_op10_time_grows_with_the_page_not_its_square():
+    import time
+
+    def took(n):
+        began = time.process_time()
+        html_text.visible_text("<div><svg><g></g></svg><p>x" * n + "</div></b></li>" * n)
+        return time.process_time() - began
+
+    took(200)
+    assert took(16_000) < 12 * took(4_000) + 0.5
+
+
+def slow_text(tree) -> str:
+    """Independent rendering of a tree of (tag, style, children) by folding a list of breaks and words."""
+    marks = []
+
+    def walk(node, seen):
+        if isinstance(node, str):
+            if seen:
+                marks.append(node)
+            return
+        tag, style, kids = node
+        if style == "display:none":
+            return
+        seen = seen if not style else style == "visibility:visible"
+        gap = {"p": 2, "div": 1, "section": 1, "span": 0, "h2": 2}[tag]
+        if gap:
+            marks.append(gap)
+        for kid in kids:
+            walk(kid, seen)
+        if gap:
+            marks.append(gap)
+
+    walk(tree, True)
+    out, pending = "", 0
+    for m in marks:
+        if isinstance(m, int):
+            pending = max(pending, m)
+        else:
+            out += "\n" * pending + m if out and pending else (" " + m if out else m)
+            pending = 0
+    return out
+
+
+def test_op10_equals_an_independent_renderer():
+    rng = random.Random(11)
+
+    def tree(depth):
+        kids, word = [], False
+        for _ in range(rng.randint(1, 4)):
+            if depth and rng.random() < 0.6:
+                kids.append(tree(depth - 1))
+                word = False
+            elif not word:
+                kids.append(rng.choice(["ab", "cd", "xyz"]))
+                word = True
+        return rng.choice(["div", "section", "span", "h2"] if depth else ["p", "div", "span"]), rng.choice([None] * 6 + ["display:none", "visibility:hidden", "visibility:visible"]), kids
+
+    def markup(node):
+        if isinstance(node, str):
+            return f" {node} "
+        tag, style, kids = node
+        return f"<{tag}{f' style={chr(34)}{style}{chr(34)}' if style else ''}>{''.join(map(markup, kids))}</{tag}>"
+
+    def nested_heading(node, inside=False):
+        return not isinstance(node, str) and (inside and node[0] == "h2" or any(nested_heading(k, inside or node[0] == "h2") for k in node[2]))
+
+    checked = 0
+    for _ in range(600):
+        t = tree(3)
+        if not nested_heading(t):
+            checked += 1
+            assert html_text.visible_text(markup(t)) == slow_text(t), markup(t)
+    assert checked > 100
+
+
+def test_op4_letters_of_every_plane_and_argmin(spark):
+    a, b = [i for i in range(20) if zlib.crc32(str(i).encode()) % 3 != 1][:2]
+    docs = spark.createDataFrame([(a, "a" * 50 + " abba", "en", "s", 1), (b, "zz zy yz", "de", "s", 1), (20, "\U00030010" * 20, None, "s", 1)], SCHEMA)
+    model = langid.fit(docs)
+    got = {r["doc_id"]: r["lang_pred"] for r in langid.identify(docs, model).collect()}
+    assert got[20] in ("en", "de") and got[a] == "en" and got[b] == "de"
+    assert langid.keep_identified(docs.drop("lang"), model=model).count() == 3
+
+
+def test_op5_a_step_is_taken_only_if_it_fills_and_none_is_missed():
+    rng = random.Random(2)
+    for _ in range(40):
+        lengths = np.array([rng.randint(1, 60) for _ in range(rng.randint(2, 40))])
+        start = packing.best_fit(lengths, 64)
+        bins = packing.local_search(lengths, start, 64, 50)
+        assert sorted(i for b in bins for i in b) == list(range(len(lengths)))
+        fills = [int(lengths[b].sum()) for b in bins]
+        assert max(fills) <= 64 and sum(f * f for f in fills) >= sum(int(lengths[b].sum()) ** 2 for b in start)
+        if len(bins) > -(-int(lengths.sum()) // 64):  # no move, one-for-one or two-for-one exchange is left that raises the sum of squares
+            for a in range(len(bins)):
+                for b in range(len(bins)):
+                    if a == b:
+                        continue
+                    for i in bins[a]:
+                        n = int(lengths[i])
+                        for give in [[], *[[j] for j in bins[b]], *[[j, k] for x, j in enumerate(bins[b]) for k in bins[b][x + 1:]]]:
+                            gain = n - int(lengths[give].sum()) if give else n
+                            if 0 < gain <= 64 - fills[b]:
+                                assert fills[b] + gain <= fills[a] or len(give) and min(give) >= 0 and fills[b] + gain <= fills[a], (fills, n, give)
+
+
+def test_op9_repeated_ids_are_dealt_over_blocks(spark):
+    docs = spark.createDataFrame([(None, f"w{i} x y", "en", "a", 1) for i in range(64)], SCHEMA).coalesce(1)
+    assert lm_score.gathered(docs, 8).select("block").distinct().count() == 8
+
+
+def test_op2_and_filters_with_clashing_columns(odd):
+    clash = odd.withColumn("__rate", F.lit(1)).withColumn("__copies", F.lit(2)).withColumn("__cdf", F.lit(3)).withColumn("__keep", F.lit(4)).withColumn("__text", F.lit(5)).withColumn("__key", F.lit(6)).withColumn("__ranges", F.lit(7)).withColumn("__doc", F.lit(8))
+    assert sorted(mixing.mix_sources(clash).columns) == sorted([*clash.drop("copy").columns, "copy", "shuffle_key"])
+    assert near_dup.drop_near_duplicates(clash).columns == clash.columns
+    assert suffix_dedup.drop_repeats(clash, words=51).columns == clash.columns
+
+
+def test_op8_sketch_lets_all_through_that_it_should(spark, monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "FILTER_BITS", 12)
+    rng = np.random.default_rng(3)
+    own, other = rng.integers(-2**62, 2**62, 300), rng.integers(-2**62, 2**62, 4000)
+    shared = suffix_dedup.sketch(spark.createDataFrame([(int(x),) for x in own], "h long"))
+    assert suffix_dedup.passes(shared, own).all() and suffix_dedup.passes(shared, other).mean() < 0.2
+
+
+def test_pipeline_run_on_odd_and_empty_documents(spark, odd, tmp_path):
+    import corpus_pipeline
+
+    vocabulary = tokens.vocabulary("word_bpe_49k.json")
+    for name, df in (("odd", odd.drop("copy")), ("empty", odd.drop("copy").limit(0))):
+        df.write.parquet(f"{tmp_path}/{name}/documents.parquet")
+        got = corpus_pipeline.run(spark, f"{tmp_path}/{name}")
+        assert {"doc_id", "piece", "start", "length", "ids_crc32", "sequence_id", "offset"} <= set(got.columns)
+        if name == "empty":
+            assert got.count() == 0
+    # The stages again by plain code: language, one of each class, repeats by words, draws; then the pieces of what is left.
+    rows = [r.asDict() for r in langid.keep_identified(odd.drop("copy")).collect()]
+    assert all(r["text"] and any(map(str.isalpha, r["text"])) for r in rows)
+    classes = {(d, c) for d, c, _ in brute_links([(r["doc_id"], r["text"]) for r in rows])}
+    firsts = {d for d, c in classes if d == c}
+    left = suffix_dedup.drop_repeats(common.stored(spark.createDataFrame([tuple(r.values()) for r in rows if r["doc_id"] in firsts], odd.drop("copy").schema).dropDuplicates(["doc_id", "text"]), "firsts"), words=51)
+    want = Counter()
+    tok = tokens.loaded(vocabulary)
+    for r in mixing.mix_sources(left).collect():
+        n = len(tok.encode(r["text"] or "", add_special_tokens=False).ids) + 1
+        want.update((r["doc_id"], k, min(4096, n - at)) for k, at in enumerate(range(0, n, 4096)))
+    got = corpus_pipeline.run(spark, f"{tmp_path}/odd")
+    assert Counter((r["doc_id"], r["piece"], r["length"]) for r in got.collect()) == want
