@@ -7,6 +7,7 @@ import uuid
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,6 +35,22 @@ def stored(df: DataFrame, what: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+#: Keys that a join without exchange takes at most.
+HEAVY_KEYS = 100_000
+
+
+def met(left: DataFrame, right: DataFrame, on: list[str], rows: str, total: int, floor: int) -> DataFrame:
+    """The inner join of left with right, which holds each key once, with the number of its rows in left in the column ``rows``.
+
+    Keys with more than floor rows, and more than a HEAVY_KEYS-th of all ``total`` rows of left, of which there are fewer than HEAVY_KEYS, are broadcast; so no
+    task of the exchange gets the rows of a heavy key. The column ``rows`` stays.
+    """
+    bar = max(floor, total // HEAVY_KEYS)
+    heavy = F.broadcast(right.filter(F.col(rows) > bar))
+    light = left.join(F.broadcast(right.filter(F.col(rows) > bar).select(*on)), on, "left_anti").join(right.filter(F.col(rows) <= bar), on)
+    return left.join(heavy, on).unionByName(light)
+
+
 def spare(df: DataFrame, name: str) -> str:
     """A column name that df does not have, in any case of letters."""
     taken = {c.lower() for c in df.columns}

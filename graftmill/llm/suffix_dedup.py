@@ -21,8 +21,8 @@ sketch (FILTER_BITS bits, one for each hash). A sketch only lets too much throug
 decided exactly afterwards (counts by anchor, equality of digests, the join), or does no harm: in step 4 another copy of a context
 or a context of a unique anchor adds no window that does not repeat. So a full sketch costs time, not results.
 
-An anchor with more than GROUP distinct contexts is dealt in blocks, one task for each pair of blocks, so no task
-grows with a hot passage and none of it is dropped.
+An anchor with more than GROUP distinct contexts is dealt in blocks, one task for each pair of blocks; the contexts of a digest or an anchor with
+very many meet its count in a broadcast of bounded size. So no task grows with a hot passage and none of it is dropped.
 
 By words. drop_repeats(words=n) removes every run of n words that starts anywhere else too, however few bytes it has. Each word
 becomes a code of WORD bytes (a hash of its characters without punctuation at either end) and the steps above run on the
@@ -359,10 +359,10 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
     often = sketch(anchors.groupBy("fp").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select("fp"))
     found = common.stored(listed_contexts(docs, often, length, gram, by_word), "contexts")
     often.destroy()
-    distinct = found.groupBy("fp", "digest").agg(F.count(F.lit(1)).alias("c"), F.min("u").alias("u"))
-    whole = found.join(distinct.filter("c > 1").select("fp", "digest"), ["fp", "digest"], "left_semi").select("doc_id", "key", "s", "e")
+    distinct = common.stored(found.groupBy("fp", "digest").agg(F.count(F.lit(1)).alias("c"), F.min("u").alias("u")), "distinct")
+    whole = common.met(found, distinct.filter("c > 1").select("fp", "digest", "c"), ["fp", "digest"], "c", found.count(), group).select("doc_id", "key", "s", "e")
     kinds = distinct.groupBy("fp").agg(F.count(F.lit(1)).alias("kinds")).filter("kinds > 1")
-    some = common.stored(distinct.join(kinds, "fp").select("u", "fp", "kinds"), "several")
+    some = common.stored(common.met(distinct.select("u", "fp"), kinds, ["fp"], "kinds", distinct.count(), group), "several")
     sent = sent_contexts(docs, sketch(some.select("u")), length, gram, by_word)
     hot = some.filter(F.col("kinds") > group).groupBy("fp").agg(F.ceil(F.first("kinds") / group).cast("int").alias("nb"))
     if hot.count() <= HOT_ANCHORS:
@@ -371,7 +371,7 @@ def repeated_ranges(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM,
     sent = sent.withColumn("blk", F.pmod(F.col("u"), F.col("nb")).cast("int")).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)))
     sent = sent.select("fp", F.least("blk", "o").alias("lo"), F.greatest("blk", "o").alias("hi"), "doc_id", "key", "start", "windows", "place", "data")
     fine = merged_ranges(sent, length)
-    return whole.unionByName(fine).groupBy("doc_id", "key").agg(F.collect_list(F.struct("s", "e")).alias("ranges"))
+    return whole.unionByName(fine).groupBy("doc_id", "key").agg(F.collect_set(F.struct("s", "e")).alias("ranges"))
 
 
 def spans(ranges: list | None) -> list[tuple[int, int]]:

@@ -701,3 +701,12 @@ def test_pipeline_run_on_odd_and_empty_documents(spark, odd, tmp_path):
         want.update((r["doc_id"], k, min(4096, n - at)) for k, at in enumerate(range(0, n, 4096)))
     got = corpus_pipeline.run(spark, f"{tmp_path}/odd")
     assert Counter((r["doc_id"], r["piece"], r["length"]) for r in got.collect()) == want
+
+
+def test_met_is_the_inner_join_and_broadcasts_heavy_keys(spark):
+    left = spark.createDataFrame([(k % 3 if k < 90 else k, k) for k in range(120)] + [(None, 500)], "k long, x long")
+    right = left.filter("k is not null").groupBy("k").count().withColumnRenamed("count", "c")
+    got = common.met(left, right.filter("k <> 2"), ["k"], "c", 121, 10)
+    want = [(k % 3 if k < 90 else k, k, 30 if k < 90 else 1) for k in range(120)]
+    assert sorted(tuple(r) for r in got.select("k", "x", "c").collect()) == sorted(w for w in want if w[0] != 2)
+    assert common.met(left.limit(0), right.limit(0), ["k"], "c", 0, 10).count() == 0
