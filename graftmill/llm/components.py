@@ -11,18 +11,22 @@ def signature(edges: DataFrame) -> tuple:
     return r["n"], r["s"]
 
 
+#: Neighbours of a centre that one task may get.
+STAR = 1000
+
+
 def connected_components(edges: DataFrame, *, max_rounds: int = 60) -> DataFrame:
     """(node, comp) for every node of the edges (u, v), both bigint; comp is the smallest node of the component.
 
-    Every round is an aggregate and a join on the node, written to the shared folder; star centres with very many
-    neighbours are pre-aggregated by the aggregate and split by the adaptive join.
+    Every round is an aggregate and a join on the node, written to the shared folder; the least neighbour of a star centre with
+    more than STAR neighbours reaches them by a broadcast of bounded size.
     """
     cur = common.stored(edges.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges")
     seen = signature(cur)
     for _ in range(max_rounds):
         both = cur.unionByName(cur.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        low = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(low, "u").filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        low = both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("c")).select("u", F.least("u", "m").alias("m"), "c")
+        large = common.met(both, low, ["u"], "c", 2 * seen[0], STAR).filter("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(low, "u").select(F.explode(F.array(F.struct("u", F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").filter("u <> v").distinct()
         cur = common.stored(small, "edges")

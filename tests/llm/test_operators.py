@@ -710,3 +710,10 @@ def test_met_is_the_inner_join_and_broadcasts_heavy_keys(spark):
     want = [(k % 3 if k < 90 else k, k, 30 if k < 90 else 1) for k in range(120)]
     assert sorted(tuple(r) for r in got.select("k", "x", "c").collect()) == sorted(w for w in want if w[0] != 2)
     assert common.met(left.limit(0), right.limit(0), ["k"], "c", 0, 10).count() == 0
+
+
+def test_components_of_stars_and_chains(spark):
+    edges = [(5000 + i, 7) for i in range(1500)] + [(5000, 3)] + [(i, i + 1) for i in range(100, 140)] + [(900, 900)]
+    got = {r["node"]: r["comp"] for r in near_dup.connected_components(spark.createDataFrame(edges, "u long, v long")).collect()}
+    assert got == {n: 3 for n in [3, 7, *range(5000, 6500)]} | {n: 100 for n in range(100, 141)}
+    assert near_dup.connected_components(spark.createDataFrame([], "u long, v long")).count() == 0
