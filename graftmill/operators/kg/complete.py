@@ -25,20 +25,6 @@ def by_prior(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
     return probes.select("h", "r").distinct().join(top, "r").select("h", "r", "t", "score", "rank")
 
 
-def heads_by_tail(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
-    """r, t, h, score, rank: for (?, r, t) the k heads that go with the tail in most other relations' triples, or in none (ties by name).
-
-    probes: r, t. Candidates are the heads that have the relation's kind and lack the relation; a tail's candidates are counted, not listed, beyond k.
-    """
-    kind = F.substring_index("h", ":", 1)
-    want = probes.select("r", "t").distinct()
-    kinds = kg.select("r", kind.alias("kind")).distinct()
-    near = kg.select(F.col("h").alias("h2"), F.col("r").alias("r2"), "t").join(want, "t").filter("r2 <> r").select("r", "t", F.col("h2").alias("h"))
-    n = near.join(kinds, "r").filter(kind == F.col("kind")).groupBy("r", "t", "h").agg(F.count(F.lit(1)).cast("double").alias("score"))
-    w = Window.partitionBy("r", "t").orderBy(F.desc("score"), "h")
-    return n.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
-
-
 def relations_by_kind(kg: DataFrame, probes: DataFrame) -> DataFrame:
     """h, t, r, score, rank: for (h, ?, t) the relations by how often they join the kinds of the two ends."""
     ends = lambda df: df.withColumn("kh", F.substring_index("h", ":", 1)).withColumn("kt", F.substring_index("t", ":", 1))
@@ -47,17 +33,47 @@ def relations_by_kind(kg: DataFrame, probes: DataFrame) -> DataFrame:
     return ends(probes.select("h", "t").distinct()).join(n.withColumn("rank", F.row_number().over(w)), ["kh", "kt"]).select("h", "t", "r", "score", "rank")
 
 
-def by_neighbours(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
-    """Tails of heads that share an attribute with the probe's head, weighted by how often the attribute goes with the tail.
+def counts_by_attribute(kg: DataFrame, asked: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(h, r2, t2 of every triple; r, t, r2, t2, n): how many heads with the attribute (r2, t2) have the tail, for the relations in asked. Heads are never paired with heads."""
+    attr = kg.select("h", F.col("r").alias("r2"), F.col("t").alias("t2"))
+    goal = kg.join(asked.select("r").distinct(), "r", "left_semi")
+    return attr, goal.join(attr, "h").filter("r <> r2").groupBy("r", "t", "r2", "t2").agg(F.count(F.lit(1)).alias("n"))
 
-    Attributes are counted against tails first, so heads are never paired with heads.
-    """
-    attr = kg.select(F.col("h"), F.col("r").alias("r2"), F.col("t").alias("t2"))
-    goal = kg.join(probes.select("r").distinct(), "r", "left_semi")
-    n = goal.join(attr, "h").filter("r <> r2").groupBy("r", "t", "r2", "t2").agg(F.count(F.lit(1)).alias("n"))
+
+def votes(kg: DataFrame, asked: DataFrame) -> DataFrame:
+    """h, r, t, score: tails for the asked (h, r) by heads that share an attribute, weighted by how often the attribute goes with the tail."""
+    attr, n = counts_by_attribute(kg, asked)
     size = n.groupBy("r", "r2", "t2").agg(F.sum("n").alias("all"))
     share = n.join(size, ["r", "r2", "t2"]).select("r", "t", "r2", "t2", (F.col("n") / F.col("all")).alias("p"))
-    s = probes.select("h", "r").distinct().join(attr, "h").filter("r <> r2").join(share, ["r", "r2", "t2"]).groupBy("h", "r", "t").agg(F.round(F.sum("p"), 6).alias("score"))
+    return asked.select("h", "r").distinct().join(attr, "h").filter("r <> r2").join(share, ["r", "r2", "t2"]).groupBy("h", "r", "t").agg(F.round(F.sum("p"), 6).alias("score"))
+
+
+def by_neighbours(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
+    """The k tails of each probe (h, r, ?) with most votes."""
+    return ranked(votes(kg, probes), k)
+
+
+def heads_by_neighbours(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
+    """r, t, h, score, rank: for (?, r, t) the k heads with most votes for t, among the entities of the relation's kinds that lack the relation.
+
+    probes: r, t. A tail for which no such head has a vote gets no row.
+    """
+    kind = F.substring_index("h", ":", 1).alias("kind")
+    want = probes.select("r", "t").distinct()
+    kinds = kg.join(want.select("r").distinct(), "r", "left_semi").select("r", kind).distinct()
+    lack = kg.select("h", kind).distinct().join(kinds, "kind").select("h", "r").join(kg.select("h", "r"), ["h", "r"], "left_anti")
+    w = Window.partitionBy("r", "t").orderBy(F.desc("score"), "h")
+    return votes(kg, lack).join(want, ["r", "t"]).withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).select("r", "t", "h", "score", "rank")
+
+
+def by_vectors(kg: DataFrame, probes: DataFrame, *, k: int = 10) -> DataFrame:
+    """Tails by the cosine of two sparse vectors over attributes: the head's own, and the sum of those of the heads that have the tail."""
+    attr, n = counts_by_attribute(kg, probes)
+    norm = n.groupBy("r", "t").agg(F.sum(F.col("n") * F.col("n")).alias("nn"))
+    mine = probes.select("h", "r").distinct().join(attr, "h").filter("r <> r2")
+    own = mine.groupBy("h", "r").agg(F.count(F.lit(1)).alias("m"))
+    dot = mine.join(n, ["r", "r2", "t2"]).groupBy("h", "r", "t").agg(F.sum("n").alias("dot"))
+    s = dot.join(norm, ["r", "t"]).join(own, ["h", "r"]).select("h", "r", "t", F.round(F.col("dot") / F.sqrt((F.col("nn") * F.col("m")).cast("double")), 9).alias("score"))
     return ranked(s, k)
 
 

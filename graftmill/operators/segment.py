@@ -17,6 +17,7 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 DIM, GRAM, WINDOW, MAX_TOKENS, MIN_SENTENCES = 384, 2, 8, 512, 2
 TAU = (1, 2)
@@ -52,6 +53,50 @@ class HashEncoder:
         return out
 
 
+class TfidfEncoder(HashEncoder):
+    """Counts of words in buckets, each times the logarithm of how rare its bucket is; ``fit`` counts the documents of every bucket, so the model has ``dim`` numbers at any size."""
+
+    def __init__(self, weights: np.ndarray):
+        super().__init__(len(weights), 1, "word")
+        self.weights = np.asarray(weights, np.float64)
+
+    @classmethod
+    def fit(cls, docs: DataFrame, dim: int = DIM) -> "TfidfEncoder":
+        words = F.array_remove(F.array_distinct(F.split(F.lower("text"), " ")), "")
+        bucket = F.transform(words, lambda w: (F.conv(F.substring(F.md5(w), 1, 8), 16, 10).cast("long") % dim).cast("int"))
+        hit = docs.select(F.explode(F.array_distinct(bucket)).alias("b")).groupBy("b").count()
+        total, df = docs.count(), np.zeros(dim)
+        for b, n in hit.collect():  # one row a bucket: dim at most
+            df[b] = n
+        return cls(np.log((1 + total) / (1 + df)) + 1)
+
+    def encode(self, texts: list[str]) -> np.ndarray:
+        return super().encode(texts) * self.weights
+
+
+class LookupEncoder:
+    """The sum of given word vectors; a word that has none adds nothing, so a text without known words is a zero vector and like no other.
+
+    The table travels with every task and must stay below MOST words.
+    """
+
+    MOST = 200_000
+
+    def __init__(self, vectors: dict[str, list[float]]):
+        if not vectors or len(vectors) > self.MOST or len({len(v) for v in vectors.values()}) != 1:
+            raise ValueError(f"1 to {self.MOST} vectors of one length are needed")
+        self.vectors = {w.lower(): np.asarray(v, np.float64) for w, v in vectors.items()}
+        self.dim = len(next(iter(self.vectors.values())))
+
+    def encode(self, texts: list[str]) -> np.ndarray:
+        out = np.zeros((len(texts), self.dim))
+        for row, t in enumerate(texts):
+            for w in t.lower().split(" "):
+                if w in self.vectors:
+                    out[row] += self.vectors[w]
+        return out
+
+
 def split_sentences(text) -> list[str]:
     out = [""]
     for c in text or "":
@@ -159,7 +204,7 @@ def hard_split(sentences: list[str], most: int) -> list[str]:
     return out
 
 
-def segment(docs: DataFrame, *, mode: str = "windowed", w: int = WINDOW, tau=TAU, strict: bool = False, min_sents: int = MIN_SENTENCES, max_tokens: int = MAX_TOKENS, short_policy: str = "attach_prev", cap_how: str = "greedy", encoder: HashEncoder | None = None, limits: bool = True) -> DataFrame:
+def segment(docs: DataFrame, *, mode: str = "windowed", w: int = WINDOW, tau=TAU, strict: bool = False, min_sents: int = MIN_SENTENCES, max_tokens: int = MAX_TOKENS, short_policy: str = "attach_prev", cap_how: str = "greedy", encoder: HashEncoder | LookupEncoder | None = None, limits: bool = True) -> DataFrame:
     """doc_id, seg_no, first_sent, last_sent, n_sents, n_tok, cap_orphan, text of each segment.
 
     limits=False gives the bare groups of the mode. A segment that the cap leaves with fewer than min_sents sentences is marked cap_orphan.
@@ -191,7 +236,7 @@ def segment(docs: DataFrame, *, mode: str = "windowed", w: int = WINDOW, tau=TAU
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, seg_no int, first_sent int, last_sent int, n_sents int, n_tok long, cap_orphan boolean, text string")
 
 
-def similarity_flags(docs: DataFrame, *, w: int = WINDOW, tau=TAU, encoder: HashEncoder | None = None) -> DataFrame:
+def similarity_flags(docs: DataFrame, *, w: int = WINDOW, tau=TAU, encoder: HashEncoder | LookupEncoder | None = None) -> DataFrame:
     """doc_id, sent_no, latest: nearest alike sentence among the w - 1 before (-1: none)."""
     encoder = encoder or HashEncoder()
 
@@ -211,7 +256,7 @@ def similarity_flags(docs: DataFrame, *, w: int = WINDOW, tau=TAU, encoder: Hash
 
 
 def encoded(docs: DataFrame, *, encoder: HashEncoder | None = None) -> DataFrame:
-    """Sparse encodings: doc_id, sent_no, bucket, n."""
+    """Sparse encodings of an encoder that counts: doc_id, sent_no, bucket, n."""
     encoder = encoder or HashEncoder()
 
     def run(batches):

@@ -298,6 +298,32 @@ def kgc_neighbor(spark, sf):
     return M.ranking_metrics(probes, M.by_neighbours(rest, probes))
 
 
+@query("kgc_heads", f"""WITH {ATTR}, {HIDE_SQL}, kd AS (SELECT DISTINCT r, split_part(h, ':', 1) AS kind FROM rest WHERE r IN (SELECT r FROM probe)),
+lack AS (SELECT e.h, kd.r FROM (SELECT DISTINCT h FROM rest) e JOIN kd ON kd.kind = split_part(e.h, ':', 1) WHERE (e.h, kd.r) NOT IN (SELECT (h, r) FROM rest)),
+n AS (SELECT g.r, g.t, a.r AS r2, a.t AS t2, count(*) AS n FROM rest g JOIN rest a ON a.h = g.h AND a.r <> g.r WHERE g.r IN (SELECT r FROM lack) GROUP BY ALL),
+sh AS (SELECT *, n::DOUBLE / sum(n) OVER (PARTITION BY r, r2, t2) AS p FROM n),
+s AS (SELECT q.h, q.r, sh.t, round(sum(p), 6) AS score FROM lack q JOIN rest a ON a.h = q.h AND a.r <> q.r JOIN sh ON sh.r = q.r AND sh.r2 = a.r AND sh.t2 = a.t GROUP BY ALL),
+k AS (SELECT s.*, row_number() OVER (PARTITION BY s.r, s.t ORDER BY score DESC, h) AS rank FROM s WHERE (s.r, s.t) IN (SELECT (r, t_gold) FROM probe))
+SELECT p.r, count(*) AS n, round(avg((coalesce(rank, 1000000) <= 10)::INT), 6) AS hits_10, round(avg(CASE WHEN rank <= 10 THEN 1.0 / rank ELSE 0 END), 6) AS mrr FROM probe p LEFT JOIN k ON k.h = p.h AND k.r = p.r AND k.t = p.t_gold GROUP BY p.r""")
+def kgc_heads(spark, sf):
+    """Hidden heads (?, r, t) by votes of shared attributes; a probe counts as a hit if its head is among the ten first for its tail."""
+    rest, probes = M.hide(K.kg_from_tables(spark, sf, K.ATTRIBUTES))
+    asked = probes.select("h", "r", F.col("t_gold").alias("t"))
+    got = asked.join(M.heads_by_neighbours(rest, asked), ["h", "r", "t"], "left")
+    return got.groupBy("r").agg(F.count(F.lit(1)).alias("n"), F.round(F.avg(F.col("rank").isNotNull().cast("double")), 6).alias("hits_10"), F.round(F.avg(F.coalesce(1.0 / F.col("rank"), F.lit(0.0))), 6).alias("mrr"))
+
+
+@query("kgc_vectors", f"""WITH {ATTR}, {HIDE_SQL}, n AS (SELECT g.r, g.t, a.r AS r2, a.t AS t2, count(*) AS n FROM rest g JOIN rest a ON a.h = g.h AND a.r <> g.r WHERE g.r IN (SELECT r FROM probe) GROUP BY ALL),
+nn AS (SELECT r, t, sum(n * n) AS nn FROM n GROUP BY ALL), mine AS (SELECT q.h, q.r, a.r AS r2, a.t AS t2 FROM (SELECT DISTINCT h, r FROM probe) q JOIN rest a ON a.h = q.h AND a.r <> q.r),
+own AS (SELECT h, r, count(*) AS m FROM mine GROUP BY ALL), dot AS (SELECT h, r, n.t, sum(n) AS dot FROM mine JOIN n USING (r, r2, t2) GROUP BY ALL),
+s AS (SELECT h, r, t, round(dot::DOUBLE / sqrt((nn * m)::DOUBLE), 9) AS score FROM dot JOIN nn USING (r, t) JOIN own USING (h, r)),
+ans AS (SELECT h, r, t, rank FROM (SELECT *, row_number() OVER (PARTITION BY h, r ORDER BY score DESC, t) AS rank FROM s) WHERE rank <= 10) {METRIC_SQL}""")
+def kgc_vectors(spark, sf):
+    """Hidden tails by the cosine of attribute vectors."""
+    rest, probes = M.hide(K.kg_from_tables(spark, sf, K.ATTRIBUTES))
+    return M.ranking_metrics(probes, M.by_vectors(rest, probes))
+
+
 @query("kgc_relations", f"""WITH {ATTR}, {HIDE_SQL}, n AS (SELECT split_part(h, ':', 1) AS kh, split_part(t, ':', 1) AS kt, r, count(*) AS n FROM rest GROUP BY ALL), k AS (SELECT *, row_number() OVER (PARTITION BY kh, kt ORDER BY n DESC, r) AS rank FROM n)
 SELECT p.r, count(*) AS n, round(avg((coalesce(rank, 1000000) = 1)::INT), 6) AS hits_1 FROM probe p LEFT JOIN k ON kh = split_part(p.h, ':', 1) AND kt = split_part(p.t_gold, ':', 1) AND k.r = p.r GROUP BY p.r""")
 def kgc_relations(spark, sf):

@@ -52,6 +52,23 @@ def test_m2_windowed_fold_equals_plain_loop():
         assert G.labels(x, "windowed", 8) == brute_windowed(x, 8)
 
 
+def test_m3_tfidf_and_lookup_encoders(spark):
+    docs = spark.createDataFrame([(1, "pump leaks. Pump stops"), (2, "pump runs"), (3, None), (4, "")], "doc_id long, text string")
+    e = G.TfidfEncoder.fit(docs, dim=4096)
+    assert e.weights[e.bucket("pump")] == pytest.approx(math.log(5 / 3) + 1) and e.weights[e.bucket("runs")] == pytest.approx(math.log(5 / 2) + 1)
+    x = e.encode(["Pump pump runs", ""])
+    assert x[0, e.bucket("pump")] == pytest.approx(2 * (math.log(5 / 3) + 1)) and not x[1].any()
+    look = G.LookupEncoder({"pump": [1.0, 0.0], "valve": [1.0, 0.1], "song": [0.0, 1.0]})
+    text = "The pump. A valve. A song. Silence"
+    one = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert [r.latest for r in G.similarity_flags(one, encoder=look).orderBy("sent_no").collect()] == [-1, 0, -1, -1]
+    assert [r.n_sents for r in G.segment(one, encoder=look, limits=False).orderBy("seg_no").collect()] == [2, 1, 1]
+    assert sum(r.n_sents for r in G.segment(docs, encoder=e, limits=False).collect()) == 3
+    for bad in ({}, {"a": [1.0], "b": [1.0, 2.0]}):
+        with pytest.raises(ValueError):
+            G.LookupEncoder(bad)
+
+
 def test_m2_modes_limits_and_edges(spark):
     assert G.split_sentences("a. b!\n c ?? ") == ["a", "b", "c"]
     assert G.join_short([[0], [1, 2], [3]], 2, "attach_prev") == [[0, 1, 2, 3]]
@@ -429,3 +446,12 @@ def test_local_nodes_raise_instead_of_stopping_early(spark):
     assert L.local_nodes(chain, seeds).count() == 7
     with pytest.raises(RuntimeError):
         L.local_nodes(chain, seeds, rounds=3)
+
+
+def test_g4_heads_and_vectors_on_a_small_graph(spark):
+    rows = [(f"c:{i}", "lives", "n:a" if i < 4 else "n:b") for i in range(7)] + [(f"c:{i}", "likes", "s:x" if i < 4 or i == 8 else "s:y") for i in range(9)] + [("n:a", "in", "r:1")]
+    kg = spark.createDataFrame(rows, "h string, r string, t string")  # c:7 likes what b likes, c:8 what a likes; neither lives anywhere
+    heads = {(r.t, r["rank"]): (r.h, r.score) for r in M.heads_by_neighbours(kg, spark.createDataFrame([("lives", "n:a"), ("lives", "n:b"), ("lives", "n:c")], "r string, t string")).collect()}
+    assert heads == {("n:a", 1): ("c:8", 1.0), ("n:b", 1): ("c:7", 1.0)}
+    ask = spark.createDataFrame([("c:7", "lives"), ("c:8", "lives"), ("c:9", "lives")], "h string, r string")
+    assert {(r.h, r.t, r.score) for r in M.by_vectors(kg, ask).collect()} == {("c:7", "n:b", 1.0), ("c:8", "n:a", 1.0)}
