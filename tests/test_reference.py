@@ -455,3 +455,18 @@ def test_g4_heads_and_vectors_on_a_small_graph(spark):
     assert heads == {("n:a", 1): ("c:8", 1.0), ("n:b", 1): ("c:7", 1.0)}
     ask = spark.createDataFrame([("c:7", "lives"), ("c:8", "lives"), ("c:9", "lives")], "h string, r string")
     assert {(r.h, r.t, r.score) for r in M.by_vectors(kg, ask).collect()} == {("c:7", "n:b", 1.0), ("c:8", "n:a", 1.0)}
+
+
+def test_w20_hub_growth_walks_alike_seeds_once(spark, tmp_path, monkeypatch):
+    """1,000 customers of one nation and segment: the 20 seeds make one walk of two thousand steps at most, not twenty."""
+    from graftmill.workloads import ALL_QUERIES
+
+    n = 1000
+    spark.range(n).select(F.col("id").alias("c_custkey"), F.lit(3).alias("c_nationkey"), F.lit("A").alias("c_mktsegment")).write.parquet(f"{tmp_path}/customer.parquet")
+    spark.range(2).select(F.col("id").alias("s_suppkey"), F.lit(3).alias("s_nationkey")).write.parquet(f"{tmp_path}/supplier.parquet")
+    spark.createDataFrame([(3, 1)], "n_nationkey int, n_regionkey int").write.parquet(f"{tmp_path}/nation.parquet")
+    walked, walk = [], L.local_nodes
+    monkeypatch.setattr(L, "local_nodes", lambda *a, **k: walked.append(walk(*a, **k)) or walked[-1])
+    got = {(r["hop"], r["n"]) for r in ALL_QUERIES["lhkg_hub_growth"](spark, str(tmp_path)).collect()}
+    assert got == {(0, 20), (1, 40), (2, 20 * (n - 1 + 2 + 1))}
+    assert sum(x.count() for x in walked) <= 2 * n
