@@ -1,6 +1,5 @@
 """Students without a graph on conversations, mixed training arms, path search, and single-query reports."""
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from graftmill.functions import scores as S
@@ -8,6 +7,7 @@ from graftmill.functions import text as T
 from graftmill.operators import corpus as C
 from graftmill.operators.kg import build as K
 from graftmill.operators.kg import local as L
+from graftmill.operators.student.nearest import nearest
 from graftmill.sources.tables import load
 
 from .corpus import TURNS_SQL
@@ -29,16 +29,6 @@ s AS (SELECT a.key, b.key AS demo, count(*) AS shared FROM w a JOIN w b ON a.w =
 k AS (SELECT s.*, row_number() OVER (PARTITION BY s.key ORDER BY round(shared / sqrt(na.n * nb.n), 9) DESC, demo) AS rank FROM s JOIN n na ON na.key = s.key JOIN n nb ON nb.key = demo)"""
 
 
-def nearest(items, k: int):
-    """key, demo, rank: the k training items whose input shares most distinct words, by cosine of the word sets; a postings join."""
-    w = items.select("key", "split", F.explode(F.array_distinct(T.words(F.col("input")))).alias("w"))
-    n = w.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
-    s = w.filter("split = 'test'").select("key", "w").join(w.filter("split = 'train'").select(F.col("key").alias("demo"), "w"), "w").groupBy("key", "demo").agg(F.count(F.lit(1)).alias("shared"))
-    s = s.join(n, "key").join(n.select(F.col("key").alias("demo"), F.col("n").alias("m")), "demo")
-    s = s.withColumn("sim", F.round(F.col("shared") / F.sqrt(F.col("n") * F.col("m")), 9))
-    return s.withColumn("rank", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("sim"), "demo"))).filter(F.col("rank") <= k).select("key", "demo", "rank")
-
-
 @query("encoder_nearest", NEAR_SQL + " SELECT key, demo FROM k WHERE rank = 1")
 def encoder_nearest(spark, sf):
     return nearest(split_pairs(spark, sf), 1).select("key", "demo")

@@ -470,3 +470,37 @@ def test_w20_hub_growth_walks_alike_seeds_once(spark, tmp_path, monkeypatch):
     got = {(r["hop"], r["n"]) for r in ALL_QUERIES["lhkg_hub_growth"](spark, str(tmp_path)).collect()}
     assert got == {(0, 20), (1, 40), (2, 20 * (n - 1 + 2 + 1))}
     assert sum(x.count() for x in walked) <= 2 * n
+
+
+def test_w21_nearest_equals_brute_force_without_a_join(spark):
+    """Ties by key, copies of a test and of a training item, words of one side only, rows that share nothing; several blocks, parts and shards."""
+    from graftmill.operators.student import nearest as N
+
+    rng = random.Random(5)
+    rows = [(i, "train" if i % 3 else "test", " ".join(rng.choices("abcdefghijkl", k=rng.randint(1, 5)))) for i in range(400)] + [(400, "test", "only here"), (401, "test", ""), (402, "train", None), (403, "val", "a b c")]
+    items = spark.createDataFrame(rows, "key long, split string, input string")
+    sets = {k: set((t or "").split()) for k, _, t in rows}
+    want = set()
+    for k, s, _ in rows:
+        if s == "test":
+            sims = sorted((-math.floor(len(sets[k] & sets[d]) / math.sqrt(len(sets[k]) * len(sets[d])) * 1e9 + 0.5), d) for d, s2, _ in rows if s2 == "train" and sets[k] & sets[d])
+            want |= {(k, d, r + 1) for r, (_, d) in enumerate(sims[:7])}
+    for options in ({}, {"block_chars": 300, "part": 60}):
+        out = N.nearest(items, 7, **options)
+        assert {tuple(r) for r in out.collect()} == want
+        r = plan_report(out)
+        assert r["sort_merge_joins"] + r["hash_joins"] == 0  # no pairs of items that share a word
+    shard, dense = N.SHARD, N.DENSE
+    try:
+        N.SHARD, N.DENSE = 50, 3
+        t = N.Tests([k for k, s, _ in rows if s == "test" and sets[k]], [sorted(sets[k]) for k, s, _ in rows if s == "test" and sets[k]])
+        sim, demo = np.full((len(t.terms), 7), -1, np.int64), np.zeros((len(t.terms), 7), np.int64)
+        train = [k for k, s, _ in rows if s == "train" and sets[k]]
+        number = {w: i for i, w in enumerate(t.vocabulary.to_pylist())}
+        for lo in range(0, len(train), 50):
+            part = train[lo:lo + 50][::-1]
+            pairs = [(number[w], i) for i, k in enumerate(part) for w in sets[k] if w in number]
+            N.meet(t, sim, demo, np.array(part), *np.array(pairs, np.int64).T, np.array([len(sets[k]) for k in part]), 7)
+        assert {(k, int(d), r + 1) for i, keys in enumerate(t.keys) for k in keys for r, (x, d) in enumerate(zip(sim[i], demo[i], strict=True)) if x > 0} == want
+    finally:
+        N.SHARD, N.DENSE = shard, dense
