@@ -504,3 +504,12 @@ def test_w21_nearest_equals_brute_force_without_a_join(spark):
         assert {(k, int(d), r + 1) for i, keys in enumerate(t.keys) for k in keys for r, (x, d) in enumerate(zip(sim[i], demo[i], strict=True)) if x > 0} == want
     finally:
         N.SHARD, N.DENSE = shard, dense
+
+
+def test_s9_matches_by_row_equal_those_by_exchange(spark):
+    rows = [(1, "a b a b c", "a b c a b"), (2, "", "a b"), (3, "a", None), (4, None, ""), (5, "x x x x x", "x x x"), (6, "A b\nc", "a  b c d")]
+    p = spark.createDataFrame(rows, "id long, hyp string, ref string")
+    some = lambda df: {tuple(r) for r in df.filter("hyp + ref > 0").collect()}
+    m = S.gram_matches_by_row(p)
+    assert some(m) == some(S.gram_matches(p))
+    assert sorted(S.bleu_sentence(p, matches=m).collect()) == sorted(S.bleu_sentence(p).collect()) and sorted(S.rubric_judge(p, matches=m).collect()) == sorted(S.rubric_judge(p).collect())
