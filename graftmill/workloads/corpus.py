@@ -345,12 +345,13 @@ REPORTED = ("theme_shares", "kg_text", "latent_links_topk", "kgc_neighbor", "exa
 
 @query("run_report")
 def run_report(spark, sf):
-    """What the plans of a few queries do: exchanges, broadcasts, joins, Python stages. Plans are read, not run."""
+    """What the plans of a few queries do: exchanges, broadcasts, joins, Python stages; and how many rows they give, as run on the tables."""
     from graftmill.plans.report import plan_report
 
     from .registry import QUERIES
     rows = []
     for name in REPORTED:
-        r = plan_report(QUERIES[name](spark, sf))
-        rows.append((name, *(int(r[k]) for k in ("exchanges", "broadcasts", "sort_merge_joins", "hash_joins", "nested_loops", "cartesian", "python"))))
-    return spark.createDataFrame(rows, "query string, exchanges int, broadcasts int, sort_merge_joins int, hash_joins int, nested_loops int, cartesian int, python int")
+        df = QUERIES[name](spark, sf)
+        r = plan_report(df)
+        rows.append((name, *(int(r[k]) for k in ("exchanges", "broadcasts", "sort_merge_joins", "hash_joins", "nested_loops", "cartesian", "python")), df.count()))
+    return spark.createDataFrame(rows, "query string, exchanges int, broadcasts int, sort_merge_joins int, hash_joins int, nested_loops int, cartesian int, python int, n_rows long")

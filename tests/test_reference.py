@@ -513,3 +513,10 @@ def test_s9_matches_by_row_equal_those_by_exchange(spark):
     m = S.gram_matches_by_row(p)
     assert some(m) == some(S.gram_matches(p))
     assert sorted(S.bleu_sentence(p, matches=m).collect()) == sorted(S.bleu_sentence(p).collect()) and sorted(S.rubric_judge(p, matches=m).collect()) == sorted(S.rubric_judge(p).collect())
+
+
+def test_t10_run_report_runs_the_queries(spark, sf):
+    from graftmill.workloads import ALL_QUERIES
+
+    n = {r["query"]: r["n_rows"] for r in ALL_QUERIES["run_report"](spark, sf).collect()}
+    assert n["theme_shares"] == ALL_QUERIES["theme_shares"](spark, sf).count() and n["exact_dedup"] == ALL_QUERIES["exact_dedup"](spark, sf).count() and min(n.values()) > 0
