@@ -254,7 +254,10 @@ def self_reflection(spark, sf):
 
 @query("sgd_simulation")
 def sgd_simulation(spark, sf):
-    return G.bound_report(spark, alpha=0.5, eigs=(0.5, 1.0), sigma=0.5)
+    """Descent with the values of the events as gradient noise, sixty events a run, against the bound."""
+    rows = load(spark, sf, "events").filter("event_id is not null and value is not null").select(F.floor(F.col("event_id") / 60).alias("run"), F.col("event_id").alias("at"), F.col("value").alias("v"))
+    setting = dict(alpha=0.5, eigs=(0.5, 1.0), sigma=0.5)
+    return G.against_bound(G.simulate_on_rows(rows, **setting), **setting)
 
 
 LETTERS = "abcdefghijklmnopqrstuvwxyz"
