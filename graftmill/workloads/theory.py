@@ -276,9 +276,29 @@ def lowrank_training(spark, sf):
     return spark.createDataFrame([*[(k, float(v)) for k, v in m.log], (-1, float(hit or 0.0))], "epoch int, loss double")
 
 
+#: The five kinds of events are the agents of the observed systems, in this order.
+KINDS = ("click", "view", "signup", "purchase", "error")
+
+
+def day_of(ts):
+    return F.date_format(ts, "yyyy-MM-dd")
+
+
+def observed(spark, sf):
+    """topology, src, dst, w: one system a day, its weights the shares of the steps between two kinds, both ways, among all steps of the users on that day."""
+    from pyspark.sql import Window
+    kind = F.array_position(F.array(*[F.lit(k) for k in KINDS]), F.col("event_type")).cast("int") - 1
+    e = load(spark, sf, "events").filter(F.col("event_type").isin(*KINDS) & F.col("ts").isNotNull()).select(day_of("ts").alias("day"), "user_id", "ts", "event_id", kind.alias("src"))
+    e = e.withColumn("dst", F.lead("src").over(Window.partitionBy("day", "user_id").orderBy("ts", "event_id"))).filter("dst <> src")
+    n = e.groupBy("day", F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).agg(F.count(F.lit(1)).alias("n"))
+    w = n.withColumn("w", F.col("n") / F.sum("n").over(Window.partitionBy("day")))  # at most ten rows a day
+    return w.select(F.concat(F.lit("events "), "day").alias("topology"), F.inline(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst")), F.struct(F.col("b").alias("src"), F.col("a").alias("dst")))), "w")
+
+
 @query("controllability_grid")
 def controllability_grid(spark, sf):
-    return P.controllability(P.laplacian(P.topologies(spark, randoms=5, roles=True)))
+    """Named and random topologies, and the observed ones of every day."""
+    return P.controllability(P.laplacian(P.topologies(spark, randoms=5, roles=True).unionByName(observed(spark, sf))))
 
 
 @query("agent_trajectories")
