@@ -301,10 +301,19 @@ def controllability_grid(spark, sf):
     return P.controllability(P.laplacian(P.topologies(spark, randoms=5, roles=True).unionByName(observed(spark, sf))))
 
 
+def day_states(spark, sf):
+    """x0_id, x0: for each day and kind of event by how many standard deviations the mean value differs from that of the other days; 0 where it has none."""
+    e = load(spark, sf, "events").filter(F.col("event_type").isin(*KINDS) & F.col("ts").isNotNull()).select(day_of("ts").alias("day"), "event_type", F.round(100 * F.col("value")).cast("long").alias("v"))
+    own = stored(e.groupBy("day").agg(*[F.avg(F.when(F.col("event_type") == k, F.col("v"))).alias(k) for k in KINDS]), "days")  # as many rows as days
+    over = own.agg(*[f(k).alias(f"{k}_{n}") for k in KINDS for n, f in (("m", F.avg), ("sd", F.stddev_pop))])
+    x0 = F.array(*[F.coalesce(F.try_divide(F.col(k) - F.col(f"{k}_m"), F.col(f"{k}_sd")), F.lit(0.0)) for k in KINDS])
+    return own.crossJoin(F.broadcast(over)).select(F.datediff(F.to_date("day"), F.lit("1970-01-01")).alias("x0_id"), x0.alias("x0"))
+
+
 @query("agent_trajectories")
 def agent_trajectories(spark, sf):
-    """Steps until each agent stays near its last value, from twenty starts, under central and under decentral control."""
-    starts = spark.range(20).select(F.col("id").cast("int").alias("x0_id"), F.transform(F.sequence(F.lit(0), F.lit(4)), lambda j: 4 * hash_uniform(F.col("id"), j, seed="start") - 2).alias("x0"))
+    """Steps until each agent stays near its last value, from the state of every day of the events, under central and under decentral control."""
+    starts = stored(day_states(spark, sf), "starts")
     lap, out = P.laplacian(P.topologies(spark, randoms=5, roles=True)), None
     for control in ("central", "decentral"):
         one = P.settle_time(P.simulate_agents(lap, starts, control=control)).withColumn("control", F.lit(control))

@@ -515,6 +515,34 @@ def test_s9_matches_by_row_equal_those_by_exchange(spark):
     assert sorted(S.bleu_sentence(p, matches=m).collect()) == sorted(S.bleu_sentence(p).collect()) and sorted(S.rubric_judge(p, matches=m).collect()) == sorted(S.rubric_judge(p).collect())
 
 
+def test_t9_control_and_descent_read_the_events(spark, sf):
+    """Systems, starts and noise follow the table; the plain recursion over its rows gives the same gaps."""
+    from graftmill.workloads import ALL_QUERIES
+
+    e = load(spark, sf, "events").orderBy("event_id").collect()
+    days = {f"events {r['ts']:%Y-%m-%d}" for r in e}
+    grid = ALL_QUERIES["controllability_grid"](spark, sf).collect()
+    seen = {r["topology"] for r in grid if r["topology"].startswith("events ")}
+    assert seen and seen <= days and len(grid) == 5 * (11 + len(seen)) and all(1 <= r["rank"] <= 5 and r["spectrum"][-1] == 0 for r in grid)
+    assert all(abs(r["w"] - 1) < 1e-9 for r in W.observed(spark, sf).filter("src < dst").groupBy("topology").agg(F.sum("w").alias("w")).collect())
+    starts = np.array([r["x0"] for r in W.day_states(spark, sf).collect()])
+    assert len(starts) == len(days) and np.allclose(starts.mean(axis=0), 0) and np.allclose(starts.std(axis=0), 1)
+    settled = ALL_QUERIES["agent_trajectories"](spark, sf).collect()
+    assert len(settled) == 2 * 5 * 11 and len({r["settle"] for r in settled}) > 3
+    v = np.array([r["value"] for r in e])
+    z, gaps, of = (v - v.mean()) / v.std(), {}, {}
+    for r, n in zip(e, z, strict=True):
+        of.setdefault(r["event_id"] // 60, []).append(n)
+    for noise in of.values():
+        x = np.ones(2)
+        for k in range(len(noise) + 1):
+            gaps.setdefault(k, []).append((0.5 * x[0] ** 2 + x[1] ** 2) / 2)
+            if k < len(noise):
+                x = x - 0.5 * (np.array([0.5, 1.0]) * x + np.array([0, 0.5 * noise[k]]))
+    got = {r["k"]: r["gap"] for r in ALL_QUERIES["sgd_simulation"](spark, sf).collect()}
+    assert got.keys() == gaps.keys() and all(abs(got[k] - np.mean(g)) < 1e-9 for k, g in gaps.items())
+
+
 def test_t10_run_report_runs_the_queries(spark, sf):
     from graftmill.workloads import ALL_QUERIES
 
