@@ -20,6 +20,8 @@ Defined results: null and empty text have no words; a repeated row is a document
 table gives an empty table; other columns are ignored.
 """
 
+import re
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -36,35 +38,68 @@ ORDER = 3
 BLOCK_BYTES = 6_000_000
 BUCKET_BYTES = 4_000_000
 LEAST_BUCKETS = 256
-CACHE_WORDS = 600_000
+#: Text hashed at a time.
+SLICE_BYTES = 1_000_000
 MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
-class WordHashes(dict):
-    def __missing__(self, word: str) -> int:
-        if len(self) >= CACHE_WORDS:
-            self.clear()
-        h = self[word] = xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"))
-        return h
-
-
 def finish(x: np.ndarray) -> np.ndarray:
     x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
     return x ^ (x >> np.uint64(29))
 
 
+#: White space of one byte, and all other white space of str.split.
+SPACES = np.isin(np.arange(256), [*range(9, 14), *range(28, 33)])
+WIDE_SPACES = re.compile("[\x85\xa0\u1680\u2000-\u200a\u2028\u2029\u202f\u205f\u3000]")
+#: A word is hashed as the sum over its bytes of a number of the byte times one of the place; longer words than this by xxhash.
+LONG_WORD = 256
+OF_BYTE = np.array([xxhash.xxh64_intdigest(bytes([i])) for i in range(256)], np.uint64)
+OF_PLACE = np.multiply.accumulate(np.full(LONG_WORD, xxhash.xxh64_intdigest(b"place") | 1, np.uint64))
+
+
+def word_hashes(texts: list) -> tuple[np.ndarray, np.ndarray]:
+    """(number of words of each text, hashes of all words): lower-cased, separated by white space."""
+    numbers, hashes = [np.zeros(0, np.int64)], [np.zeros(0, np.uint64)]
+    at = 0
+    while at < len(texts):
+        raw, size = [], 0
+        while at < len(texts) and size < SLICE_BYTES:
+            low = (texts[at] or "").lower()
+            if not low.isascii():
+                low = WIDE_SPACES.sub(" ", low)
+            raw.append(low.encode("utf-8", "surrogatepass"))
+            size += len(raw[-1]) + 1
+            at += 1
+        joined = b" ".join(raw)
+        data = np.frombuffer(joined, np.uint8)
+        inside = np.zeros(len(data) + 2, np.int8)
+        inside[1:-1] = ~SPACES[data]
+        edge = np.diff(inside)
+        start, length = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
+        length -= start
+        begin = np.cumsum([0, *(len(x) + 1 for x in raw)])
+        numbers.append(np.diff(np.searchsorted(start, begin)))
+        if not len(start):
+            continue
+        first = np.cumsum(length) - length
+        place = np.arange(int(length.sum()))
+        place -= np.repeat(first, length)
+        np.minimum(place, LONG_WORD - 1, out=place)
+        value = OF_BYTE[data[inside[1:-1].view(bool)]]
+        value *= OF_PLACE[place]
+        made = finish(np.add.reduceat(value, first))
+        for i in np.flatnonzero(length > LONG_WORD).tolist():
+            made[i] = xxhash.xxh64_intdigest(joined[start[i]:start[i] + length[i]])
+        hashes.append(made)
+    return np.concatenate(numbers), np.concatenate(hashes)
+
+
 class Block:
     """Words of some documents side by side."""
 
     def __init__(self, texts: list):
-        hashes = common.process_cache("words").setdefault("lm", WordHashes())
-        parts = []
-        for t in texts:
-            words = (t or "").lower().split()
-            parts.append(np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words)))
-        self.n_words = np.array([len(p) for p in parts], np.int64)
-        self.word = np.concatenate(parts) if parts else np.zeros(0, np.uint64)
-        self.doc = np.repeat(np.arange(len(parts)), self.n_words)
+        self.n_words, self.word = word_hashes(texts)
+        self.doc = np.repeat(np.arange(len(texts)), self.n_words)
         self.pos = np.arange(len(self.word)) - np.repeat(np.cumsum(self.n_words) - self.n_words, self.n_words)
         self.levels: dict[int, tuple] = {}
         self.outside: dict[int, np.ndarray] = {}  # occurrences of the n-gram that ends at each position, in other documents
