@@ -34,8 +34,8 @@ REFERENCE_DOCS = 64
 REFERENCE_CHARS = 24_000
 BLOCK_CHARS = 512
 UND = "und"
-#: Texts parsed side by side, in characters.
-SLICE_CHARS = 1_000_000
+#: Texts parsed side by side, in characters; about 100 bytes each at the peak.
+SLICE_CHARS = 250_000
 
 
 def letters_only(text: str) -> str:
@@ -233,6 +233,7 @@ def keep_identified(docs: DataFrame, languages: list[str] | None = None, model:
     schema = docs.schema
 
     def run(batches):
+        common.process_cache("letters")  # drops what other operators left in this worker before the model is read
         predict = predictor(shared.value)
         for batch in batches:
             langs, _ = predict(common.texts_of(batch))
@@ -242,6 +243,8 @@ def keep_identified(docs: DataFrame, languages: list[str] | None = None, model:
                 filled = [a if a is not None else b for a, b in zip(batch.column(i).to_pylist(), langs, strict=True)]
                 batch = batch.set_column(i, "lang", pa.array(filled, batch.schema.field(i).type))
             yield batch.filter(pa.array(keep, pa.bool_()))
+            del batch, langs, keep
+            common.tidy()
 
     return docs.mapInArrow(run, schema).select(*names)
 
