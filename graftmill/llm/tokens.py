@@ -18,7 +18,7 @@ import pyarrow.compute as pc
 
 from . import common
 
-#: Chunks kept by a worker. Common ones come early; beyond this number new ones are encoded each time, which only costs time.
+#: Chunks kept by a worker unless its encoder is given another number. Common ones come early; beyond this number new ones are encoded each time, which only costs time.
 CACHE_CHUNKS = 300_000
 #: Byte-level vocabularies write each byte as a printable letter: printable Latin-1 as itself, the rest from U+0100 on.
 _PLAIN = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b <= 255]
@@ -55,6 +55,7 @@ class Chunks(dict):
 
     def __init__(self, path: str, fold: bool):
         super().__init__()
+        self.most = None
         self.tokenizer = loaded(path)
         self.model = self.tokenizer.model
         self.fold = fold  # the tokenizer lower-cases and drops white space
@@ -65,8 +66,9 @@ class Chunks(dict):
         return self.store[self.first[number]:self.first[number + 1]]
 
     def cut_back(self) -> None:
-        """Forget the chunks beyond the first CACHE_CHUNKS."""
-        while len(self) > CACHE_CHUNKS:
+        """Forget the chunks beyond the first ones that are kept."""
+        most = CACHE_CHUNKS if self.most is None else self.most
+        while len(self) > most:
             self.popitem()
         del self.first[len(self) + 1:]
         del self.store[self.first[-1]:]
@@ -108,14 +110,17 @@ class Chunks(dict):
 BREAKS = r"\t-\r\x1c-\x1f\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
 ODD_SPACES = rf"[{BREAKS}] | [{BREAKS}]|  |[{BREAKS}][{BREAKS}]|\x1f|\A[{BREAKS} ]|[{BREAKS} ]\z"
 RUNS = re.compile(r"\s*\S+|\s+")
+LETTERS = r"[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{ff}]"
 #: A letter and a single mark behind it always belong to different pieces.
-MARKED = r"([A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{ff}])([.,;:!?])( |\z)"
+MARKED = rf"({LETTERS})([.,;:!?])( |\z)"
+#: Where the vocabulary has spaces, so do a letter and a run of marks up to the next space. None of these runs is the end of a special token, which is "|>".
+MARKED_BY_RUN = rf"({LETTERS})([.,;:!?#*$%&]+|\|+|<+|>+)( |\z)"
 #: Stands before what has no space before it; texts that hold it go the other way.
 GLUE = "\x1f"
 
 
-def encoder(path: str, fold: bool):
-    """A function from an Arrow array of texts to (ids of all texts one after another, number of ids of each text).
+def encoder(path: str, fold: bool, most: int | None = None):
+    """A function from an Arrow array of texts to (ids of all texts one after another, number of ids of each text); ``most`` chunks are kept.
 
     Texts are taken in slices of about SLICE_BYTES. The words of a slice are numbered by Arrow, each distinct one is looked up
     (or encoded) once, and the ids are gathered.
@@ -124,6 +129,7 @@ def encoder(path: str, fold: bool):
     if path not in cache:
         cache[path] = Chunks(path, fold)
     chunks = cache[path]
+    chunks.most = most
 
     def words(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """(numbers of the chunks of all texts, number of chunks of each), for texts whose words part at single spaces or line breaks."""
@@ -131,7 +137,7 @@ def encoder(path: str, fold: bool):
             texts = pc.replace_substring_regex(pc.replace_substring(texts, "\n", " "), MARKED, r"\1 \2\3")
         else:  # a line break between two other characters is a piece of its own
             texts = pc.binary_join_element_wise(*(pa.scalar(x, pa.large_string()) if isinstance(x, str) else x for x in (GLUE, pc.replace_substring(texts, "\n", f" {GLUE}\n {GLUE}"), "")))
-            texts = pc.replace_substring_regex(texts, MARKED, rf"\1 {GLUE}\2\3")
+            texts = pc.replace_substring_regex(texts, MARKED_BY_RUN, rf"\1 {GLUE}\2\3")
         lists = pc.split_pattern(texts, " ")
         flat = lists.flatten().dictionary_encode()
         distinct = flat.dictionary.to_numpy(zero_copy_only=False).tolist()  # faster than to_pylist
